@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F  # noqa: F401
 
-from layerflow.llm import pieces, ppm, secrets
+from layerflow.llm import ann, decontaminate, extract, pieces, ppm, secrets
 
 
 def tokenizer_path() -> str:
@@ -26,11 +26,26 @@ def op1_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan_secrets(docs).drop("text", "n_secrets")
 
 
+def op4_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    return decontaminate.decontaminate(docs, _table(spark, sf_dir, "benchmark")).drop("text", "items")
+
+
+def op5_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = _table(spark, sf_dir, "pages").select("page_id", "url", "html")
+    return extract.extract(pages, extract.learn_costs(pages)).drop("html")
+
+
 def op8_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     return pieces.encode_decode(docs, tokenizer_path()).drop("text")
 
 
+def op9_nearest_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = _table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    return ann.nearest(vectors, vectors.where("vec_id % 20 = 0"))
+
+
 def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     return ppm.identify(docs).select("doc_id", "held_out", "lang_pred", "score", "bits_per_byte")
@@ -38,7 +53,10 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_secret_scan": op1_secret_scan,
+    "op4_benchmark_decontamination": op4_benchmark_decontamination,
+    "op5_main_text": op5_main_text,
     "op8_piece_codec": op8_piece_codec,
+    "op9_nearest_vectors": op9_nearest_vectors,
     "op10_language_id": op10_language_id,
 }
 
