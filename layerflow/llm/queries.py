@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F  # noqa: F401
 
-from layerflow.llm import ann, decontaminate, extract, pieces, ppm, secrets
+from layerflow.llm import ann, decontaminate, extract, fingerprints, pieces, ppm, secrets
 
 
 def tokenizer_path() -> str:
@@ -26,6 +26,11 @@ def op1_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan_secrets(docs).drop("text", "n_secrets")
 
 
+def op2_repeated_word_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    return fingerprints.remove_repeats(docs).drop("text")
+
+
 def op4_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     return decontaminate.decontaminate(docs, _table(spark, sf_dir, "benchmark")).drop("text", "items")
@@ -53,6 +58,7 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_secret_scan": op1_secret_scan,
+    "op2_repeated_word_windows": op2_repeated_word_windows,
     "op4_benchmark_decontamination": op4_benchmark_decontamination,
     "op5_main_text": op5_main_text,
     "op8_piece_codec": op8_piece_codec,
