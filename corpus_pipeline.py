@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from layerflow.llm import ppm, pieces, secrets, store
+from layerflow.llm import decontaminate, jaccard, pieces, ppm, repeats, secrets, store
 from layerflow.llm.queries import tokenizer_path
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -20,6 +20,26 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return found.where((F.col("lang_pred") != ppm.UNDETERMINED) & (F.coalesce(F.col("bits_per_byte"), F.lit(0.0)) <= MAX_BITS_PER_BYTE)).select(COLUMNS)
 
 
+def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Of documents that link, by whatever chain, to each other one stays: that with the smallest id.
+
+    Documents without words link with nothing and stay.  Rows equal in id and text count once.  Null ids come last.
+    """
+    row = ["_id", "_d1", "_d2"]
+    d1, d2 = repeats.digest()
+    named = docs.select("*", F.coalesce(F.col("doc_id").cast("string"), F.lit("")).alias("_id"), d1.alias("_d1"), d2.alias("_d2"))
+    found = store.written(jaccard.link_components(named.select("doc_id", "text", *row)), "links")
+    first = found.where("component is not null").groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", *row)).alias("k"))
+    kept = first.select("k._id", "k._d1", "k._d2").union(found.where("component is null").select(row)).distinct()
+    return named.join(kept.hint("shuffle_hash"), row, "left_semi").dropDuplicates(row).select(COLUMNS)
+
+
+def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops documents that hold a window of a benchmark item."""
+    items = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
+    return decontaminate.decontaminate(docs, items).where(~F.col("contaminated")).select(COLUMNS)
+
+
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Replaces every found secret by a mark; keeps all documents."""
     found = secrets.scan_secrets(docs, redact=MASK)
@@ -33,6 +53,8 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [
     ("language ID", language_id),
+    ("n-gram Jaccard join", one_of_each_group),
+    ("benchmark decontamination", drop_leaks),
     ("secret scans", mask_secrets),
     ("SentencePiece encoding and decoding", encode),
 ]

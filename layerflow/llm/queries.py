@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F  # noqa: F401
 
-from layerflow.llm import ann, decontaminate, extract, fingerprints, pieces, ppm, secrets, suffixes
+from layerflow.llm import ann, decontaminate, extract, fingerprints, jaccard, pieces, ppm, secrets, suffixes
 
 
 def tokenizer_path() -> str:
@@ -46,6 +46,11 @@ def op6_repeated_byte_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffixes.remove_repeats(docs).drop("text")
 
 
+def op7_shingle_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
+    return jaccard.link_components(docs).select("doc_id", "n_shingles", "component_id", "set_id")
+
+
 def op8_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     return pieces.encode_decode(docs, tokenizer_path()).drop("text")
@@ -67,6 +72,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op4_benchmark_decontamination": op4_benchmark_decontamination,
     "op5_main_text": op5_main_text,
     "op6_repeated_byte_strings": op6_repeated_byte_strings,
+    "op7_shingle_links": op7_shingle_links,
     "op8_piece_codec": op8_piece_codec,
     "op9_nearest_vectors": op9_nearest_vectors,
     "op10_language_id": op10_language_id,

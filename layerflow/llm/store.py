@@ -1,39 +1,5 @@
-"""Tables written between the steps of an operator, in the folder that all executors share."""
+"""The engine's tables between steps, for the operators here."""
 
-from __future__ import annotations
+from layerflow.store import delete, new_path, release, shared_dir, written
 
-import itertools
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-
-_count = itertools.count()
-_own: list[str] = []
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``; where it is unset (tests on one machine), a folder of this process."""
-    set_by_cluster = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if set_by_cluster:
-        return set_by_cluster.rstrip("/")
-    if not _own:
-        _own.append("file://" + tempfile.mkdtemp(prefix="layerflow-"))
-    return _own[0]
-
-
-def new_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex[:12]}-{next(_count)}"
-
-
-def written(df: DataFrame, label: str) -> DataFrame:
-    """``df`` written once and read back: later steps depend on files, not on lineage."""
-    spark = df.sparkSession
-    path = new_path(spark, label)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def delete(spark: SparkSession, path: str) -> None:
-    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+__all__ = ["delete", "new_path", "release", "shared_dir", "written"]
