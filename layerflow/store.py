@@ -33,7 +33,18 @@ def written(df: DataFrame, label: str) -> DataFrame:
     path = new_path(spark, label)
     df.write.parquet(path)
     release(spark)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _paths[id(out)] = (out, path)
+    return out
+
+
+_paths: dict[int, tuple[DataFrame, str]] = {}
+
+
+def discard(df: DataFrame) -> None:
+    """Deletes the files of a table from ``written`` that nothing reads any more."""
+    _, path = _paths.pop(id(df))
+    delete(df.sparkSession, path)
 
 
 def release(spark: SparkSession) -> None:
@@ -45,3 +56,14 @@ def release(spark: SparkSession) -> None:
 def delete(spark: SparkSession, path: str) -> None:
     where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+#: Rows in an Arrow batch of whole texts: Spark's default of 10,000 is meant for rows of a few numbers.
+TEXT_ROWS = 1000
+
+
+def text_batches(spark: SparkSession) -> None:
+    """Keeps what JVM and Python hold of a batch of texts small; leaves a smaller setting alone."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= TEXT_ROWS:
+        spark.conf.set(name, str(TEXT_ROWS))
