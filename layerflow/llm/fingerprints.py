@@ -5,7 +5,7 @@ a digest of the whole segment and its place.  It is a list of immutable runs, ea
 partitions.  A new batch becomes a run of level 0 and is merge-joined with every older run, and with itself, on the hash;
 whatever meets is a candidate.  ``FAN_IN`` runs of one level are merged into one of the next (compaction).
 
-Candidates are verified by 128-bit digests: equal segments have all their windows repeated; of segments that meet others
+Candidates are verified by digests of their whole words, compared only where the anchors agree: equal segments have all their windows repeated; of segments that meet others
 but equal none, each window's digest is compared with those of the other candidates.  A repeated window's words go, in
 all the texts that hold it, old and new; windows are judged on the input.
 
@@ -26,9 +26,9 @@ from layerflow.llm import repeats, store
 from layerflow.llm.flat import NOT_SPACE, blocks, grams, word_spans, words_of
 
 WIDTH = 35
-K = 8
-FAN_IN = 4
-BATCHES = 4
+K = 5
+FAN_IN = 2
+BATCHES = 3
 
 
 def word_units(data: np.ndarray, offsets: np.ndarray):
@@ -55,6 +55,7 @@ class FingerprintIndex:
     def _write_run(self, rows: DataFrame, level: int) -> str:
         path = self._path(f"run-{level}")
         rows.repartition("h").sortWithinPartitions("h").write.parquet(path)
+        store.release(self.spark)
         self.runs.append((level, path))
         return path
 
@@ -63,7 +64,7 @@ class FingerprintIndex:
         older = [p for _, p in self.runs]
         fresh = self.read(self._write_run(repeats.find_segments(texts, word_units, self.width, K), 0))
         mine = fresh.select("h").distinct()
-        met = repeats.repeated(fresh, ["h"], ["k1", "k2", "lo"])
+        met = repeats.met_hashes(fresh)
         for path in older:
             met = met.union(mine.join(self.read(path).select("h").hint("merge"), "h", "left_semi"))
         out = self._path("met")
@@ -84,6 +85,9 @@ class FingerprintIndex:
                 store.delete(self.spark, path)
             level += 1
 
+    def drop(self) -> None:
+        store.delete(self.spark, self.root)
+
     def candidates(self) -> DataFrame:
         """All fingerprints, old and new, whose hash was met."""
         met = self.spark.read.schema("h long").parquet(*self.met).distinct()
@@ -94,14 +98,15 @@ class FingerprintIndex:
 
 
 def window_digests(texts: DataFrame, asked: DataFrame, width: int) -> DataFrame:
-    """Digest and place of each window of the asked segments: w1, w2, k1, k2, lo."""
-    lists = asked.groupBy("k1", "k2").agg(F.collect_list(F.struct("lo", "n")).alias("ranges"))
+    """Digests of the windows of the asked segments (h, s, k1, k2, lo, n): h, w, s, at."""
+    lists = asked.groupBy("k1", "k2").agg(F.collect_list(F.struct("h", "s", "lo", "n")).alias("asked"))
     joined = texts.select("k1", "k2", "text").join(lists.hint("shuffle_hash"), ["k1", "k2"])
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[tuple[int, int]] = set()
         for batch in batches:
             k1, k2 = (batch.column(i).to_pylist() for i in (0, 1))
+            wanted = batch.column(3)
             for a, b, data, offsets in blocks(batch.column(2)):
                 hashes, _, first = word_units(data, offsets)
                 prefix = repeats.Prefixes(hashes)
@@ -109,33 +114,31 @@ def window_digests(texts: DataFrame, asked: DataFrame, width: int) -> DataFrame:
                     if (k1[i], k2[i]) in seen:
                         continue
                     seen.add((k1[i], k2[i]))
-                    lo = np.unique(np.concatenate([np.arange(r["lo"], r["lo"] + r["n"]) for r in batch.column(3)[i].as_py()]))
-                    at = lo + first[i - a]
-                    w1, w2 = prefix.of(at, at + width)
-                    yield pa.RecordBatch.from_arrays([pa.array(w1), pa.array(w2), pa.array(np.full(len(lo), k1[i])), pa.array(np.full(len(lo), k2[i])), pa.array(lo)], names=["w1", "w2", "k1", "k2", "lo"])
+                    own = wanted[i].values
+                    h, s, lo, n = (np.asarray(own.field(j)) for j in range(4))
+                    which = np.repeat(np.arange(len(n)), n)
+                    at = np.arange(len(which)) - np.repeat(np.cumsum(n) - n, n)
+                    start = lo[which] + at + first[i - a]
+                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in (h[which], prefix.of(start, start + width), s[which], at)], names=["h", "w", "s", "at"])
 
-    return joined.mapInArrow(work, "w1 long, w2 long, k1 long, k2 long, lo long")
+    return joined.mapInArrow(work, "h long, w long, s long, at long")
 
 
-def repeated_ranges(keyed: DataFrame, index: FingerprintIndex, copies: DataFrame, width: int) -> DataFrame:
+def repeated_ranges(keyed: DataFrame, index: FingerprintIndex, copies: DataFrame, width: int, keep_index: bool) -> DataFrame:
     """First window and number of windows of all repeated ranges of the texts: k1, k2, lo, n."""
     met = store.written(index.candidates(), "met")
-    place = ["k1", "k2", "lo"]
-    seg = ["h", "s1", "s2"]
-    state = met.groupBy(seg).agg(F.min(F.struct(place)).alias("_a"), F.max(F.struct(place)).alias("_b"))
-    marked = met.join(state.select(*seg, (F.col("_a") != F.col("_b")).alias("same")), seg)
-    # a hash that stands in one kind of segment only needs no closer look
-    kinds = state.groupBy("h").agg(F.count("*").alias("kinds")).where("kinds > 1").select("h")
-    marked = store.written(marked.join(kinds.withColumn("mixed", F.lit(True)), "h", "left"), "segments")
-    look = marked.where("mixed")  # windows of equal segments too: others may equal them
-    digests = store.written(window_digests(keyed, look.select("k1", "k2", "lo", "n"), width), "windows")
-    again = repeats.repeated(digests, ["w1", "w2"], place)
-    single = digests.join(again, ["w1", "w2"], "left_semi").select(*place, F.lit(1).alias("n"))
-    whole = copies.select("k1", "k2", F.lit(0).cast("long").alias("lo"), F.lit(2**30).alias("n"))
-    return marked.where("same").select(*place, "n").union(single).distinct().union(whole)
-
-
-def remove_repeats(docs: DataFrame, width: int = WIDTH, batches: int = BATCHES, with_text: bool = False) -> DataFrame:
+    if not keep_index:
+        index.drop()
+    kinds = store.written(repeats.kinds_of_segments(met), "kinds")
+    # a segment that is alone with its hash needs no closer look
+    digests = store.written(window_digests(keyed, kinds.where("kinds is not null"), width), "windows")
+    again = store.written(repeats.repeated(digests, ["h", "w"], ["s", "at"]), "again")
+    inside = store.written(repeats.folded(digests.join(again, ["h", "w"], "left_semi").select("h", "s", "at")), "inside")
+    store.discard(digests)
+    return repeats.at_all_places(met, inside, kinds, copies)
+
+
+def remove_repeats(docs: DataFrame, width: int = WIDTH, batches: int = BATCHES, with_text: bool = False, keep_index: bool = False) -> DataFrame:
     """Adds n_words, n_removed and kept_sha256 (and kept) to every row of ``docs`` (with a column text)."""
     spark = docs.sparkSession
     added = ["n_words", "n_removed", "kept_sha256", *(["kept"] if with_text else [])]
@@ -144,7 +147,7 @@ def remove_repeats(docs: DataFrame, width: int = WIDTH, batches: int = BATCHES,
     index = FingerprintIndex(spark, store.new_path(spark, "fingerprints"), width)
     for i in range(batches):
         index.add(keyed.where(F.pmod(F.col("k1"), F.lit(batches)) == i).where("text is not null"))
-    ranges = repeated_ranges(keyed, index, copies, width)
+    ranges = repeated_ranges(keyed, index, copies, width, keep_index)
     names = docs.columns
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields), "n_words long, n_removed long, kept_sha256 string", *(["kept string"] if with_text else [])])
 

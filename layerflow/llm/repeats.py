@@ -18,27 +18,28 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from layerflow.llm import store
 from layerflow.llm.flat import blocks, mix, runs, window_minimum
 
-_B1, _B2 = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F
+_BASE = 0x9E3779B97F4A7C15
 
 
 class Prefixes:
-    """Hashes of any range of a sequence of 64-bit units, 128 bits in two halves."""
+    """Hashes of any range of a sequence of 64-bit units.
+
+    They are only compared between ranges around an equal anchor, so 64 bits come on top of the anchor's own hash.
+    """
 
     def __init__(self, units: np.ndarray):
-        self.halves = []
-        for base in (_B1, _B2):
-            up = _power_table(base, len(units) + 1)
-            down = _power_table(pow(base, -1, 1 << 64), len(units) + 1)
-            self.halves.append((np.concatenate([np.zeros(1, np.uint64), np.cumsum((units + np.uint64(1)) * up[: len(units)], dtype=np.uint64)]), down))
+        up = _power_table(_BASE, len(units) + 1)
+        self.down = _power_table(pow(_BASE, -1, 1 << 64), len(units) + 1)
+        self.sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((units + np.uint64(1)) * up[: len(units)], dtype=np.uint64)])
 
-    def of(self, starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        out = [mix((sums[ends] - sums[starts]) * down[starts]) for sums, down in self.halves]
-        return out[0].view(np.int64), out[1].view(np.int64)
+    def of(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        return mix((self.sums[ends] - self.sums[starts]) * self.down[starts]).view(np.int64)
 
 
 _tables: dict[int, np.ndarray] = {}
@@ -88,7 +89,9 @@ def digest(text: str = "text") -> list[F.Column]:
 #: (bytes, offsets) of a block -> (unit hashes, hashes of every k units, first unit of each text and an end)
 Units = Callable[[np.ndarray, np.ndarray], tuple[np.ndarray, np.ndarray, np.ndarray]]
 
-SEGMENT_SCHEMA = "h long, s1 long, s2 long, k1 long, k2 long, lo long, n int"
+#: ``lo`` is the segment's first place in its text, ``more`` its others there (mostly null).
+SEGMENT_SCHEMA = "h long, s long, k1 long, k2 long, lo long, n int, more array<long>"
+SEGMENT_NAMES = ["h", "s", "k1", "k2", "lo", "n", "more"]
 
 
 def find_segments(texts: DataFrame, units: Units, width: int, k: int) -> DataFrame:
@@ -106,16 +109,66 @@ def find_segments(texts: DataFrame, units: Units, width: int, k: int) -> DataFra
                 where, size, at = segments(gram, width, k, first)
                 if not len(where):
                     continue
-                s1, s2 = Prefixes(hashes).of(where, where + size - 1 + width)
+                s = Prefixes(hashes).of(where, where + size - 1 + width)
                 text = np.searchsorted(first, where, side="right") - 1
-                yield pa.RecordBatch.from_arrays([pa.array(gram[at].view(np.int64)), pa.array(s1), pa.array(s2), pa.array(k1[a + text]), pa.array(k2[a + text]), pa.array(where - first[text]), pa.array(size.astype(np.int32))], names=["h", "s1", "s2", "k1", "k2", "lo", "n"])
+                lo = where - first[text]
+                own, more = _once_a_text(s, text, lo)
+                cols = (gram[at].view(np.int64), s, k1[a + text], k2[a + text], lo, size.astype(np.int32))
+                yield pa.RecordBatch.from_arrays([*(pa.array(c[own]) for c in cols), more], names=SEGMENT_NAMES)
 
     return texts.select("k1", "k2", "text").mapInArrow(work, SEGMENT_SCHEMA)
 
 
-def repeated(rows: DataFrame, by: list[str], place: list[str]) -> DataFrame:
-    """The values of ``by`` that stand at more than one place."""
-    return rows.groupBy(by).agg(F.min(F.struct(place)).alias("_a"), F.max(F.struct(place)).alias("_b")).where("_a != _b").select(by)
+def _once_a_text(s: np.ndarray, text: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, pa.Array]:
+    """Row numbers of each text's distinct segments, and the further places of each."""
+    label = s.view(np.uint64) ^ mix(text.astype(np.uint64) + np.uint64(1))
+    order = np.argsort(label, kind="stable")
+    head = np.flatnonzero(np.concatenate([[True], label[order][1:] != label[order][:-1]]))
+    if len(head) == len(order):
+        return np.arange(len(order)), pa.nulls(len(order), pa.list_(pa.int64()))
+    size = np.diff(np.concatenate([head, [len(order)]]))
+    places = [lo[order[a + 1 : a + n]] if n > 1 else None for a, n in zip(head.tolist(), size.tolist())]
+    return order[head], pa.array(places, pa.list_(pa.int64()))
+
+
+def met_hashes(found: DataFrame) -> DataFrame:
+    """Hashes of segments that stand at more than one place."""
+    return repeated(found, ["h"], PLACE, F.col("more").isNotNull())
+
+
+def repeated(rows: DataFrame, by: list[str], place: list[str], anyway: F.Column | None = None) -> DataFrame:
+    """The values of ``by`` that stand at more than one place (or hold ``anyway``)."""
+    at = F.xxhash64(*place)
+    ends = rows.groupBy(by).agg(F.min(at).alias("_a"), F.max(at).alias("_b"), *([] if anyway is None else [F.bool_or(anyway).alias("_m")]))
+    return ends.where("_a != _b" if anyway is None else "_a != _b or _m").select(by)
+
+
+SEG, PLACE = ["h", "s"], ["k1", "k2", "lo"]
+
+
+def kinds_of_segments(met: DataFrame) -> DataFrame:
+    """Of each distinct segment one place, whether it has others, and, if its hash has several segments, how many."""
+    at = F.xxhash64(*PLACE)
+    state = met.groupBy(SEG).agg(F.min(F.struct(*PLACE, "n")).alias("_p"), F.min(at).alias("_a"), F.max(at).alias("_b"), F.bool_or(F.col("more").isNotNull()).alias("_m"))
+    state = state.select(*SEG, "_p.*", ((F.col("_a") != F.col("_b")) | F.col("_m")).alias("same"))
+    kinds = state.groupBy("h").agg(F.count("*").alias("kinds")).where("kinds > 1")
+    return state.join(kinds, "h", "left")
+
+
+def folded(windows: DataFrame) -> DataFrame:
+    """Single windows (h, s, at) as ranges of consecutive ones: h, s, at, size."""
+    row = F.row_number().over(Window.partitionBy(SEG).orderBy("at"))
+    return windows.distinct().withColumn("_g", F.col("at") - row).groupBy(*SEG, "_g").agg(F.min("at").alias("at"), F.count("*").cast("int").alias("size")).drop("_g")
+
+
+def at_all_places(met: DataFrame, inside: DataFrame, kinds: DataFrame, copies: DataFrame) -> DataFrame:
+    """Repeated ranges in texts (k1, k2, lo, n) from those in segments: of repeated segments and of copied texts all."""
+    full = kinds.where("same").select(*SEG, F.lit(0).cast("long").alias("at"), F.col("n").alias("size"))
+    part = inside.join(kinds.where("not same").select(SEG), SEG, "left_semi")
+    everywhere = F.explode(F.concat(F.array("lo"), F.coalesce("more", F.array().cast("array<long>"))))
+    ranges = met.select(*SEG, "k1", "k2", everywhere.alias("lo")).join(store.written(part.unionByName(full), "ranges"), SEG)
+    ranges = ranges.select("k1", "k2", (F.col("lo") + F.col("at")).alias("lo"), F.col("size").alias("n"))
+    return ranges.distinct().union(copies.select("k1", "k2", F.lit(0).cast("long").alias("lo"), F.lit(2**30).alias("n")))
 
 
 def covered(texts: DataFrame, ranges: DataFrame, work, schema: str) -> DataFrame:
@@ -130,6 +183,7 @@ def covered(texts: DataFrame, ranges: DataFrame, work, schema: str) -> DataFrame
 
 def with_copies(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Rows with their text's digest, and the digests that several rows share."""
+    store.text_batches(docs.sparkSession)
     keyed = docs.select("*", *digest())
     return keyed, keyed.groupBy("k1", "k2").count().where("count > 1").select("k1", "k2")
 

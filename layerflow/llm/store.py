@@ -1,5 +1,5 @@
 """The engine's tables between steps, for the operators here."""
 
-from layerflow.store import delete, new_path, release, shared_dir, written
+from layerflow.store import delete, discard, new_path, release, shared_dir, text_batches, written
 
-__all__ = ["delete", "new_path", "release", "shared_dir", "written"]
+__all__ = ["delete", "discard", "new_path", "release", "shared_dir", "text_batches", "written"]
