@@ -25,10 +25,11 @@ def classify(t: np.ndarray) -> np.ndarray:
     s[n] = True
     if n < 2:
         return s
-    step = np.sign(np.diff(t.astype(np.int64)))
-    decides = np.where(step != 0, np.arange(n - 1), n - 1)
+    up = t[1:] > t[:-1]
+    step = up.astype(np.int8) - (t[1:] < t[:-1]).astype(np.int8)
+    decides = np.where(step != 0, np.arange(n - 1, dtype=np.int32), np.int32(n - 1))
     decides = np.minimum.accumulate(decides[::-1])[::-1]
-    s[: n - 1] = np.concatenate([step, [-1]])[decides] > 0
+    s[: n - 1] = np.concatenate([step, np.array([-1], np.int8)])[decides] > 0
     return s
 
 
@@ -59,7 +60,7 @@ def _place(sa: np.ndarray, at: np.ndarray, suffixes: np.ndarray, chars: np.ndarr
 def induce(t: np.ndarray, s: np.ndarray, lms: np.ndarray, b: _Buckets) -> np.ndarray:
     """All suffixes (but the empty one), induced from the leftmost-smaller ones in the order given."""
     n = len(t)
-    sa = np.full(n, -1, np.int64)
+    sa = np.full(n, -1, np.int32)
     tails, heads = b.end.copy(), b.start.copy()
     inner = lms[lms < n][::-1]
     _place(sa, tails, inner, t[inner], back=True)
@@ -117,7 +118,7 @@ def suffix_array(t: np.ndarray, symbols: int | None = None) -> np.ndarray:
     if symbols > MANY_SYMBOLS:
         return _by_doubling(t)
     s = classify(t)
-    lms = np.flatnonzero(s[1:] & ~s[:-1]) + 1
+    lms = (np.flatnonzero(s[1:] & ~s[:-1]) + 1).astype(np.int32)
     b = _Buckets(t, symbols)
     first = induce(t, s, lms, b)
     is_lms = np.zeros(n + 1, bool)
@@ -127,7 +128,7 @@ def suffix_array(t: np.ndarray, symbols: int | None = None) -> np.ndarray:
     if len(inner) > 1:
         # names: equal neighbours in this order have equal lengths and hashes of their substrings
         following = np.concatenate([inner[1:], lms[len(inner) :], [n]])[: len(inner)]
-        end = np.zeros(n + 1, np.int64)
+        end = np.zeros(n + 1, np.int32)
         end[inner] = np.minimum(following + 1, n + 1)
         up = np.full(n + 1, 0x9E3779B97F4A7C15, np.uint64)
         up[0] = 1
@@ -138,9 +139,10 @@ def suffix_array(t: np.ndarray, symbols: int | None = None) -> np.ndarray:
         units = np.concatenate([t.astype(np.uint64) + np.uint64(2), [np.uint64(1)]])
         sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(units * up, dtype=np.uint64)])
         hashes = mix((sums[end[order]] - sums[order]) * down[order])
+        del up, down, units, sums
         size = end[order] - order
         new = np.concatenate([[True], (hashes[1:] != hashes[:-1]) | (size[1:] != size[:-1])])
-        name = np.zeros(n + 1, np.int64)
+        name = np.zeros(n + 1, np.int32)
         name[order] = np.cumsum(new) - 1
         order = inner[suffix_array(name[inner], int(new.sum()))] if not new.all() else order
     return induce(t, s, order, b)
@@ -152,15 +154,15 @@ def permuted_prefixes(t: np.ndarray, sa: np.ndarray) -> tuple[np.ndarray, np.nda
     A suffix whose left neighbours agree has one less than its own left neighbour; only the others are compared.
     """
     n = len(t)
-    phi = np.full(n, -1, np.int64)
+    phi = np.full(n, -1, np.int32)
     phi[sa[1:]] = sa[:-1]
     before, other = t[:-1], phi[1:]
     follows = np.zeros(n, bool)
     if n > 1:
         follows[1:] = (other > 0) & (before == t[np.maximum(other - 1, 0)]) & (phi[:-1] >= 0)
-    lead = np.flatnonzero(~follows)
-    length = np.zeros(len(lead), np.int64)
-    padded = np.concatenate([t.astype(np.int64), np.full(8, -1, np.int64)])
+    lead = np.flatnonzero(~follows).astype(np.int32)
+    length = np.zeros(len(lead), np.int32)
+    padded = np.concatenate([t.astype(np.int16 if t.max(initial=0) < 2**15 else np.int64), np.full(8, -1, np.int16)])
     active = np.flatnonzero(phi[lead] >= 0)
     i, j = lead[active], phi[lead[active]]
     while len(active):
@@ -175,17 +177,16 @@ def permuted_prefixes(t: np.ndarray, sa: np.ndarray) -> tuple[np.ndarray, np.nda
             length[active] += step
             i, j = i + step, j + step
             active, i, j = active[full], i[full], j[full]
-    plcp = np.empty(n, np.int64)
-    owner = np.maximum.accumulate(np.where(follows, 0, np.arange(n)))
-    value = np.zeros(n, np.int64)
+    owner = np.maximum.accumulate(np.where(follows, np.int32(0), np.arange(n, dtype=np.int32)))
+    value = np.zeros(n, np.int32)
     value[lead] = length
-    plcp = value[owner] - (np.arange(n) - owner)
+    plcp = value[owner] - (np.arange(n, dtype=np.int32) - owner)
     return np.maximum(plcp, 0), phi
 
 
 def _agree(padded: np.ndarray, i: np.ndarray, j: np.ndarray, n: int) -> np.ndarray:
     """How many of the next eight units agree."""
-    out = np.zeros(len(i), np.int64)
+    out = np.zeros(len(i), np.int32)
     going = np.ones(len(i), bool)
     for k in range(8):
         a, b = np.minimum(i + k, n), np.minimum(j + k, n)

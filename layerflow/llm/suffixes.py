@@ -29,7 +29,7 @@ from layerflow.llm.sais import permuted_prefixes, suffix_array
 WIDTH = 400
 K = 32
 SHARD_BYTES = 2_000_000
-HOT_KINDS = 1024
+HOT_KINDS = 16_384
 
 
 def byte_units(data: np.ndarray, offsets: np.ndarray):
@@ -61,33 +61,32 @@ def repeated_windows(texts: list[bytes], width: int = WIDTH) -> list[np.ndarray]
 
 
 def _contents(texts: DataFrame, asked: DataFrame, width: int) -> DataFrame:
-    """The bytes of the asked segments: h, s1, s2, bytes.  asked: h, s1, s2, k1, k2, lo, n."""
-    lists = asked.groupBy("k1", "k2").agg(F.collect_list(F.struct("h", "s1", "s2", "lo", "n")).alias("asked"))
+    """The bytes of the asked segments: h, s, bytes.  asked: h, s, k1, k2, lo, n."""
+    lists = asked.groupBy("k1", "k2").agg(F.collect_list(F.struct("h", "s", "lo", "n")).alias("asked"))
     joined = texts.select("k1", "k2", "text").join(lists.hint("shuffle_hash"), ["k1", "k2"])
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = buffers(batch.column(2))
-            h, s1, s2, raw = [], [], [], []
+            h, s, raw = [], [], []
             for i, wanted in enumerate(batch.column(3).to_pylist()):
                 for w in wanted:
                     a = int(offsets[i]) + w["lo"]
                     h.append(w["h"])
-                    s1.append(w["s1"])
-                    s2.append(w["s2"])
+                    s.append(w["s"])
                     raw.append(data[a : a + w["n"] - 1 + width].tobytes())
                 if len(raw) >= 2000:
-                    yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(s1), pa.array(s2), pa.array(raw, pa.binary())], names=["h", "s1", "s2", "bytes"])
-                    h, s1, s2, raw = [], [], [], []
+                    yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(s), pa.array(raw, pa.binary())], names=["h", "s", "bytes"])
+                    h, s, raw = [], [], []
             if raw:
-                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(s1), pa.array(s2), pa.array(raw, pa.binary())], names=["h", "s1", "s2", "bytes"])
+                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(s), pa.array(raw, pa.binary())], names=["h", "s", "bytes"])
 
     # copies of a text answer alike
-    return joined.mapInArrow(work, "h long, s1 long, s2 long, bytes binary")
+    return joined.mapInArrow(work, "h long, s long, bytes binary")
 
 
 def _shard_ranges(contents: DataFrame, width: int) -> DataFrame:
-    """Repeated ranges within segments by suffix arrays: h, s1, s2, at, size."""
+    """Repeated ranges within segments by suffix arrays: h, s, at, size."""
     total = contents.agg(F.sum(F.length("bytes"))).first()[0] or 0
     shards = max(1, -(-total // SHARD_BYTES))
     sharded = contents.withColumn("shard", F.pmod(F.xxhash64("h"), F.lit(shards)))
@@ -95,7 +94,7 @@ def _shard_ranges(contents: DataFrame, width: int) -> DataFrame:
     def work(key, rows):
         rows = rows.combine_chunks()
         texts = rows.column("bytes").to_pylist()
-        keys = list(zip(rows.column("s1").to_pylist(), rows.column("s2").to_pylist()))
+        keys = list(zip(rows.column("h").to_pylist(), rows.column("s").to_pylist()))
         first = {}
         for i, x in enumerate(keys):
             first.setdefault(x, i)
@@ -109,49 +108,41 @@ def _shard_ranges(contents: DataFrame, width: int) -> DataFrame:
                 which += [i] * len(a)
                 at += a.tolist()
                 size += (b - a).tolist()
-        taken = rows.select(["h", "s1", "s2"]).take(pa.array(which, pa.int64()))
+        taken = rows.select(["h", "s"]).take(pa.array(which, pa.int64()))
         return taken.append_column("at", pa.array(at, pa.int64())).append_column("size", pa.array(size, pa.int32()))
 
-    return sharded.groupBy("shard").applyInArrow(work, "h long, s1 long, s2 long, at long, size int")
+    return sharded.groupBy("shard").applyInArrow(work, "h long, s long, at long, size int")
 
 
-def _hot_ranges(contents: DataFrame, width: int) -> DataFrame:
-    """The same for anchors with too many kinds of segment, by the strings' own digests."""
+def _hot_windows(contents: DataFrame, width: int) -> DataFrame:
+    """Repeated windows of anchors with too many kinds of segment, by the strings' own digests."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            data, offsets = buffers(batch.column(3))
+            data, offsets = buffers(batch.column(2))
             prefix = repeats.Prefixes(data.astype(np.uint64))
             count = np.maximum(np.diff(offsets) - width + 1, 0)
             row = np.repeat(np.arange(len(count)), count)
             at = np.arange(len(row)) - np.repeat(np.cumsum(count) - count, count)
             start = offsets[row] + at
-            w1, w2 = prefix.of(start, start + width)
-            keys = [batch.column(i).take(pa.array(row)) for i in range(3)]
-            yield pa.RecordBatch.from_arrays([*keys, pa.array(w1), pa.array(w2), pa.array(at)], names=["h", "s1", "s2", "w1", "w2", "at"])
+            keys = [batch.column(i).take(pa.array(row)) for i in range(2)]
+            yield pa.RecordBatch.from_arrays([*keys, pa.array(prefix.of(start, start + width)), pa.array(at)], names=["h", "s", "w", "at"])
 
-    windows = contents.select("h", "s1", "s2", "bytes").mapInArrow(work, "h long, s1 long, s2 long, w1 long, w2 long, at long")
-    again = repeats.repeated(windows, ["w1", "w2"], ["h", "s1", "s2", "at"])
-    return windows.join(again, ["w1", "w2"], "left_semi").select("h", "s1", "s2", "at", F.lit(1).alias("size"))
+    windows = contents.select("h", "s", "bytes").mapInArrow(work, "h long, s long, w long, at long")
+    again = repeats.repeated(windows, ["h", "w"], ["s", "at"])
+    return windows.join(again, ["h", "w"], "left_semi").select("h", "s", "at")
 
 
 def repeated_ranges(keyed: DataFrame, copies: DataFrame, width: int) -> DataFrame:
     found = store.written(repeats.find_segments(keyed.where("text is not null"), byte_units, width, K), "segments")
-    place, seg = ["k1", "k2", "lo"], ["h", "s1", "s2"]
-    met = repeats.repeated(found, ["h"], place)
-    met_rows = found.join(met, "h", "left_semi")
-    state = met_rows.groupBy(seg).agg(F.min(F.struct(*place, "n")).alias("_a"), F.max(F.struct(*place, "n")).alias("_b"))
-    state = state.select(*seg, "_a.*", (F.col("_a") != F.col("_b")).alias("same"))
-    kinds = state.groupBy("h").agg(F.count("*").alias("kinds")).where("kinds > 1")
-    state = store.written(state.join(kinds, "h", "left"), "kinds")
-    asked = state.where("kinds is not null")
-    contents = store.written(_contents(keyed, asked, width).join(asked.select(*seg, "kinds").distinct(), seg), "contents")
+    met = store.written(found.join(store.written(repeats.met_hashes(found), "hashes"), "h", "left_semi"), "met")
+    store.discard(found)
+    kinds = store.written(repeats.kinds_of_segments(met), "kinds")
+    asked = kinds.where("kinds is not null")
+    contents = store.written(_contents(keyed, asked, width).join(asked.select(*repeats.SEG, "kinds"), repeats.SEG), "contents")
     hot = F.col("kinds") > HOT_KINDS
-    inside = _shard_ranges(contents.where(~hot).drop("kinds"), width).unionByName(_hot_ranges(contents.where(hot).drop("kinds").distinct(), width))
-    full = state.where("same").select(*seg, F.lit(0).cast("long").alias("at"), F.col("n").alias("size"))
-    ranges = store.written(inside.unionByName(full), "ranges")
-    whole = copies.select("k1", "k2", F.lit(0).cast("long").alias("lo"), F.lit(2**30).alias("n"))
-    return met_rows.select(*seg, *place).join(ranges, seg).select("k1", "k2", (F.col("lo") + F.col("at")).alias("lo"), F.col("size").alias("n")).distinct().union(whole)
+    inside = _shard_ranges(contents.where(~hot).drop("kinds"), width).unionByName(repeats.folded(_hot_windows(contents.where(hot), width)))
+    return repeats.at_all_places(met, inside, kinds, copies)
 
 
 def remove_repeats(docs: DataFrame, width: int = WIDTH, with_bytes: bool = False) -> DataFrame:
