@@ -25,6 +25,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from layerflow.llm import store
+
 #: One comment, raw-text element, declaration, tag or run of text.
 _TOKEN = re.compile(
     r"<!--.*?(?:-->|\Z)"
@@ -165,6 +167,7 @@ def extract(pages: DataFrame, costs: dict[str, float], html: str = "html") -> Da
     """Adds text and n_chars to every row."""
     kept = pages.drop("text", "n_chars")
     names = kept.columns
+    store.text_batches(pages.sparkSession)
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields), "text string, n_chars long"])
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -25,6 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from layerflow.llm import store
 from layerflow.llm.flat import runs
 
 MARK = "▁"
@@ -259,6 +260,7 @@ def encode_decode(docs: DataFrame, model_path: str, text: str = "text", with_ids
     The model is read once on the driver and sent to the executors (its size is that of the vocabulary file).
     """
     spark = docs.sparkSession
+    store.text_batches(spark)
     model = spark.sparkContext.broadcast(PieceModel.load(model_path))
     added = ["n_tokens", "ids_sha256", "decoded_sha256", *(["token_ids", "decoded"] if with_ids else [])]
     kept = docs.drop(*added)
