@@ -47,41 +47,35 @@ def order_degree(edges: DataFrame, vertices: DataFrame, by: str = "in") -> DataF
     return dense_positions(degrees(edges, vertices), [key, F.col("vid")]).select("vid", "pos")
 
 
-def order_rcm(edges: DataFrame, vertices: DataFrame, max_levels: int = 1000) -> DataFrame:
+def order_rcm(edges: DataFrame, vertices: DataFrame, max_levels: int = 10_000) -> DataFrame:
     """Reverse breadth-first order from a vertex of lowest degree in each component, neighbours by parent and degree.
 
-    Level by level: a new vertex's parent is its neighbour with the smallest position.  Each level is written, so that
-    plans stay short; the number of levels is the graph's diameter, which suits the baseline's small graphs.
+    All components advance together, a level a step: first labels spread to find the components, then levels.  Steps are
+    written, so that plans stay short; their number is the graph's diameter, which suits the baseline's graphs.
     """
     both = store.written(edges.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).where("src != dst").distinct(), "both")
     d = both.groupBy("src").agg(F.count("*").alias("deg"))
-    info = store.written(vertices.select("vid").distinct().join(d.withColumnRenamed("src", "vid"), "vid", "left").select("vid", F.coalesce("deg", F.lit(0)).alias("deg")), "info")
-    placed, count, parts = None, 0, []
-    frontier = None
+    info = vertices.select("vid").distinct().join(d.withColumnRenamed("src", "vid"), "vid", "left").select("vid", F.coalesce("deg", F.lit(0).cast("long")).alias("deg"))
+    comp = store.written(info.select("vid", "deg", F.col("vid").alias("comp")), "comp")
     for _ in range(max_levels):
-        rest = info if placed is None else info.join(placed, "vid", "left_anti")
-        if frontier is None:
-            root = rest.orderBy("deg", "vid").limit(1).collect()
-            if not root:
-                break
-            level = info.where(F.col("vid") == root[0]["vid"]).select("vid", F.lit(0).cast("long").alias("parent"), "deg")
-        else:
-            near = both.join(frontier.select(F.col("vid").alias("src"), "pos"), "src").groupBy("dst").agg(F.min("pos").alias("parent"))
-            level = near.withColumnRenamed("dst", "vid").join(placed, "vid", "left_anti").join(info, "vid")
-        level = dense_positions(level, [F.col("parent"), F.col("deg"), F.col("vid")]).select("vid", (F.col("pos") + count).alias("pos"))
+        near = both.join(comp.select(F.col("vid").alias("dst"), "comp"), "dst").groupBy("src").agg(F.min("comp").alias("near"))
+        new = comp.join(near.withColumnRenamed("src", "vid"), "vid", "left").select("vid", "deg", F.least("comp", "near").alias("comp"), (F.col("near") < F.col("comp")).alias("moved"))
+        new = store.written(new, "comp")
+        comp = new.drop("moved")
+        if not new.where("moved").limit(1).count():
+            break
+    roots = comp.groupBy("comp").agg(F.min(F.struct("deg", "vid")).alias("r")).select("comp", F.col("r.vid").alias("vid"), F.col("r.deg").alias("deg"))
+    level = store.written(roots.select("vid", "comp", "deg", F.lit(0).alias("level"), F.lit(0).cast("long").alias("rank")), "level")
+    done = level
+    for n in range(1, max_levels):
+        near = both.join(level.select(F.col("vid").alias("src"), "rank"), "src").groupBy("dst").agg(F.min("rank").alias("parent")).withColumnRenamed("dst", "vid")
+        fresh = near.join(done.select("vid"), "vid", "left_anti").join(comp, "vid")
+        level = dense_positions(fresh, [F.col("parent"), F.col("deg"), F.col("vid")], "rank").select("vid", "comp", "deg", F.lit(n).alias("level"), "rank")
         level = store.written(level, "level")
-        size = level.count()
-        if not size:
-            frontier = None
-            continue
-        frontier = level
-        parts.append(level)
-        placed = level.select("vid") if placed is None else placed.union(level.select("vid"))
-        count += size
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out.select("vid", (F.lit(count - 1) - F.col("pos")).alias("pos"))
+        if not level.limit(1).count():
+            break
+        done = store.written(done.unionByName(level), "done")
+    return dense_positions(done, [F.desc("comp"), F.desc("level"), F.desc("rank"), F.col("vid")]).select("vid", "pos")
 
 
 def order_greedy_small(edges: list[tuple[int, int]], n: int) -> list[int]:

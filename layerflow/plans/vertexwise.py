@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from layerflow import store
 from layerflow.operators.layers import Layer
 from layerflow.operators.progress import neighbor_cache
-from layerflow.operators.sampling import frontier, khop_subgraph, sample_neighbors
+from layerflow.operators.sampling import frontier, sample_neighbors
 from layerflow.operators.tiers import cache_replay
 from layerflow.plans.layerwise import infer_layerwise
 from layerflow.sources.graphs import Graph
@@ -19,8 +19,12 @@ from layerflow.sources.graphs import Graph
 def infer_targets(g: Graph, layers: list[Layer], targets: DataFrame, fanout: int | None = None, seed: int = 0, exact: bool = True) -> DataFrame:
     """Rows of the targets only: their in-neighbourhood of as many hops as there are layers is cut out and run."""
     edges = sample_neighbors(g.edges, fanout, seed) if fanout else g.edges
-    need = frontier(edges, targets, len(layers)).select("vid").distinct()
-    part = replace(g, vertices=g.vertices.join(need, "vid", "left_semi"), edges=khop_subgraph(edges, targets, len(layers)), features=g.features.join(need, "vid", "left_semi"))
+    # the cut-out is written: each layer and hop reads it, none computes it again
+    reached = store.written(frontier(edges, targets, len(layers)), "reached")
+    need = reached.select("vid")
+    inner = reached.where(F.col("hop") < len(layers)).select(F.col("vid").alias("dst"))
+    cut = store.written(edges.join(inner, "dst", "left_semi").select("src", "dst"), "cut")
+    part = replace(g, vertices=g.vertices.join(need, "vid", "left_semi"), edges=cut, features=g.features.join(need, "vid", "left_semi"))
     out, _ = infer_layerwise(part, layers, exact=exact)
     return out.join(targets.select("vid").distinct(), "vid", "left_semi")
 

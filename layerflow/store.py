@@ -5,6 +5,7 @@ from __future__ import annotations
 import gc
 import itertools
 import tempfile
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -47,8 +48,17 @@ def discard(df: DataFrame) -> None:
     delete(df.sparkSession, path)
 
 
+#: Seconds between two collections at least.
+PAUSE = 3.0
+_released = 0.0
+
+
 def release(spark: SparkSession) -> None:
     """Lets Spark delete the shuffle files of finished steps, which it does when their plans are collected as garbage."""
+    global _released
+    if time.monotonic() - _released < PAUSE:
+        return
+    _released = time.monotonic()
     gc.collect()
     spark.sparkContext._jvm.System.gc()
 
