@@ -5,9 +5,8 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F  # noqa: F401
 
-from layerflow.llm import ann, decontaminate, extract, fingerprints, jaccard, pieces, ppm, secrets, suffixes
+from layerflow.llm import ann, decontaminate, extract, fingerprints, jaccard, licenses, pieces, ppm, secrets, suffixes
 
 
 def tokenizer_path() -> str:
@@ -31,6 +30,11 @@ def op2_repeated_word_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints.remove_repeats(docs).drop("text")
 
 
+def op3_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents").select("doc_id", licenses.document_path().alias("path"), "text")
+    return licenses.scan_licenses(docs)
+
+
 def op4_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "text")
     return decontaminate.decontaminate(docs, _table(spark, sf_dir, "benchmark")).drop("text", "items")
@@ -69,6 +73,7 @@ def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_secret_scan": op1_secret_scan,
     "op2_repeated_word_windows": op2_repeated_word_windows,
+    "op3_license_scan": op3_license_scan,
     "op4_benchmark_decontamination": op4_benchmark_decontamination,
     "op5_main_text": op5_main_text,
     "op6_repeated_byte_strings": op6_repeated_byte_strings,
@@ -78,4 +83,4 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_language_id": op10_language_id,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op3_license_scan": licenses.oracle()}
