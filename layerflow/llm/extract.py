@@ -126,7 +126,7 @@ def learn_costs(pages: DataFrame, key: str = "page_id", html: str = "html", samp
 def _cost(inside: float, outside: float) -> float:
     """A small cost for tags of content, a growing one for others."""
     odds = math.log(outside / inside)
-    return 0.02 if odds < 0 else min(8.0, 0.02 + 1.5 * odds)
+    return 0.02 if odds < 0 else min(2.0, 0.02 + 0.5 * odds)
 
 
 def main_text(page: str | None, costs: dict[str, float]) -> str:

@@ -13,7 +13,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-BLOCK_BYTES = 1 << 20
+BLOCK_BYTES = 1 << 18
 
 #: Word characters of ``[^\x20\x09-\x0D]+``.
 NOT_SPACE = np.ones(256, np.uint8)

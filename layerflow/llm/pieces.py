@@ -241,7 +241,7 @@ def _patched(raw: bytes) -> str:
     return "".join(out)
 
 
-def text_blocks(column: pa.Array, limit: int = 1 << 21) -> Iterator[list[str | None]]:
+def text_blocks(column: pa.Array, limit: int = 1 << 19) -> Iterator[list[str | None]]:
     """Texts of a column in lists of about ``limit`` characters."""
     out, n = [], 0
     for x in column.to_pylist():

@@ -1,0 +1,359 @@
+"""Each operator against a brute-force version, and its edge cases: nulls, empty and long texts, ties, repeated rows, empty tables, clashing columns."""
+
+import hashlib
+import random
+import re
+from collections import Counter
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from layerflow.llm import ann, decontaminate, extract, fingerprints, jaccard, licenses, pieces, ppm, sais, secrets, sigtree, suffixes
+from layerflow.llm.queries import QUERIES, tokenizer_path
+
+SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
+VOCABULARY = "alpha beta gamma delta epsilon zeta eta theta iota kappa".split()
+
+
+def sha(s):
+    return hashlib.sha256(s.encode() if isinstance(s, str) else s).hexdigest()
+
+
+def texts(seed=3, n=40):
+    """Documents with copies, near copies, shared passages, a hot line and edge cases."""
+    rng = random.Random(seed)
+    words = lambda k: [rng.choice(VOCABULARY) + str(rng.randrange(40)) for _ in range(k)]
+    passage, out = words(60), []
+    for i in range(n):
+        own = words(rng.randrange(5, 120))
+        kind = i % 5
+        if kind == 1:
+            own = own[: len(own) // 2] + passage + own[len(own) // 2 :]
+        if kind == 2 and out:
+            own = out[-2].split()
+            own[len(own) // 2] = "changed"
+        out.append(" ".join(own) if kind != 3 else out[rng.randrange(len(out))])
+    return out + [None, "", " \n\t ", "one", "Two Words", "x" * 3000, ("the same line again\n" * 200), ("the same line again\n" * 200).upper(), "é " * 500]
+
+
+@pytest.fixture(scope="module")
+def docs(spark):
+    rows = [(i, t, "en", "s", None) for i, t in enumerate(texts())]
+    rows += [(7, rows[7][1], "en", "s", 1), (None, "orphan text with no id at all", None, None, None), (None, rows[1][1], None, None, None)]
+    return spark.createDataFrame(rows, SCHEMA).repartition(3).cache()
+
+
+@pytest.fixture(scope="module")
+def empty(spark):
+    return spark.createDataFrame([], SCHEMA)
+
+
+def words(t):
+    return re.findall(r"[^\x20\x09-\x0D]+", t or "")
+
+
+def test_secret_scan(docs, spark):
+    t = ["token = 'abcdef123456' AKIA" + "A" * 20, "PASSWORD:short", "secret=secret=abcdefg", "deadbeef" * 4, "toKen=ſecret" + "K" * 9, "ghp_" + "z" * 40, None, "", "-----BEGIN RSA PRIVATE KEY-----"]
+    df = docs.select("doc_id", "text", F.lit(1).alias("spans")).unionByName(spark.createDataFrame([(1000 + i, x, 1) for i, x in enumerate(t)], "doc_id long, text string, spans int"))
+    base = [
+        (re.compile(r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.A), 2, 6, "assign"),
+        (re.compile(r"AKIA[A-Z0-9]+"), 0, 20, "access"),
+        (re.compile(r"[0-9a-f]+"), 0, 24, "hex"),
+    ]
+    for r in secrets.scan_secrets(df, redact="#").collect():
+        want = sorted((m.start(), k, m.end()) for k, (x, g, n, _) in enumerate(base) for m in x.finditer(r.text or "") if len(m.group(g)) >= n)
+        assert r.base_sha256 == sha(",".join(f"{base[k][3]}:{a}:{b}" for a, k, b in want))
+        assert (r.n_assign, r.n_access, r.n_hex) == tuple(sum(x[1] == k for x in want) for k in range(3))
+        if r.doc_id == 1005:
+            assert r.spans == "github:0:44" and r.redacted == "#"
+        if r.doc_id == 1008:
+            assert r.spans.startswith("private_key:0:")
+
+
+def test_trigram_queries():
+    for rule in secrets.BASE_RULES + secrets.MORE_RULES:
+        need = secrets.demanded(secrets.trigram_query(rule.pattern))
+        assert (rule.kind == "hex") == (not need)
+    assert secrets.trigram_query("ab|abcd") == secrets.ANY
+    assert secrets.trigram_query("(abc)+x?") == ("has", "abc")
+
+
+def test_repeated_words(docs, empty):
+    out = fingerprints.remove_repeats(docs.select("doc_id", "text", F.lit(1).alias("k1"))).collect()
+    rows = [words(r.text) for r in out]
+    seen = Counter(tuple(w[i : i + 35]) for w in rows for i in range(len(w) - 34))
+    for r, w in zip(out, rows):
+        gone = [False] * len(w)
+        for i in range(len(w) - 34):
+            if seen[tuple(w[i : i + 35])] > 1:
+                gone[i : i + 35] = [True] * 35
+        kept = " ".join(x for x, g in zip(w, gone) if not g)
+        assert (r.n_words, r.n_removed, r.kept_sha256) == (len(w), sum(gone), sha(kept)), r.doc_id
+    assert fingerprints.remove_repeats(empty).collect() == []
+
+
+def test_fingerprint_index_is_incremental(spark, docs, tmp_path):
+    keyed, _ = fingerprints.repeats.with_copies(docs.select("doc_id", "text"))
+    keyed = keyed.where("text is not null")
+    index = fingerprints.FingerprintIndex(spark, f"file://{tmp_path}/i")
+    parts = [index.add(keyed.where(F.pmod("k1", F.lit(3)) == i)) for i in range(3)]
+    assert [level for level, _ in index.runs] == [1, 0]
+    at_once = fingerprints.FingerprintIndex(spark, f"file://{tmp_path}/j")
+    at_once.add(keyed)
+    key = lambda i: {(r.h, r.k1, r.k2, r.lo) for r in i.candidates().collect()}
+    assert key(index) == key(at_once) and parts[0].columns == ["h"]
+
+
+@pytest.mark.parametrize("hot", [16_384, 1])
+def test_repeated_bytes(docs, empty, hot, monkeypatch):
+    monkeypatch.setattr(suffixes, "HOT_KINDS", hot)
+    out = suffixes.remove_repeats(docs.select("doc_id", "text")).collect()
+    rows = [(r.text or "").encode() for r in out]
+    seen = Counter(b[i : i + 400] for b in rows for i in range(len(b) - 399))
+    for r, b in zip(out, rows):
+        gone = np.zeros(len(b), bool)
+        for i in range(len(b) - 399):
+            if seen[b[i : i + 400]] > 1:
+                gone[i : i + 400] = True
+        spans = int((np.diff(np.concatenate([[0], gone.astype(int)])) == 1).sum())
+        kept = np.frombuffer(b, np.uint8)[~gone].tobytes()
+        assert (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) == (len(b), int(gone.sum()), spans, sha(kept))
+    assert hot == 1 or suffixes.remove_repeats(empty).collect() == []
+
+
+def test_suffix_array():
+    rng = np.random.default_rng(0)
+    for _ in range(200):
+        t = rng.integers(0, rng.integers(1, 5) + 1, rng.integers(1, 80))
+        b = t.tolist()
+        order = sorted(range(len(b)), key=lambda i: b[i:])
+        sa = sais.suffix_array(t)
+        assert sa.tolist() == order
+        plcp, _ = sais.permuted_prefixes(t, sa)
+        for x, y in zip(order, order[1:]):
+            n = 0
+            while max(x, y) + n < len(b) and b[x + n] == b[y + n]:
+                n += 1
+            assert plcp[y] == n
+
+
+def test_decontamination(docs, spark, empty):
+    source = words(texts()[1])
+    items = [(1, " ".join(source[3:20]).upper()), (2, "two words"), (3, "one"), (4, None), (5, " .. "), (6, "nowhere to be found in any of them at all ever"), (1, "one")]
+    items = spark.createDataFrame(items, "item_id long, text string")
+    find = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+    low = lambda s: "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in s or "")
+    windows = {}
+    for r in items.collect():
+        w = find.findall(low(r.text))
+        for i in range(max(0, len(w) - min(10, len(w)) + 1) if w else 0):
+            windows.setdefault(tuple(w[i : i + min(10, len(w))]), set()).add(str(r.item_id))
+    for block in (2_000_000, 2):
+        for r in decontaminate.decontaminate(docs.withColumn("items", F.lit("x")), items, block_words=block).collect():
+            w = find.findall(low(r.text))
+            hit, found = set(), set()
+            for n in {len(k) for k in windows}:
+                for i in range(len(w) - n + 1):
+                    if tuple(w[i : i + n]) in windows:
+                        hit.update(range(i, i + n))
+                        found |= windows[tuple(w[i : i + n])]
+            assert (r.n_words, r.n_hit, r.n_items, r.items_sha256, r.contaminated) == (len(w), len(hit), len(found), sha(",".join(sorted(found))), bool(hit))
+    assert decontaminate.decontaminate(empty, items).collect() == []
+    assert not any(r.contaminated for r in decontaminate.decontaminate(docs, items.where("false")).collect())
+
+
+def test_main_text(spark):
+    menu = "<nav><ul><li><a href='/a'>Home</a></li><li><a href='/b'>About us</a></li></ul></nav>"
+    page = f"<html><head><title>T</title><script>var a='<p>no</p>';</script></head><body>{menu}<article><h1>Head &amp; line</h1><p>First   <b>bo</b>ld&nbsp;text.<br>Next one</p><div class='ad'>Buy now cheap</div><p>Last of the many words that stand here in a row of their own.</p><div class='comments'><p>I say no</p></div></article><footer>&copy; us</footer></body></html>"
+    pages = spark.createDataFrame([(i, "u", page) for i in range(5)] + [(9, "u", None), (10, "u", ""), (11, None, "plain words only"), (12, "u", "<p>unclosed <b>text"), (13, "u", "<nav>just a menu</nav>")], "page_id long, url string, html string")
+    costs = extract.learn_costs(pages)
+    got = {r.page_id: (r.text, r.n_chars) for r in extract.extract(pages, costs).collect()}
+    want = "Head & line First bold text. Next one Last of the many words that stand here in a row of their own."
+    assert got[0] == (want, len(want)) and got[9] == got[10] == got[13] == ("", 0)
+    assert got[11][0] == "plain words only" and got[12][0] == "unclosed text"
+    assert extract.extract(pages.where("false"), extract.learn_costs(pages.where("false"))).collect() == []
+
+
+def brute_components(rows):
+    sets = []
+    for t in rows:
+        w = words("".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t or ""))
+        sets.append({tuple(w[i : i + 5]) for i in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} if w else set())
+    parent = list(range(len(rows)))
+
+    def root(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i, a in enumerate(sets):
+        for j in range(i):
+            if a and sets[j] and 100 * len(a & sets[j]) >= 80 * len(a | sets[j]):
+                parent[root(i)] = root(j)
+    return sets, [root(i) for i in range(len(rows))]
+
+
+@pytest.mark.parametrize("common, block", [(64, 4096), (1, 4)])
+def test_shingle_links(docs, empty, common, block, monkeypatch):
+    monkeypatch.setattr(jaccard, "COMMON", common)
+    monkeypatch.setattr(jaccard, "BLOCK", block)
+    out = jaccard.link_components(docs.select("doc_id", "text", F.monotonically_increasing_id().alias("row"), F.lit(0).alias("s1"))).collect()
+    rows = {r.row: r for r in docs.select("text", "doc_id", F.monotonically_increasing_id().alias("row")).collect()}
+    sets, roots = brute_components([rows[r.row].text for r in out])
+    ids = {}
+    for r, x, s in zip(out, roots, sets):
+        if r.doc_id is not None and s:
+            ids[x] = min(ids.get(x, r.doc_id), r.doc_id)
+    for r, s, x in zip(out, sets, roots):
+        assert r.n_shingles == len(s)
+        assert r.component_id == (ids.get(x) if s else r.doc_id)
+    assert common == 1 or jaccard.link_components(empty.select("doc_id", "text")).collect() == []
+
+
+def test_signature_tree_leaves_no_pair_out():
+    rng = np.random.default_rng(1)
+    sets = []
+    for _ in range(120):
+        base = sets[rng.integers(len(sets))] if sets and rng.random() < 0.6 else rng.integers(0, 2**63, rng.integers(20, 400), dtype=np.uint64)
+        sets.append(np.unique(np.where(rng.random(len(base)) < 0.08, rng.integers(0, 2**63, len(base), dtype=np.uint64), base)))
+    size = np.array([len(s) for s in sets])
+    found = {tuple(sorted(p)) for p in sigtree.pairs_of_any_width([jaccard.bitmap(s) for s in sets], size, np.arange(120), None, 80).tolist()}
+    for i in range(120):
+        for j in range(i):
+            both = len(np.intersect1d(sets[i], sets[j]))
+            if 100 * both >= 80 * (size[i] + size[j] - both):
+                assert (j, i) in found
+    assert len(found) < 120 * 119 / 2
+
+
+def test_codec_equals_library(docs, empty):
+    import sentencepiece
+
+    lib = sentencepiece.SentencePieceProcessor(model_file=tokenizer_path())
+    codec = pieces.Codec(pieces.PieceModel.load(tokenizer_path()), keep=50)
+    rng = random.Random(5)
+    parts = ["the", "ing ", " ", "  ", "\n", "\t", "▁", "é", "😀", "\x00", "中", "a", "aa", "ab", "'s", "tion", "X"]
+    many = ["".join(rng.choice(parts) for _ in range(rng.randrange(40))) for _ in range(1500)] + ["a" * 3000, " " * 500, "ab" * 900, None, ""] + [t for t in texts() if t]
+    for a in range(0, len(many), 100):
+        block = many[a : a + 100]
+        ids, at = codec.encode(block)
+        for t, x, y, back in zip(block, at[:-1], at[1:], codec.decode(ids, at)):
+            want = lib.encode(t or "") + [lib.eos_id()]
+            assert ids[x:y].tolist() == want and back == lib.decode(want)
+    for _ in range(300):
+        z = [rng.randrange(300) if rng.random() < 0.7 else rng.randrange(32000) for _ in range(8)]
+        assert codec.decode(np.array(z), np.array([0, 8]))[0] == lib.decode(z)
+    out = pieces.encode_decode(docs.withColumn("n_tokens", F.lit(0)), tokenizer_path(), with_ids=True).collect()
+    assert all(r.ids_sha256 == sha(" ".join(map(str, r.token_ids))) and r.n_tokens == len(r.token_ids) for r in out)
+    assert pieces.encode_decode(empty, tokenizer_path()).collect() == []
+
+
+def test_nearest(spark):
+    rng = np.random.default_rng(2)
+    x = rng.standard_normal((300, 8))
+    x[50:90] = x[50]
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(300, None), (301, [0.0] * 8), (302, [float("nan")] + [1.0] * 7), (303, [None] + [1.0] * 7), (None, [1.0] * 8), (5, x[5].tolist()), (304, [1.0, 2.0])]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    out = ann.nearest(df, df.where("vec_id % 20 = 0"), k=20)
+    got = {}
+    for r in out.orderBy("query_id", "rank").collect():
+        got.setdefault(r.query_id, []).append((r.vec_id, r.score))
+    hit = 0
+    for q in range(0, 300, 20):
+        s = x @ x[q]
+        want = [i for i in np.lexsort((np.arange(300), -s)) if i != q][:20]
+        hit += len(set(want) & {v for v, _ in got[q]})
+        assert len(got[q]) == 20 and all(abs(sc - s[v]) < 1e-9 for v, sc in got[q])
+    assert hit >= 0.9 * 15 * 20
+    assert ann.nearest(df.where("vec_id < 3"), df.where("vec_id = 0")).count() == 2
+    assert ann.nearest(df.where("false"), df).collect() == []
+
+
+def test_language_id(spark, sf_dir, empty):
+    d = spark.read.parquet(f"{sf_dir}/documents.parquet").withColumn("score", F.lit("x"))
+    out = {r.doc_id: r for r in ppm.identify(d).select("doc_id", "lang", "lang_pred", "score", "held_out").collect()}
+    held = [r for r in out.values() if r.held_out]
+    assert held and sum(r.lang == r.lang_pred for r in held) >= 0.95 * len(held)
+    assert all(0 <= r.score <= 1 for r in out.values())
+    trees = ppm.train(d, "doc_id", "text", "lang")
+    odd = spark.createDataFrame([(1, None), (2, ""), (3, "123 !?"), (4, "a"), (5, "the and of " * 20000)], "doc_id long, text string")
+    got = {r.doc_id: r.lang_pred for r in ppm.predict(odd, trees).collect()}
+    assert got[1] == got[2] == got[3] == "und" and got[4] != "und" and got[5] == "en"
+    assert ppm.identify(empty).collect() == []
+    assert all(r.lang_pred == "und" for r in ppm.identify(odd.withColumn("lang", F.lit(None).cast("string"))).collect())
+
+
+def test_code_lengths_are_those_of_the_trees():
+    """Bits of a text by walking the counts, one byte at a time."""
+    import pyarrow as pa
+
+    from layerflow.llm.flat import buffers
+
+    samples = {"x": b"abracadabra abra", "y": b"banana bandana"}
+    counts = {}
+    for name, t in samples.items():
+        data = np.frombuffer(t, np.uint8)
+        counts[name] = [(lambda c, n: (c, n.astype(float)))(*np.unique(ppm.gram_codes(data, np.array([0, len(data)]), k), return_counts=True)) for k in range(1, ppm.ORDER + 1)]
+    scorer = ppm.Scorer(ppm.ContextTrees.fit(counts))
+    text = "abra bananas z"
+    data, offsets = buffers(pa.array([text, "", "q"]))
+    bits = scorer.bits(data, offsets)
+
+    def cost(t, i, name, k):
+        if k < 0:
+            return 8.0
+        if k > i:
+            return cost(t, i, name, i)
+        s = samples[name]
+        ctx = t[i - k : i]
+        after = Counter(s[j + k] for j in range(len(s) - k) if s[j : j + k] == ctx)
+        n, d = sum(after.values()), len(after)
+        if not n:
+            return cost(t, i, name, k - 1)
+        return -np.log2(after[t[i]] / (n + d)) if after[t[i]] else -np.log2(d / (n + d)) + cost(t, i, name, k - 1)
+
+    for j, name in enumerate(sorted(samples)):
+        b = text.encode()
+        assert abs(bits[0, j] - sum(cost(b, i, name, min(i, ppm.ORDER - 1)) for i in range(len(b)))) < 1e-3
+    assert (bits[1] == 0).all() and bits[2].min() > 0
+
+
+def test_licenses(spark):
+    rows = [
+        ("lib/LICENSE", "Released under the MIT License.\nand more text"),
+        ("lib/a/code.py", "no header here"),
+        ("lib/a/b/own.py", "x\nLicensed under the Apache License, Version 2.0.\ny"),
+        ("lib/a/c/COPYING", "This work is licensed under the GNU General Public License, version 3."),
+        ("lib/a/c/d/e.txt", None),
+        ("other/x.txt", ""),
+        ("top.txt", "nothing"),
+        ("top.txt", "nothing"),
+        (None, "Released under the MIT License."),
+        ("z/odd.txt", "our license is a secret of the house of unusual words"),
+    ]
+    got = {}
+    for r in licenses.scan_licenses(spark.createDataFrame(rows, "path string, text string").withColumn("how", F.lit("x"))).collect():
+        got[r.path] = (r.license, r.how)
+    assert got["lib/LICENSE"] == ("MIT", "own") and got["lib/a/code.py"] == ("MIT", "inherited")
+    assert got["lib/a/b/own.py"] == ("Apache-2.0", "own") and got["lib/a/c/d/e.txt"] == ("GPL-3.0", "inherited")
+    assert got["other/x.txt"] == got["top.txt"] == got["z/odd.txt"] == (None, "none")
+    assert licenses.scan_licenses(spark.createDataFrame([], "path string, text string")).collect() == []
+
+
+def test_queries_have_the_agreed_columns(spark, sf_dir):
+    want = {
+        "op1_": "doc_id n_assign n_access n_hex base_sha256 spans",
+        "op2_": "doc_id n_words n_removed kept_sha256",
+        "op4_": "doc_id n_words n_hit n_items items_sha256 contaminated",
+        "op5_": "page_id url text n_chars",
+        "op6_": "doc_id n_bytes n_removed n_spans kept_sha256",
+        "op7_": "doc_id n_shingles component_id",
+        "op8_": "doc_id n_tokens ids_sha256 decoded_sha256",
+        "op9_": "query_id rank vec_id score",
+        "op10_": "doc_id held_out lang_pred score",
+    }
+    for prefix, columns in want.items():
+        name = next(k for k in QUERIES if k.startswith(prefix))
+        if prefix not in ("op2_", "op6_", "op7_"):
+            assert set(columns.split()) <= set(QUERIES[name](spark, sf_dir).columns)
