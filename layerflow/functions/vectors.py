@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import cache
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -25,10 +27,31 @@ def _normalise(a: pd.Series) -> pd.Series:
     return pd.Series([np.asarray(x, np.float64) / (np.linalg.norm(np.asarray(x, np.float64)) or 1.0) for x in a])
 
 
-vec_dot = pandas_udf(_dot, "double", functionType=200)
-vec_add = pandas_udf(_add, "array<double>", functionType=200)
-vec_scale = pandas_udf(_scale, "array<double>", functionType=200)
-vec_normalise = pandas_udf(_normalise, "array<double>", functionType=200)
+@cache
+def _functions() -> dict:
+    """The functions by name, made when a session is there to read their types."""
+    return {
+        "vec_dot": pandas_udf(_dot, "double", functionType=200),
+        "vec_add": pandas_udf(_add, "array<double>", functionType=200),
+        "vec_scale": pandas_udf(_scale, "array<double>", functionType=200),
+        "vec_normalise": pandas_udf(_normalise, "array<double>", functionType=200),
+    }
+
+
+def vec_dot(a, b):
+    return _functions()["vec_dot"](a, b)
+
+
+def vec_add(a, b):
+    return _functions()["vec_add"](a, b)
+
+
+def vec_scale(a, s):
+    return _functions()["vec_scale"](a, s)
+
+
+def vec_normalise(a):
+    return _functions()["vec_normalise"](a)
 
 
 def vec_matmul(weights: np.ndarray):
@@ -60,7 +83,7 @@ class _ExplodeAdjacency:
 
 def register(spark: SparkSession) -> None:
     """Makes the functions known to SQL."""
-    for name, f in (("vec_dot", vec_dot), ("vec_add", vec_add), ("vec_scale", vec_scale), ("vec_normalise", vec_normalise)):
+    for name, f in _functions().items():
         spark.udf.register(name, f)
     spark.udtf.register("count_up", udtf(_CountUp, returnType="k: int"))
     spark.udtf.register("explode_adjacency", udtf(_ExplodeAdjacency, returnType="src: long, dst: long"))

@@ -274,7 +274,7 @@ def _udf(e):
     return e.select("vec_id", (F.abs(vec_dot("embedding", "embedding") - exact) < 1e-9).alias("same"))
 
 
-@simple("op_udtf", "SELECT n_nationkey AS vid, unnest(range(0, n_regionkey + 1)) AS k FROM nation", "nation")
+@simple("op_udtf", "SELECT n_nationkey AS vid, CAST(unnest(range(0, n_regionkey + 1)) AS INTEGER) AS k FROM nation", "nation")
 def _udtf(n):
     from layerflow.functions.vectors import register
 

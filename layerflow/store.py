@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import atexit
 import gc
 import itertools
+import shutil
 import tempfile
 import time
 import uuid
@@ -20,7 +22,9 @@ def shared_dir(spark: SparkSession) -> str:
     if set_by_cluster:
         return set_by_cluster.rstrip("/")
     if not _own:
-        _own.append("file://" + tempfile.mkdtemp(prefix="layerflow-"))
+        folder = tempfile.mkdtemp(prefix="layerflow-")
+        atexit.register(shutil.rmtree, folder, ignore_errors=True)
+        _own.append("file://" + folder)
     return _own[0]
 
 
