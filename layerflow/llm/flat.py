@@ -7,6 +7,8 @@ forms a block of its own, whole.
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -143,6 +145,13 @@ def runs(flags: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
 
 
+def trim() -> None:
+    """Gives freed memory back to the system: a reused Python worker would keep it."""
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+    pa.default_memory_pool().release_unused()
+
+
 def spread(n: int, starts: np.ndarray, length: int) -> np.ndarray:
     """Flags of the n places covered by a window of ``length`` that begins at one of ``starts``."""
     mark = np.zeros(n + 1, np.int64)

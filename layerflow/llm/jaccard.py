@@ -1,12 +1,12 @@
 """N-gram Jaccard join: which texts share at least ``PERCENT`` of their word shingles.
 
-1. Every text becomes a set of shingle hashes, with a 1,024-bit bitmap.  Texts of one set are one class.
+1. Every text becomes a set of shingle hashes, with a bitmap of twice as many bits or more.  Texts of one set are one class.
 2. Two sets that are similar share a token among the first ``|x| - ceil(0.8 |x|) + 1`` of each under any common order
    of tokens.  The order is by hash, tokens that many prefixes hold last; so passages that are copied into many texts
    do not bring all of those together.  Classes that share a prefix token form a group; of equal groups one remains.
-3. Every member is compared with the likeliest of its groups' pivots.  Links found so join classes to components.
+3. Every member is compared with the likeliest pivot of its first groups, with several in large groups.  Links found so join classes to components.
 4. Groups that still hold several components are searched with signature trees (see ``sigtree``), which drop what is too
-   unlike or already joined.  Large groups are dealt in pairs of blocks.  Nothing that could be similar is left out.
+   unlike or already joined: once for the likeliest pairs of components, then for all that is still open.  Large groups are dealt in pairs of blocks.  Nothing that could be similar is left out.
 5. Open pairs are verified on the whole sets.  Pairs of one class stream past its set; classes with many are dealt over
    several tasks.  Components come from contracting the links, all in tables; no list of them reaches the driver.
 
@@ -25,16 +25,20 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from layerflow.llm import repeats, sigtree, store
-from layerflow.llm.flat import LOWER, NOT_SPACE, blocks, grams, mix, words_of
+from layerflow.llm.flat import LOWER, NOT_SPACE, blocks, grams, mix, trim, words_of
 
 WORDS = 5
 PERCENT = 80
-BITS = 1024
+#: Bits of a bitmap: the power of two from twice the set's size on, within these bounds.
+BITS = (1024, 1 << 20)
 #: A token in more prefixes than this, or than 1 / 2**20 of all prefix tokens, is common; so there are at most 2**20 common tokens.
 COMMON = 64
 COMMON_SHARE = 2**20
-BLOCK = 4096
+BLOCK = 2048
 PAIRS_A_TASK = 1024
+#: Groups whose pivots a member is compared with before the search, pivots of a large group, and pairs of two components
+#: that the first search takes.  They only save work, as the second search leaves nothing out.
+GROUPS, PIVOTS, NEAREST = 4, 6, 3
 
 
 def shingle_sets(column: pa.Array, words: int = WORDS) -> Iterator[tuple[int, np.ndarray]]:
@@ -59,8 +63,9 @@ def set_key(tokens: np.ndarray) -> tuple[int, int]:
 
 
 def bitmap(tokens: np.ndarray) -> bytes:
-    bits = np.zeros(BITS, bool)
-    bits[(tokens & np.uint64(BITS - 1)).astype(np.int64)] = True
+    width = min(max(1 << (2 * len(tokens) - 1).bit_length(), BITS[0]), BITS[1]) if len(tokens) else BITS[0]
+    bits = np.zeros(width, bool)
+    bits[(tokens & np.uint64(width - 1)).astype(np.int64)] = True
     return np.packbits(bits).tobytes()
 
 
@@ -121,6 +126,7 @@ def _prefix_tokens(texts: DataFrame, common, words: int, percent: int, with_key:
                 t = pa.array(np.concatenate(token).view(np.int64))
                 keys = [pa.array(np.repeat(np.array(s, np.int64), size)) for s in (s1, s2)] if with_key else []
                 yield pa.RecordBatch.from_arrays([t, *keys], names=["token", *(["s1", "s2"] if with_key else [])])
+        trim()
 
     return texts.select("text").mapInArrow(work, "token long" + ", s1 long, s2 long" * with_key)
 
@@ -151,6 +157,7 @@ def _verified(pairs: DataFrame, keyed: DataFrame, classes: DataFrame, words: int
                     s2.append(key[1])
                     raw.append(tokens.tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(s1, pa.int64()), pa.array(s2, pa.int64()), pa.array(raw, pa.binary())], names=["s1", "s2", "tokens"])
+        trim()
 
     # copies in different partitions give the same row again
     sets = store.written(texts.select("text").mapInArrow(read, "s1 long, s2 long, tokens binary"), "sets").dropDuplicates(["s1", "s2"])
@@ -177,6 +184,7 @@ def _verified(pairs: DataFrame, keyed: DataFrame, classes: DataFrame, words: int
                         out.append((a1, a2, b1, b2))
             cols = list(zip(*out)) if out else [[], [], [], []]
             yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["a1", "a2", "b1", "b2"])
+        trim()
 
     return store.written(stream.mapInArrow(compare, "a1 long, a2 long, b1 long, b2 long"), "links")
 
@@ -209,18 +217,26 @@ def _bounded(pairs: DataFrame, percent: int) -> DataFrame:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x, y = (np.frombuffer(b"".join(batch.column(i).to_pylist()), np.uint64).reshape(-1, BITS // 64) for i in (4, 6))
+            x, y = (batch.column(i).to_pylist() for i in (4, 6))
             nx, ny = (np.asarray(batch.column(i)) for i in (5, 7))
-            ok = sigtree.pair_bound(x, nx, y, ny, percent)
-            far = np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64)
-            kept = batch.select(["a1", "a2", "b1", "b2"]).filter(pa.array(ok))
-            yield pa.RecordBatch.from_arrays([*kept.columns, pa.array(far[ok])], names=["a1", "a2", "b1", "b2", "far"])
+            ok, far = np.zeros(len(nx), bool), np.zeros(len(nx), np.int64)
+            widths = np.array([(len(p), len(q)) for p, q in zip(x, y)])
+            for p, q in np.unique(widths, axis=0).tolist():
+                at = np.flatnonzero((widths == (p, q)).all(axis=1))
+                u, v = (sigtree.fold(np.frombuffer(b"".join(z[i] for i in at.tolist()), np.uint64).reshape(-1, w // 8), min(p, q) // 8) for z, w in ((x, p), (y, q)))
+                ok[at] = sigtree.pair_bound(u, nx[at], v, ny[at], percent)
+                far[at] = np.bitwise_count(u ^ v).sum(axis=1, dtype=np.int64)
+            kept = batch.select(["a1", "a2", "b1", "b2", "large"]).filter(pa.array(ok))
+            yield pa.RecordBatch.from_arrays([*kept.columns, pa.array(far[ok])], names=["a1", "a2", "b1", "b2", "large", "far"])
 
-    return pairs.select("a1", "a2", "b1", "b2", "bits_a", "n_a", "bits_b", "n_b").mapInArrow(work, "a1 long, a2 long, b1 long, b2 long, far long")
+    return pairs.select("a1", "a2", "b1", "b2", "bits_a", "n_a", "bits_b", "n_b", "large").mapInArrow(work, "a1 long, a2 long, b1 long, b2 long, large boolean, far long")
 
 
-def _search_groups(members: DataFrame, percent: int) -> DataFrame:
-    """Open pairs of all groups by signature trees.  members: token, s1, s2, bits, n, root, size (of the group)."""
+def _search_groups(members: DataFrame, percent: int, nearest: int | None = None) -> DataFrame:
+    """Open pairs of all groups by signature trees.  members: token, s1, s2, bits, n, root, size (of the group).
+
+    ``nearest``: only so many likeliest pairs between each two components of a group.
+    """
     n_blocks = F.ceil(F.col("size") / BLOCK).cast("int")
     dealt = members.withColumn("blocks", n_blocks).withColumn("block", F.pmod(F.xxhash64("s1", "s2"), F.col("blocks")).cast("int"))
     dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
@@ -230,11 +246,13 @@ def _search_groups(members: DataFrame, percent: int) -> DataFrame:
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def search(rows: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
             s1, s2, n, root = (np.asarray(rows.column(i)) for i in (4, 5, 7, 8))
-            bits = np.frombuffer(b"".join(rows.column(6).to_pylist()), np.uint64).reshape(-1, BITS // 64)
+            bits = rows.column(6).to_pylist()
             _, comp = np.unique(root, return_inverse=True)
             cross = rows.column(1)[0].as_py() != rows.column(2)[0].as_py()
             side = np.asarray(rows.column(3)) if cross else None
-            pairs = sigtree.similar_pairs(bits, n, comp, side, percent)
+            pairs = sigtree.pairs_of_any_width(bits, n, comp, side, percent, nearest)
+            if nearest:
+                pairs = sigtree.nearest_of_components(pairs, comp, nearest)
             swap = (s1[pairs[:, 0]] > s1[pairs[:, 1]]) | ((s1[pairs[:, 0]] == s1[pairs[:, 1]]) & (s2[pairs[:, 0]] > s2[pairs[:, 1]]))
             a, b = np.where(swap, pairs[:, 1], pairs[:, 0]), np.where(swap, pairs[:, 0], pairs[:, 1])
             for at in range(0, len(a), 100_000):
@@ -255,6 +273,7 @@ def _search_groups(members: DataFrame, percent: int) -> DataFrame:
             held = batch.slice(cut[-1])
         if held is not None and held.num_rows:
             yield from search(held)
+        trim()
 
     return dealt.mapInArrow(work, "a1 long, a2 long, b1 long, b2 long")
 
@@ -274,22 +293,34 @@ def link_components(docs: DataFrame, key: str = "doc_id", words: int = WORDS, pe
     rows = rows.withColumn("size", F.count("*").over(Window.partitionBy("token"))).where("size > 1")
     rows = store.written(rows, "prefixes")
     # of equal groups one is enough
-    named = rows.groupBy("token").agg(F.max("size").alias("size"), F.bit_xor(F.xxhash64("s1", "s2")).alias("x"), F.bit_xor(F.xxhash64("s2", "s1")).alias("y"), F.min(F.struct("s1", "s2")).alias("pivot"))
-    groups = named.groupBy("size", "x", "y").agg(F.min(F.struct("token", "pivot")).alias("g")).select(F.col("g.token").alias("token"), "g.pivot")
-    groups = store.written(groups.select("token", F.col("pivot.s1").alias("a1"), F.col("pivot.s2").alias("a2")), "groups")
-    members = rows.join(groups, "token")
+    named = rows.groupBy("token").agg(F.max("size").alias("size"), F.bit_xor(F.xxhash64("s1", "s2")).alias("x"), F.bit_xor(F.xxhash64("s2", "s1")).alias("y"))
+    groups = store.written(named.groupBy("size", "x", "y").agg(F.min("token").alias("token")).select("token"), "groups")
+    members = store.written(rows.join(groups, "token"), "members")
+    nth = lambda by, order: F.row_number().over(Window.partitionBy(*by).orderBy(*order))
+    large = F.col("size") > COMMON
+    pivots = members.withColumn("nth", nth(["token"], ["s1", "s2"])).where(F.col("nth") <= PIVOTS).where((F.col("nth") == 1) | large)
+    pivots = pivots.select("token", F.col("s1").alias("a1"), F.col("s2").alias("a2"))
     side = lambda x: classes.select(F.col("s1").alias(f"{x}1"), F.col("s2").alias(f"{x}2"), F.col("bits").alias(f"bits_{x}"), F.col("n").alias(f"n_{x}"))
-    first = members.select("a1", "a2", F.col("s1").alias("b1"), F.col("s2").alias("b2")).where("a1 != b1 or a2 != b2").distinct()
+    # a member's first few groups: members of one cluster mostly have the same ones, so the same pivots
+    few = members.withColumn("nth", nth(["s1", "s2"], ["token"])).where(F.col("nth") <= GROUPS)
+    first = few.select("token", "size", F.col("s1").alias("b1"), F.col("s2").alias("b2")).join(pivots, "token").where("a1 != b1 or a2 != b2")
+    first = first.groupBy("a1", "a2", "b1", "b2").agg(F.bool_or(large).alias("large"))
+    sizes = lambda x: side(x).drop(f"bits_{x}")
+    first = first.join(sizes("a"), ["a1", "a2"]).join(sizes("b"), ["b1", "b2"])
+    first = store.written(first.where(100 * F.least("n_a", "n_b") >= percent * F.greatest("n_a", "n_b")).drop("n_a", "n_b"), "pivots")
     first = _bounded(first.join(side("a"), ["a1", "a2"]).join(side("b"), ["b1", "b2"]), percent)
-    first = first.groupBy("b1", "b2").agg(F.min(F.struct("far", "a1", "a2")).alias("p")).select("p.a1", "p.a2", "b1", "b2")
+    order = nth(["b1", "b2", "large"], ["far", "a1", "a2"])
+    first = first.withColumn("nth", order).where(F.when(F.col("large"), F.col("nth") <= PIVOTS).otherwise(F.col("nth") == 1)).select("a1", "a2", "b1", "b2").distinct()
     links = _verified(first, keyed, classes, words, percent)
     named_links = lambda x: x.select(_name("a1", "a2").alias("a"), _name("b1", "b2").alias("b"))
     roots = components(named_links(links))
-    held = members.select("token", "s1", "s2", "size").withColumn("node", _name("s1", "s2")).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    mixed = held.groupBy("token").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x != y").select("token")
-    held = held.join(mixed, "token", "left_semi").join(classes.select("s1", "s2", "bits", "n"), ["s1", "s2"])
-    more = _verified(_search_groups(held, percent).distinct(), keyed, classes, words, percent)
-    roots = components(named_links(links.union(more)))
+    for nearest in (NEAREST, None):  # first what most likely joins components, then whatever is still open
+        held = members.select("token", "s1", "s2", "size").withColumn("node", _name("s1", "s2")).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        held = store.written(held, "held")
+        mixed = held.groupBy("token").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x != y").select("token")
+        held = held.join(mixed, "token", "left_semi").join(classes.select("s1", "s2", "bits", "n"), ["s1", "s2"])
+        links = links.union(_verified(_search_groups(held, percent, nearest).distinct(), keyed, classes, words, percent))
+        roots = components(named_links(links))
     owned = classes.select("s1", "s2", "least", _name("s1", "s2").alias("node")).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     least = owned.groupBy("root").agg(F.min("least").alias("component_id"))
     owned = owned.join(least, "root").select("s1", "s2", "component_id", F.col("root").alias("component"))

@@ -13,6 +13,8 @@ import numpy as np
 
 LEAF = 32
 FAN_OUT = 8
+#: Open pairs after which a search for the likeliest ones drops the others.
+FEW = 200_000
 
 
 def possible(small: np.ndarray, missing_x: np.ndarray, nx: np.ndarray, missing_y: np.ndarray, ny: np.ndarray, percent: int) -> np.ndarray:
@@ -28,6 +30,51 @@ def pair_bound(bits_x: np.ndarray, nx: np.ndarray, bits_y: np.ndarray, ny: np.nd
     return possible(np.minimum(nx, ny), mx, nx, my, ny, percent)
 
 
+def fold(bits: np.ndarray, words: int) -> np.ndarray:
+    """Bitmaps of 64-bit words, halved by OR until they have so many: as if their tokens had been hashed to fewer bits."""
+    while bits.shape[1] > words:
+        half = bits.shape[1] // 2
+        bits = bits[:, :half] | bits[:, half:]
+    return bits
+
+
+def pairs_of_any_width(bits: list[bytes], size: np.ndarray, component: np.ndarray, side: np.ndarray | None, percent: int, nearest: int | None = None) -> np.ndarray:
+    """``similar_pairs`` of members with bitmaps of several widths, which follow their sizes.
+
+    Similar sets have widths at most a step of two apart, so each width is searched by itself and against the next.
+    """
+    words = np.array([len(b) // 8 for b in bits])
+    found = [np.zeros((0, 3), np.int32)]
+    for w in np.unique(words).tolist():
+        for wide in (w, 2 * w):
+            at = np.flatnonzero((words == w) | (words == wide))
+            if len(at) < 2 or (wide > w and not (words[at] == wide).any()):
+                continue
+            rows = np.empty((len(at), w), np.uint64)
+            for width in {w, wide}:
+                own = np.flatnonzero(words[at] == width)
+                rows[own] = fold(np.frombuffer(b"".join(bits[i] for i in at[own].tolist()), np.uint64).reshape(-1, width), w)
+            by = None if side is None else side[at]
+            if wide > w:
+                pairs = similar_pairs(rows, size[at], component[at], words[at], percent, None if by is not None else nearest)
+                if by is not None:
+                    pairs = pairs[by[pairs[:, 0]] != by[pairs[:, 1]]]
+            else:
+                pairs = similar_pairs(rows, size[at], component[at], by, percent, nearest)
+            found.append(np.column_stack([at[pairs[:, :2]], pairs[:, 2]]).astype(np.int32))
+    return np.concatenate(found)
+
+
+def nearest_of_components(pairs: np.ndarray, component: np.ndarray, keep: int) -> np.ndarray:
+    """Of the pairs between each two components the ``keep`` whose bitmaps differ least."""
+    a, b = component[pairs[:, 0]], component[pairs[:, 1]]
+    low, high = np.minimum(a, b), np.maximum(a, b)
+    order = np.lexsort((pairs[:, 2], high, low))
+    first = np.concatenate([[True], (low[order][1:] != low[order][:-1]) | (high[order][1:] != high[order][:-1])])[: len(order)]
+    begin = np.maximum.accumulate(np.where(first, np.arange(len(order)), 0))
+    return pairs[order[np.arange(len(order)) - begin < keep]]
+
+
 class Tree:
     def __init__(self, bits: np.ndarray, size: np.ndarray, component: np.ndarray, order: np.ndarray):
         """order: members, like ones near each other."""
@@ -65,8 +112,8 @@ def _open_pairs(x: tuple, y: tuple, i: np.ndarray, j: np.ndarray, percent: int)
     return sizes & overlap & ((cx != cy) | (cx == -1))
 
 
-def similar_pairs(bits: np.ndarray, size: np.ndarray, component: np.ndarray, side: np.ndarray | None, percent: int) -> np.ndarray:
-    """Pairs of members (rows of two) that the bounds leave open; ``side``: only pairs of different sides."""
+def similar_pairs(bits: np.ndarray, size: np.ndarray, component: np.ndarray, side: np.ndarray | None, percent: int, nearest: int | None = None) -> np.ndarray:
+    """Pairs of members that the bounds leave open, with the number of bits in which they differ; ``side``: only pairs of different sides."""
     n = len(size)
     order = np.lexsort((bits[:, 0], component, size))
     tree = Tree(bits, size, component, order)
@@ -82,10 +129,10 @@ def similar_pairs(bits: np.ndarray, size: np.ndarray, component: np.ndarray, sid
             g = np.stack(np.meshgrid(p, q, indexing="ij"), -1).reshape(-1, 2)
             out.append(g[g[:, 0] <= g[:, 1]] if a == b else g)
         if not out:
-            return np.zeros((0, 2), np.int64)
+            return np.zeros((0, 3), np.int64)
         i, j = np.concatenate(out).T
     ok = _open_pairs(tree.nodes[0], tree.nodes[0], i, j, percent)
-    spans, found = tree.levels[0], []
+    spans, found, held = tree.levels[0], [], 0
     for a, b in zip(i[ok].tolist(), j[ok].tolist()):
         p, q = order[slice(*spans[a])], order[slice(*spans[b])]
         u, v = np.repeat(p, len(q)), np.tile(q, len(p))
@@ -99,5 +146,10 @@ def similar_pairs(bits: np.ndarray, size: np.ndarray, component: np.ndarray, sid
         if len(u):
             keep = pair_bound(bits[u], size[u], bits[v], size[v], percent)
             if keep.any():
-                found.append(np.stack([u[keep], v[keep]], 1))
-    return np.concatenate(found) if found else np.zeros((0, 2), np.int64)
+                u, v = u[keep], v[keep]
+                found.append(np.stack([u, v, np.bitwise_count(bits[u] ^ bits[v]).sum(axis=1, dtype=np.int64)], 1).astype(np.int32))
+                held += len(u)
+                if nearest and held > FEW:
+                    found = [nearest_of_components(np.concatenate(found), component, nearest)]
+                    held = 0
+    return np.concatenate(found) if found else np.zeros((0, 3), np.int64)

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from layerflow.llm import repeats, store
-from layerflow.llm.flat import blocks, buffers, mix, runs
+from layerflow.llm.flat import blocks, buffers, mix, runs, trim
 from layerflow.llm.sais import permuted_prefixes, suffix_array
 
 WIDTH = 400
@@ -108,6 +108,7 @@ def _shard_ranges(contents: DataFrame, width: int) -> DataFrame:
                 which += [i] * len(a)
                 at += a.tolist()
                 size += (b - a).tolist()
+        trim()
         taken = rows.select(["h", "s"]).take(pa.array(which, pa.int64()))
         return taken.append_column("at", pa.array(at, pa.int64())).append_column("size", pa.array(size, pa.int32()))
 
