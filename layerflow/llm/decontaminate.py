@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from layerflow.llm import store
-from layerflow.llm.flat import ALNUM, LOWER, blocks, buffers, grams, words_of
+from layerflow.llm.flat import ALNUM, LOWER, blocks, buffers, grams, trim, words_of
 
 WINDOW = 10
 SHINGLE = 3
@@ -178,6 +178,7 @@ def _step(part, names: list[str], text: str, first: bool, last: bool):
                 yield pa.RecordBatch.from_arrays(rows + more, names=[*names, "n_words", "n_hit", "n_items", "items_sha256", "items", "contaminated"])
             else:
                 yield pa.RecordBatch.from_arrays([*rows, pa.array(flags, pa.binary()), pa.array(found, pa.list_(pa.string()))], names=[*names, "_hit", "_found"])
+        trim()
 
     return work
 

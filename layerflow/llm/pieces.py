@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from layerflow.llm import store
-from layerflow.llm.flat import runs
+from layerflow.llm.flat import runs, trim
 
 MARK = "▁"
 NO_RANK = np.int32(2**31 - 1)
@@ -285,5 +285,6 @@ def encode_decode(docs: DataFrame, model_path: str, text: str = "text", with_ids
                     decoded += back
             more = [pa.array(all_ids, pa.list_(pa.int32())), pa.array(decoded, pa.string())] if with_ids else []
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(n, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(text_sha, pa.string()), *more], names=[*names, *added])
+        trim()
 
     return kept.mapInArrow(work, schema)

@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from layerflow.llm import store
-from layerflow.llm.flat import blocks
+from layerflow.llm.flat import blocks, trim
 
 ORDER = 4
 UNDETERMINED = "und"
@@ -212,6 +212,7 @@ def predict(docs: DataFrame, trees: ContextTrees | None, text: str = "text") ->
                     score.append(float(sure[i]) if has[i] else 0.0)
                     rate.append(float(low[i] / size[i]) if size[i] else None)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(lang, pa.string()), pa.array(score, pa.float64()), pa.array(rate, pa.float64())], names=[*names, *added])
+        trim()
 
     return kept.mapInArrow(work, schema)
 

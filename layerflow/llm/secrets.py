@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from layerflow.llm import store
-from layerflow.llm.flat import LOWER, blocks
+from layerflow.llm.flat import LOWER, blocks, trim
 
 ANY = ("any",)  # the query that every text fulfils
 
@@ -231,5 +231,6 @@ def scan_secrets(docs: DataFrame, text: str = "text", redact: str | None = None,
                         c.append(v)
             kinds = [pa.int64()] * 4 + [pa.string()] * (len(added) - 4)
             yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(c, k) for c, k in zip(cols, kinds))], names=[*names, *added])
+        trim()
 
     return kept.mapInArrow(work, schema)
