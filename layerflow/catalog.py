@@ -356,6 +356,7 @@ query("dense_positions", "SELECT n_nationkey, row_number() OVER (ORDER BY n_name
 
 def queries() -> dict[str, Query]:
     from layerflow.operators import relational  # noqa: F401  adds its own
+    from layerflow.plans import workloads  # noqa: F401
 
     return dict(QUERIES)
 
