@@ -53,7 +53,7 @@ def discard(df: DataFrame) -> None:
 
 
 #: Seconds between two collections at least.
-PAUSE = 3.0
+PAUSE = 1.0
 _released = 0.0
 
 
