@@ -27,6 +27,14 @@ def _normalise(a: pd.Series) -> pd.Series:
     return pd.Series([np.asarray(x, np.float64) / (np.linalg.norm(np.asarray(x, np.float64)) or 1.0) for x in a])
 
 
+def _pack_half(a: pd.Series) -> pd.Series:
+    return pd.Series([None if x is None else np.asarray(x, np.float16).tobytes() for x in a])
+
+
+def _unpack_half(a: pd.Series) -> pd.Series:
+    return pd.Series([None if x is None else np.frombuffer(x, np.float16).astype(np.float32) for x in a])
+
+
 @cache
 def _functions() -> dict:
     """The functions by name, made when a session is there to read their types."""
@@ -35,6 +43,8 @@ def _functions() -> dict:
         "vec_add": pandas_udf(_add, "array<double>", functionType=200),
         "vec_scale": pandas_udf(_scale, "array<double>", functionType=200),
         "vec_normalise": pandas_udf(_normalise, "array<double>", functionType=200),
+        "pack_half": pandas_udf(_pack_half, "binary", functionType=200),
+        "unpack_half": pandas_udf(_unpack_half, "array<float>", functionType=200),
     }
 
 
@@ -54,6 +64,15 @@ def vec_normalise(a):
     return _functions()["vec_normalise"](a)
 
 
+def pack_half(a):
+    """Vectors as two bytes a component, for storage only: Spark has no type for them."""
+    return _functions()["pack_half"](a)
+
+
+def unpack_half(a):
+    return _functions()["unpack_half"](a)
+
+
 def vec_matmul(weights: np.ndarray):
     """A column function that multiplies vectors by a matrix."""
 

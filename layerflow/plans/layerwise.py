@@ -95,7 +95,10 @@ def infer_layerwise(g: Graph, layers: list[Layer], engine: str = "push", exact:
         h = run_layer(g, h, layer, engine, exact, choice, width)
         width = sum(w.shape[1] for w in layer.weights) if layer.agg == "attention" else layer.weights[-1].shape[1] if layer.weights else width
         if materialize:
+            context = h.sparkSession.sparkContext
+            context.setJobDescription(f"{engine} layer {n + 1} of {g.name}")
             h = store.written(h, f"layer{n + 1}")
+            context.setJobDescription(None)
         report.seconds.append(time.time() - began)
     return h, report
 

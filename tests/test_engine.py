@@ -204,3 +204,29 @@ def test_argmax_and_softmax(spark):
     assert {r.vid: r.label for r in layers.argmax(y).collect()} == {1: 1, 2: 0}
     s = layers.relu_log_softmax(y).where("vid = 2").first()
     assert abs(s.c0 - np.log(0.5)) < 1e-12
+
+
+def test_vector_functions(spark):
+    from layerflow.functions.vectors import pack_half, register, unpack_half, vec_add, vec_matmul, vec_normalise, vec_scale, vec_sum
+
+    df = spark.createDataFrame([(1, [3.0, 4.0]), (1, [1.0, 0.5]), (2, [0.0, 0.0])], "k int, v array<float>")
+    r = df.select(vec_add("v", "v").alias("a"), vec_scale("v", F.lit(2.0)).alias("s"), vec_normalise("v").alias("n"), vec_matmul(np.eye(2)[::-1])("v").alias("m"), unpack_half(pack_half("v")).alias("h"), "v").collect()
+    assert r[0].a == r[0].s == [6.0, 8.0] and np.allclose(r[0].n, [0.6, 0.8]) and r[0].m == [4.0, 3.0] and r[1].h == r[1].v
+    assert {x.k: x.v for x in vec_sum(df, "k", "v", 2).collect()} == {1: [4.0, 4.5], 2: [0.0, 0.0]}
+    register(spark)
+    assert spark.sql("SELECT vec_dot(array(1.0D, 2.0D), array(3.0D, 4.0D)) AS d").first().d == 11.0
+
+
+def test_costs_are_measured(spark, sf_dir):
+    import os
+
+    from layerflow.plans.measure import ProcessTrace, measured
+
+    g = GRAPHS["copurchase"](spark, sf_dir)
+    with ProcessTrace(os.getpid(), 0.05) as trace:
+        push, pull = (measured(spark, lambda e=e: layerwise.infer_layerwise(g, layerwise.model("graphconv", g.d, layers=1), e)[0]) for e in ("push", "pull"))
+    assert push.shuffle_bytes < pull.shuffle_bytes and push.read_bytes > 0 and push.seconds > 0
+    assert trace.peak_bytes() > 0 and trace.cpu_percent() >= 0
+    assert errors.extrapolate(21600, 0.25, 1) == 86400 and errors.extrapolate(10, 0.5, 1) == 10
+    plan = errors.memory_plan(10, 4, 2, 100, 3, 7, 5)
+    assert plan["total"] == 80 + 300 + 7 + 65
