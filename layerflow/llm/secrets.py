@@ -44,12 +44,22 @@ BASE_RULES = (
     Rule("access", r"AKIA[A-Z0-9]+", 0, 20),
     Rule("hex", r"[0-9a-f]+", 0, 24),
 )
+#: A private key from its BEGIN line to the END line that matches it, with no other BEGIN line between.  Where that END is
+#: missing, up to the end of the header and base64 lines; line ends may be written out as \\n, lines quoted or indented.
+_GAP = r"""(?:\\[nrt]|[\s"'`,>#*|])"""
+_KEY = (
+    r"-----BEGIN ((?:[A-Z]+ )*)PRIVATE KEY-----"
+    r"(?:[^-]*+(?:-(?!----(?:BEGIN |END \1PRIVATE KEY-----))[^-]*+)*+-----END \1PRIVATE KEY-----"
+    rf"|(?:{_GAP}*+[A-Z][A-Za-z0-9]*-[A-Za-z]+: [^\r\n\\]*)*"
+    rf"(?:(?:{_GAP}++[A-Za-z0-9+/]{{16,}}+={{0,2}}(?={_GAP}|-|\Z))+"
+    rf"(?:{_GAP}++(?:(?:[A-Za-z0-9+/]{{4}})*(?:[A-Za-z0-9+/]{{2}}==|[A-Za-z0-9+/]{{3}}=|[A-Za-z0-9+/]{{4}})(?=[\x20\t\r]*(?:\n|\\n|[\"'`]|\Z))|[A-Za-z0-9+/]++=?\Z))?)?)"
+)
 MORE_RULES = (
     Rule("github", r"gh[pousr]_[A-Za-z0-9]{36,}"),
     Rule("slack", r"xox[abprs]-[A-Za-z0-9-]{10,}"),
     Rule("google", r"AIza[A-Za-z0-9_-]{35}"),
     Rule("stripe", r"[rs]k_live_[A-Za-z0-9]{16,}"),
-    Rule("private_key", r"-----BEGIN (?:[A-Z]+ )*PRIVATE KEY-----"),
+    Rule("private_key", _KEY),
     Rule("jwt", r"eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}"),
     Rule("url_login", r"[a-z][a-z0-9+]{2,15}://[^\s:/@]{1,64}:[^\s:/@]{3,64}@"),
 )
