@@ -5,7 +5,9 @@ sequence, found by one linear scan over running sums, is the content region.  Ho
 labelled pages, those that mark their content with ``article`` or ``main``: the rarer a tag is within the marked part
 against the rest of the page, the more it costs.  Words inside elements that hold no content (menus, forms, notices,
 reader comments, adverts and so on, told by element name or by class, id and role) cost instead of adding, and such
-elements inside the region are left out of its text, as are scripts, styles and markup.
+elements inside the region are left out of its text, as are scripts, styles and markup.  Where such an element interrupts
+content it costs nothing, however long it is: within a marked element, or between two paragraphs of one element
+(headings count as such below the body).
 
 Defined results: a null or empty page has the empty text; a page with no words scoring above its tags too.  Of equal
 regions the first wins.  Unclosed elements end with the page or with their parent.
@@ -41,6 +43,7 @@ INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 OUTSIDE = frozenset("nav header footer aside form menu dialog button head fieldset".split())
 MARKED = frozenset("article main".split())
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
 _OUTSIDE_NAME = re.compile(
     r"(?:^|[\s_-])(?:ads?|adverts?|advertisement|sponsor(?:ed)?|promo(?:tion)?|banner|nav|navigation|navbar|menu|breadcrumbs?|sidebar|side|widget|footer|header|masthead|comments?|replies|respond|disqus"
     r"|cookies?|consent|notice|popup|modal|overlay|newsletter|subscribe|subscription|signup|share|sharing|social|related|recommended|recommend|pagination|pager|toolbar|search|login|legal|copyright)(?:$|[\s_-])",
@@ -53,39 +56,66 @@ WORD = 1.0
 DEFAULT_COST = 1.5
 
 
-def tokens(page: str) -> Iterator[tuple[str, str, bool, bool]]:
-    """(kind, text or element name, outside content, inside a marked element); kind: open, close or text."""
-    stack: list[tuple[str, bool]] = []
-    outside = marked = 0
+class _Element:
+    """An open element; once it has shown a paragraph, ``cut`` keeps the excluded elements below it since the last one."""
+
+    __slots__ = ("name", "out", "cut")
+
+    def __init__(self, name: str, out: bool):
+        self.name, self.out = name, out
+        self.cut: list[int] | None = None
+
+
+def tokens(page: str, inner: set[int] | None = None) -> Iterator[tuple[str, str, int, bool]]:
+    """(kind, text or element name, number of the outermost excluded element around or 0, inside a marked element); kind: open, close or text.
+
+    ``inner``, complete when all tokens are read, takes the numbers of excluded elements that interrupt content.
+    """
+    inner = set() if inner is None else inner
+    top = _Element("", False)
+    stack: list[_Element] = []
+    outside = marked = number = 0
     for m in _TOKEN.finditer(page):
         name = m.group(3)
         if name is None:
             if m.group(0)[0] != "<" or m.group(0) == "<":
-                yield "text", m.group(0), outside > 0, marked > 0
+                yield "text", m.group(0), number if outside else 0, marked > 0
             elif m.group(1):
-                yield "open", m.group(1).lower(), outside > 0, marked > 0
+                yield "open", m.group(1).lower(), number if outside else 0, marked > 0
             continue
         name = name.lower()
         if m.group(2):
-            if any(x == name for x, _ in stack):
+            if any(x.name == name for x in stack):
                 while True:
-                    x, out = stack.pop()
-                    outside -= out
-                    marked -= x in MARKED
-                    if x == name:
+                    x = stack.pop()
+                    outside -= x.out
+                    marked -= x.name in MARKED
+                    if x.name == name:
                         break
-            yield "close", name, outside > 0, marked > 0
+            yield "close", name, number if outside else 0, marked > 0
             continue
         attributes = m.group(4)
         out = name in OUTSIDE or bool(attributes and (_HIDDEN.search(attributes) or any(_OUTSIDE_NAME.search(a or b or c) for a, b, c in _ATTRIBUTE.findall(attributes))))
         if name in ("html", "body"):
             out = False
-        yield "open", name, outside + out > 0, marked > 0
-        if name not in VOID and not attributes.rstrip().endswith("/"):
-            if name == "p" and stack and stack[-1][0] == "p":
-                x, was = stack.pop()
-                outside -= was
-            stack.append((name, out))
+        opens = name not in VOID and not attributes.rstrip().endswith("/")
+        if out and not outside:
+            number += 1
+            if marked:
+                inner.add(number)
+            elif opens:
+                for x in (top, *stack):
+                    if x.cut is not None:
+                        x.cut.append(number)
+        yield "open", name, number if outside + out else 0, marked > 0
+        if opens:
+            if name == "p" and stack and stack[-1].name == "p":
+                outside -= stack.pop().out
+            parent = stack[-1] if stack else top
+            if not out and not outside and (name == "p" or name in HEADINGS and parent.name not in ("", "html", "body")):
+                inner.update(parent.cut or [])
+                parent.cut = []
+            stack.append(_Element(name, out))
             outside += out
             marked += name in MARKED
 
@@ -132,16 +162,20 @@ def _cost(inside: float, outside: float) -> float:
 def main_text(page: str | None, costs: dict[str, float]) -> str:
     if not page:
         return ""
-    kinds: list[tuple[str, str, bool]] = []
+    inner: set[int] = set()
+    kinds = [(kind, x, out) for kind, x, out, _ in tokens(page, inner)]
     scores: list[float] = []
-    for kind, x, out, _ in tokens(page):
-        if kind == "text":
+    last = 0
+    for kind, x, out in kinds:
+        if out in inner or kind == "close" and not out and last in inner:  # its own end tag stands outside of it
+            scores.append(0.0)
+        elif kind == "text":
             n = len(x.split())
             scores.append(-WORD * n if out else WORD * n)
         else:
             tag = "/" + x if kind == "close" else x
             scores.append(-max(costs.get(tag, DEFAULT_COST), DEFAULT_COST if out else 0.0))
-        kinds.append((kind, x, out))
+        last = out
     if not scores:
         return ""
     sums = np.concatenate([[0.0], np.cumsum(scores)])

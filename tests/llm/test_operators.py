@@ -197,6 +197,22 @@ def test_main_text(spark):
     assert extract.extract(pages.where("false"), extract.learn_costs(pages.where("false"))).collect() == []
 
 
+def test_main_text_goes_on_after_long_excluded_blocks():
+    say = lambda word, n: " ".join(f"{word}{i}" for i in range(n))
+    first, second, advert = say("first", 30), say("second", 40), say("advert", 60)
+    links = "".join(f"<li><a href='/{i}'>advert {i}</a></li>" for i in range(40))
+    menu = f"<nav><ul>{links}</ul></nav>"
+    costs = {t: 2.0 for t in ("nav", "/nav", "ul", "/ul", "li", "/li", "a", "/a", "aside", "/aside", "footer", "/footer")} | {t: 0.02 for t in ("p", "/p", "h1", "/h1", "article", "/article", "div", "/div")}
+    for block in (f"<aside>{advert}</aside>", f"<div class='ad'><p>{advert}</p></div>", f"<div class='cookie notice'><ul>{links}</ul></div>", f"<div><aside><p>{advert}</p></aside></div>"):
+        for a, b in (("<article>", "</article>"), ("<main><div>", "</div></main>"), ("<div>", "</div>"), ("", "")):
+            page = f"<html><body>{menu}{a}<p>{first}</p>{block}<p>{second}</p>{b}<footer>{advert}</footer></body></html>"
+            assert extract.main_text(page, costs) == f"{first} {second}", (block, a)
+        page = f"<body>{menu}<article><h1>Headline</h1>{block}<p>{second}</p></article><footer>{advert}</footer></body>"
+        assert extract.main_text(page, costs) == f"Headline {second}", block
+    teaser = f"<aside><article><p>{advert}</p></article></aside>"
+    assert extract.main_text(f"<body><div>Site</div>{teaser}{menu}<p>{second}</p></body>", costs) == second
+
+
 def brute_components(rows):
     sets = []
     for t in rows:
