@@ -4,7 +4,10 @@ Every line of a text that speaks of a license is a header.  Its words, weighted
 templates hold them, make a sparse vector; its cosine to each template's vector comes from one join on words with the
 templates' weights, a table of fixed size.  The best template at or above ``LEAST`` names the license.
 
-A file is a license file if its name says so or if it holds nothing but headers.  The nearest directory above a file
+A file is a license file if its name says so or if it holds nothing but headers.  Its whole text makes one more vector,
+with logarithms of the term frequencies, which is compared in the same way with the texts in ``license_texts``; the
+best of them at or above ``LEAST_WHOLE`` goes before what its lines say.  ``TITLES`` tells licenses apart whose texts
+share most of their words.  The nearest directory above a file
 with a license file gives the license to files that state none: directories (not files) list their ancestors, which are
 joined with the licensed directories by path, and the deepest match counts.
 
@@ -17,6 +20,7 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
+from pathlib import Path
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -25,6 +29,22 @@ LEAST = 0.6
 CUE = r"(?i)licen[cs]e|copyright|spdx|public domain|all rights reserved"
 LICENSE_NAME = r"(?i)^(licen[cs]e|copying|unlicense|notice)([._-].*)?$"
 SPLIT = r"[^a-z0-9]+"
+#: Below it lie, of the texts tried, those of other licenses (at most 0.70) that no title tells apart.
+LEAST_WHOLE = 0.75
+TEXTS = Path(__file__).with_name("license_texts")
+#: Of the nearest whole text, what in a lower-cased text shows that it is another license's, and which one if it has a name here.
+TITLES = (
+    ("GPL-3.0", r"gnu affero general public license\s+version 3,", "AGPL-3.0"),
+    ("GPL-2.0", r"gnu (lesser|library) general public license\s+version 2", None),
+    ("GPL-2.0", r"general public license\s+version 1,", None),
+    ("CC-BY-SA-4.0", r"attribution-(noncommercial-|noderiv)", None),
+    ("CC-BY-SA-4.0", r"attribution-noncommercial 4\.0 international", "CC-BY-NC-4.0"),
+    ("CC-BY-SA-4.0", r"attribution 4\.0 international", "CC-BY-4.0"),
+    ("BSD-2-Clause", r"all\s+advertising\s+materials", None),
+    ("BSD-3-Clause", r"all\s+advertising\s+materials", None),
+    ("BSD-2-Clause", r"neither\s+the\s+names?\b", "BSD-3-Clause"),
+    ("BSD-3-Clause", r"(?s)\A(?!.*neither\s+the\s+names?\b)", "BSD-2-Clause"),
+)
 
 #: Headers and first lines of license files, by SPDX identifier.
 TEMPLATES = (
@@ -69,6 +89,19 @@ def template_weights() -> tuple[list[tuple[int, str, str, float]], dict[str, flo
     return rows, idf, math.log(1 + len(tf)) + 1
 
 
+def whole_weights() -> tuple[list[tuple[str, str, float]], dict[str, float], float]:
+    """(license, word, unit weight) of the whole texts, the words' idf, and that of any other word."""
+    tf = {f.stem: Counter(_words(f.read_text())) for f in sorted(TEXTS.glob("*.txt"))}
+    df = Counter(w for c in tf.values() for w in c)
+    idf = {w: math.log((1 + len(tf)) / (1 + n)) + 1 for w, n in df.items()}
+    rows = []
+    for name, c in tf.items():
+        weight = {w: (1 + math.log(n)) * idf[w] for w, n in c.items()}
+        norm = math.sqrt(sum(x * x for x in weight.values()))
+        rows += [(name, w, x / norm) for w, x in weight.items()]
+    return rows, idf, math.log(1 + len(tf)) + 1
+
+
 def directory(path: Column) -> Column:
     return F.regexp_replace(path, "/?[^/]*$", "")
 
@@ -95,17 +128,46 @@ def scores(lines: DataFrame) -> DataFrame:
     return best.select("path", F.col("b.license").alias("license"), "score")
 
 
-def license_files(files: DataFrame) -> DataFrame:
-    """Paths of license files: by name, or because every line that isn't blank is a header."""
+def _is_license_file() -> Column:
+    """By name, or because every line that isn't blank is a header."""
     lines = F.filter(F.split(F.coalesce("text", F.lit("")), "\n"), lambda x: F.trim(x) != "")
     only = (F.size(lines) > 0) & F.forall(lines, lambda x: x.rlike(CUE))
-    return files.where(F.regexp_extract("path", "[^/]*$", 0).rlike(LICENSE_NAME) | (F.col("text").rlike(CUE) & only)).select("path").distinct()
+    return F.regexp_extract("path", "[^/]*$", 0).rlike(LICENSE_NAME) | (F.col("text").rlike(CUE) & only)
+
+
+def license_files(files: DataFrame) -> DataFrame:
+    """Paths of license files."""
+    return files.where(_is_license_file()).select("path").distinct()
+
+
+def whole_scores(files: DataFrame) -> DataFrame:
+    """(path, license, score): of each license file the nearest whole text."""
+    rows, idf, other = whole_weights()
+    spark = files.sparkSession
+    weights = F.broadcast(spark.createDataFrame(rows, "license string, word string, weight double"))
+    rarity = F.broadcast(spark.createDataFrame(list(idf.items()), "word string, idf double"))
+    low = F.lower("text")
+    shown = F.array(*[low.rlike(pattern) for _, pattern, _ in TITLES])
+    key = ["path", "text_hash", "shown"]
+    words = files.where(_is_license_file()).select("path", F.xxhash64("text").alias("text_hash"), shown.alias("shown"), F.explode(F.split(low, SPLIT)).alias("word")).where("word != ''")
+    tf = words.groupBy(*key, "word").agg(F.count("*").alias("n"))
+    tf = tf.join(rarity, "word", "left").select(*key, "word", ((F.log("n") + 1) * F.coalesce("idf", F.lit(other))).alias("w"))
+    norm = tf.groupBy(key).agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
+    dots = tf.join(weights, "word").groupBy(*key, "license").agg(F.sum(F.col("w") * F.col("weight")).alias("dot"))
+    cos = dots.join(norm, key).select(*key, "license", F.round(F.col("dot") / F.col("norm"), 6).alias("score"))
+    nearest = cos.where(F.col("score") >= LEAST_WHOLE).groupBy(key).agg(F.min(F.struct((-F.col("score")).alias("s"), "license", "score")).alias("b"))
+    named = F.col("b.license")
+    for i, (license, _, name) in reversed(list(enumerate(TITLES))):
+        named = F.when((F.col("b.license") == license) & F.col("shown")[i], F.lit(name)).otherwise(named)
+    found = nearest.select("path", named.alias("license"), "b.score").where("license is not null")
+    return found.groupBy("path").agg(F.min(F.struct((-F.col("score")).alias("s"), "license", "score")).alias("b")).select("path", "b.license", "b.score")
 
 
 def scan_licenses(files: DataFrame) -> DataFrame:
     """Every row of ``files`` (path, text and more) without its text, with license, how (own, inherited, none), score and licensed_by."""
     files = files.drop("license", "how", "score", "licensed_by", "dir")
-    own = scores(headers(files))
+    whole = whole_scores(files)
+    own = whole.unionByName(scores(headers(files)).join(whole, "path", "left_anti"))
     named = license_files(files).join(own, "path").select(directory(F.col("path")).alias("dir"), F.struct((-F.col("score")).alias("s"), "license", "path").alias("b"))
     licensed = named.groupBy("dir").agg(F.min("b").alias("b")).select(F.col("dir").alias("ancestor"), F.col("b.license").alias("up"), F.col("b.path").alias("by"))
     parts = F.split("dir", "/")

@@ -395,3 +395,29 @@ def test_queries_have_the_agreed_columns(spark, sf_dir):
         name = next(k for k in QUERIES if k.startswith(prefix))
         if prefix not in ("op2_", "op6_", "op7_"):
             assert set(columns.split()) <= set(QUERIES[name](spark, sf_dir).columns)
+
+
+def test_whole_license_texts(spark):
+    read = lambda name: (licenses.TEXTS / f"{name}.txt").read_text()
+    two = read("BSD-2-Clause").replace("<year> <owner>", "2021 Some Company and its friends")
+    clause = "3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission.\n\n"
+    rows = [
+        ("a/LICENSE", two.replace("THIS SOFTWARE IS", clause + "THIS SOFTWARE IS", 1), "BSD-3-Clause"),
+        ("b/LICENSE.txt", two, "BSD-2-Clause"),
+        ("c/COPYING", read("GPL-3.0"), "GPL-3.0"),
+        ("d/COPYING", read("GPL-2.0"), "GPL-2.0"),
+        ("e/LICENSE", read("MIT").replace("<year> <copyright holders>", "2019-2024 Ann Author, Bob Builder"), "MIT"),
+        ("f/LICENSE", "Copyright 2020 The Authors\n\n" + read("Apache-2.0"), "Apache-2.0"),
+        ("g/LICENSE", read("CC-BY-SA-4.0"), "CC-BY-SA-4.0"),
+        ("h/COPYING.LESSER", read("LGPL-3.0"), "LGPL-3.0"),
+        ("i/LICENSE", read("ISC"), "ISC"),
+        ("j/UNLICENSE", read("Unlicense"), "Unlicense"),
+        ("k/LICENSE", read("MPL-2.0"), "MPL-2.0"),
+        ("l/LICENSE", read("CC0-1.0"), "CC0-1.0"),
+    ]
+    files = [(p, t) for p, t, _ in rows] + [(f"{p.split('/')[0]}/src/x.c", "int x;") for p, _, _ in rows]
+    files += [("z/main.c", "/*\n" + two + "*/\nint main;"), ("y/LICENSE", "All of this is ours and nobody may use any of it.\n" * 9), ("x/LICENSE", None)]
+    got = {r.path: (r.license, r.how) for r in licenses.scan_licenses(spark.createDataFrame(files, "path string, text string")).collect()}
+    for path, _, name in rows:
+        assert got[path] == (name, "own") and got[f"{path.split('/')[0]}/src/x.c"] == (name, "inherited"), path
+    assert got["z/main.c"] == got["y/LICENSE"] == got["x/LICENSE"] == (None, "none") and len(got) == len(files)
