@@ -105,6 +105,13 @@ def _range_join(e):
     return range_join(e.select("event_id"), r, "event_id", "lo", "hi", 1000).select("event_id", "lo")
 
 
+@simple("op_join_range_all", "SELECT event_id, lo FROM events JOIN (SELECT i * 700 AS lo, i * 700 + 1000 AS hi FROM (SELECT unnest(range(0, max(event_id) // 700 + 1)) AS i FROM events)) r ON event_id >= lo AND event_id < hi", "events")
+def _range_join_all(e):
+    """As many ranges as it takes to cover every event."""
+    r = e.agg(F.expr("max(event_id) div 700").alias("last")).select(F.explode(F.expr("sequence(0L, last)")).alias("id")).select((F.col("id") * 700).alias("lo"), (F.col("id") * 700 + 1000).alias("hi"))
+    return range_join(e.select("event_id"), r, "event_id", "lo", "hi", 1000).select("event_id", "lo")
+
+
 @simple(
     "op_join_asof",
     "SELECT o.event_id AS probe, max_by(e.event_id, (e.ts, e.event_id)) AS latest FROM events o JOIN events e ON o.user_id = e.user_id AND e.event_type = 'click' AND e.ts <= o.ts WHERE o.event_type = 'purchase' GROUP BY 1",
