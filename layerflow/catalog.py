@@ -245,6 +245,14 @@ def _vertexwise(spark, sf_dir):
     return to_long_rows(vertexwise.infer_targets(g, layerwise.model("graphconv", g.d), g.vertices.where("vid < 100")))
 
 
+@query("vertexwise_trade_all", sql.select(f"{sql.graph('trade', True)}, {sql.two_layers('graphconv', 8)[0]}", "SELECT vid, CAST(i AS INTEGER) AS i, q FROM z1"))
+def _vertexwise_trade_all(spark, sf_dir):
+    """Every vertex of trade, in four batches."""
+    g = GRAPHS["trade"](spark, sf_dir)
+    n = (g.vertices.agg(F.max("vid")).first()[0] or 0) + 1
+    return to_long_rows(vertexwise.infer_vertexwise(g, layerwise.model("graphconv", g.d), n, -(-n // 4)))
+
+
 @query("vertexwise_all", sql.select(f"{sql.graph('embgraph', True)}, {sql.two_layers('graphconv', 64)[0]}", "SELECT vid, CAST(i AS INTEGER) AS i, q FROM z1"))
 def _vertexwise_all(spark, sf_dir):
     g = GRAPHS["embgraph"](spark, sf_dir)

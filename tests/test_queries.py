@@ -38,3 +38,7 @@ def test_ranges_meet_every_event(spark, tmp_path):
     spark.range(30_000).selectExpr("id AS event_id").write.parquet(f"{tmp_path}/events.parquet")
     got = sorted(tuple(r) for r in catalog.queries()["op_join_range_all"](spark, str(tmp_path)).select("event_id", "lo").collect())
     assert got == [(i, lo) for i in range(30_000) for lo in range(0, 30_000, 700) if lo <= i < lo + 1000]
+
+
+def test_vertexwise_covers_trade(spark, sf_dir):
+    test_query(spark, sf_dir, "vertexwise_trade_all")
