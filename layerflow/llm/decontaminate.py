@@ -11,7 +11,8 @@ Items are broadcast in blocks of at most ``BLOCK_WORDS`` words, a fixed bound; m
 same documents, in one stage, which hand on what they hit.
 
 Defined results: null texts and texts without words have no words and no windows; an item without words never occurs;
-items of one id unite; repeated documents are judged one by one.
+items of one id unite; the windows of an item with a null id count for n_hit and contaminated, while n_items, items and
+items_sha256 leave it out; repeated documents are judged one by one.
 """
 
 from __future__ import annotations
@@ -36,7 +37,7 @@ BLOCK_WORDS = 2_000_000
 class Windows:
     """Distinct windows of a block of items, with the place of each one's joining shingle."""
 
-    def __init__(self, items: list[tuple[str, str]], window: int = WINDOW):
+    def __init__(self, items: list[tuple[str | None, str]], window: int = WINDOW):
         by_text: dict[tuple[bytes, ...], set[str]] = defaultdict(set)
         hashes: dict[tuple[bytes, ...], np.ndarray] = {}
         for item, text in items:
@@ -48,7 +49,7 @@ class Windows:
             size = min(window, len(words))
             for i in range(len(words) - size + 1 if size else 0):
                 key = tuple(words[i : i + size])
-                by_text[key].add(item)
+                by_text[key].update([] if item is None else [item])
                 hashes[key] = h[i : i + size]
         self.texts = sorted(by_text)
         self.items = [sorted(by_text[t]) for t in self.texts]
@@ -112,10 +113,10 @@ def _frequencies(docs: DataFrame, text: str, windows) -> dict[tuple[int, int], i
     return {(r.k, r.gram & (2**64 - 1)): r.n for r in rows}
 
 
-def item_blocks(items: DataFrame, item: str, text: str, block_words: int = BLOCK_WORDS) -> Iterator[list[tuple[str, str]]]:
+def item_blocks(items: DataFrame, item: str, text: str, block_words: int = BLOCK_WORDS) -> Iterator[list[tuple[str | None, str]]]:
     """Items in blocks of a bounded number of bytes (six to a word), streamed to the driver one partition at a time."""
     block, size = [], 0
-    for r in items.select(F.col(item).cast("string").alias("i"), F.col(text).alias("t")).where("i is not null and t is not null").toLocalIterator():
+    for r in items.select(F.col(item).cast("string").alias("i"), F.col(text).alias("t")).where("t is not null").toLocalIterator():
         block.append((r.i, r.t))
         size += len(r.t)
         if size > 6 * block_words:

@@ -185,6 +185,15 @@ def test_decontamination(docs, spark, empty):
     assert not any(r.contaminated for r in decontaminate.decontaminate(docs, items.where("false")).collect())
 
 
+def test_benchmark_items_without_id(spark):
+    passage = " ".join(f"word{i}" for i in range(12))
+    docs = spark.createDataFrame([(1, f"so {passage} it goes"), (2, "nothing of it"), (3, "both short item here and " + passage)], "doc_id int, text string")
+    items = spark.createDataFrame([(None, passage), ("a", "short item"), (None, None)], "item_id string, text string")
+    for block in (2_000_000, 2):
+        got = {r.doc_id: (r.n_hit, r.n_items, r.items, r.contaminated) for r in decontaminate.decontaminate(docs, items, block_words=block).collect()}
+        assert got == {1: (12, 0, [], True), 2: (0, 0, [], False), 3: (14, 1, ["a"], True)}
+
+
 def test_main_text(spark):
     menu = "<nav><ul><li><a href='/a'>Home</a></li><li><a href='/b'>About us</a></li></ul></nav>"
     page = f"<html><head><title>T</title><script>var a='<p>no</p>';</script></head><body>{menu}<article><h1>Head &amp; line</h1><p>First   <b>bo</b>ld&nbsp;text.<br>Next one</p><div class='ad'>Buy now cheap</div><p>Last of the many words that stand here in a row of their own.</p><div class='comments'><p>I say no</p></div></article><footer>&copy; us</footer></body></html>"
