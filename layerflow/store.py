@@ -32,24 +32,58 @@ def new_path(spark: SparkSession, label: str) -> str:
     return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex[:12]}-{next(_count)}"
 
 
+def until_exit(spark: SparkSession, path: str) -> None:
+    """Has a folder deleted when the application ends, if it still is there then."""
+    where, files = _files(spark, path)
+    files.deleteOnExit(where)
+
+
+def read_text(spark: SparkSession, path: str) -> str:
+    where, files = _files(spark, path)
+    stream = files.open(where)
+    try:
+        return spark.sparkContext._jvm.org.apache.commons.io.IOUtils.toString(stream, "UTF-8")
+    finally:
+        stream.close()
+
+
+def write_text(spark: SparkSession, path: str, text: str) -> None:
+    """Writes a small file at once: under another name first, then renamed."""
+    where, files = _files(spark, path)
+    aside = where.suffix(".new")
+    stream = files.create(aside, True)
+    stream.write(bytearray(text.encode()))
+    stream.close()
+    files.rename(aside, where)
+
+
+def names(spark: SparkSession, path: str) -> list[str]:
+    """Names in a folder; none if there is no such folder."""
+    where, files = _files(spark, path)
+    return sorted(x.getPath().getName() for x in files.listStatus(where)) if files.exists(where) else []
+
+
+def _files(spark: SparkSession, path: str):
+    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return where, where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+
+
 def written(df: DataFrame, label: str) -> DataFrame:
     """``df`` written once and read back: later steps depend on files, not on lineage."""
     spark = df.sparkSession
     path = new_path(spark, label)
     df.write.parquet(path)
+    until_exit(spark, path)
     release(spark)
     out = spark.read.schema(df.schema).parquet(path)
-    _paths[id(out)] = (out, path)
+    out._layerflow_path = path
     return out
 
 
-_paths: dict[int, tuple[DataFrame, str]] = {}
-
-
-def discard(df: DataFrame) -> None:
-    """Deletes the files of a table from ``written`` that nothing reads any more."""
-    _, path = _paths.pop(id(df))
-    delete(df.sparkSession, path)
+def discard(*tables: DataFrame) -> None:
+    """Deletes the files of tables from ``written`` that nothing reads any more."""
+    for df in tables:
+        delete(df.sparkSession, df._layerflow_path)
 
 
 #: Seconds between two collections at least.
@@ -68,8 +102,8 @@ def release(spark: SparkSession) -> None:
 
 
 def delete(spark: SparkSession, path: str) -> None:
-    where = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    where, files = _files(spark, path)
+    files.delete(where, True)
 
 
 #: Rows in an Arrow batch of whole texts: Spark's default of 10,000 is meant for rows of a few numbers.
