@@ -4,7 +4,8 @@ A window is a run of ``width`` units (words or bytes) of one text.  Its anchor i
 consecutive units, so equal windows have equal anchors at the same place within them, and neighbouring windows mostly
 share theirs.  A segment is all that consecutive windows with one anchor cover.  Thus a window can only be repeated if
 its anchor's hash is, and if two segments are equal, so are all their windows; only segments that differ around an
-equal anchor need a closer look.
+equal anchor need a closer look.  What is equal is told by 128-bit digests of the words or bytes themselves, and only
+among segments whose anchors' hashes agree.
 
 Texts are known by a digest of theirs: equal texts are one text with copies, so repeated rows and null keys do no harm.
 A place in the corpus is (digest, place in the text); a hash is repeated if its smallest and its largest place differ,
@@ -20,40 +21,21 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
+from pyspark.sql.types import StructField, StructType
 
 from layerflow.llm import store
-from layerflow.llm.flat import blocks, mix, runs, window_minimum
+from layerflow.llm.flat import blocks, runs, window_minimum
 
-_BASE = 0x9E3779B97F4A7C15
+class Slices:
+    """The bytes of any run of units of a block: of words, joined by one space, or of bytes themselves."""
 
+    def __init__(self, raw: bytes, place: np.ndarray):
+        self.raw, self.place = raw, place  # the place of each unit's first byte, and of an end
 
-class Prefixes:
-    """Hashes of any range of a sequence of 64-bit units.
-
-    They are only compared between ranges around an equal anchor, so 64 bits come on top of the anchor's own hash.
-    """
-
-    def __init__(self, units: np.ndarray):
-        up = _power_table(_BASE, len(units) + 1)
-        self.down = _power_table(pow(_BASE, -1, 1 << 64), len(units) + 1)
-        self.sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((units + np.uint64(1)) * up[: len(units)], dtype=np.uint64)])
-
-    def of(self, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-        return mix((self.sums[ends] - self.sums[starts]) * self.down[starts]).view(np.int64)
-
-
-_tables: dict[int, np.ndarray] = {}
-
-
-def _power_table(base: int, n: int) -> np.ndarray:
-    known = _tables.get(base)
-    if known is None or len(known) < n:
-        grown = np.full(max(n, 1 << 16), base, np.uint64)
-        grown[0] = 1
-        known = np.cumprod(grown, dtype=np.uint64)
-        if len(known) <= 1 << 22:
-            _tables[base] = known
-    return known[:n]
+    def digests(self, starts: np.ndarray, ends: np.ndarray) -> list[bytes]:
+        raw, digest = self.raw, hashlib.blake2b
+        return [digest(raw[a:b], digest_size=16).digest() for a, b in zip(self.place[starts].tolist(), self.place[ends].tolist())]
 
 
 def segments(gram: np.ndarray, width: int, k: int, first: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -86,11 +68,12 @@ def digest(text: str = "text") -> list[F.Column]:
     return [F.conv(F.substring(d, i, 15), 16, 10).cast("long").alias(k) for i, k in ((1, "k1"), (16, "k2"))]
 
 
-#: (bytes, offsets) of a block -> (unit hashes, hashes of every k units, first unit of each text and an end)
-Units = Callable[[np.ndarray, np.ndarray], tuple[np.ndarray, np.ndarray, np.ndarray]]
+#: (bytes, offsets) of a block -> (the units' bytes, hashes of every k units, first unit of each text and an end)
+Units = Callable[[np.ndarray, np.ndarray], tuple[Slices, np.ndarray, np.ndarray]]
 
-#: ``lo`` is the segment's first place in its text, ``more`` its others there (mostly null).
-SEGMENT_SCHEMA = "h long, s long, k1 long, k2 long, lo long, n int, more array<long>"
+#: ``s`` is a digest of the segment's own words or bytes, ``lo`` its first place in its text, ``more`` its others there
+#: (mostly null).
+SEGMENT_SCHEMA = "h long, s binary, k1 long, k2 long, lo long, n int, more array<long>"
 SEGMENT_NAMES = ["h", "s", "k1", "k2", "lo", "n", "more"]
 
 
@@ -105,25 +88,29 @@ def find_segments(texts: DataFrame, units: Units, width: int, k: int) -> DataFra
             part = batch.take(pa.array(fresh, pa.int64())) if len(fresh) < len(keys) else batch
             k1, k2 = (np.asarray(part.column(i)) for i in (0, 1))
             for a, b, data, offsets in blocks(part.column(2)):
-                hashes, gram, first = units(data, offsets)
+                slices, gram, first = units(data, offsets)
                 where, size, at = segments(gram, width, k, first)
                 if not len(where):
                     continue
-                s = Prefixes(hashes).of(where, where + size - 1 + width)
+                s = slices.digests(where, where + size - 1 + width)
                 text = np.searchsorted(first, where, side="right") - 1
                 lo = where - first[text]
                 own, more = _once_a_text(s, text, lo)
-                cols = (gram[at].view(np.int64), s, k1[a + text], k2[a + text], lo, size.astype(np.int32))
-                yield pa.RecordBatch.from_arrays([*(pa.array(c[own]) for c in cols), more], names=SEGMENT_NAMES)
+                h, *cols = (gram[at].view(np.int64), k1[a + text], k2[a + text], lo, size.astype(np.int32))
+                yield pa.RecordBatch.from_arrays([pa.array(h[own]), pa.array([s[i] for i in own.tolist()], pa.binary()), *(pa.array(c[own]) for c in cols), more], names=SEGMENT_NAMES)
 
     return texts.select("k1", "k2", "text").mapInArrow(work, SEGMENT_SCHEMA)
 
 
-def _once_a_text(s: np.ndarray, text: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, pa.Array]:
+def _once_a_text(s: list[bytes], text: np.ndarray, lo: np.ndarray) -> tuple[np.ndarray, pa.Array]:
     """Row numbers of each text's distinct segments, and the further places of each."""
-    label = s.view(np.uint64) ^ mix(text.astype(np.uint64) + np.uint64(1))
-    order = np.argsort(label, kind="stable")
-    head = np.flatnonzero(np.concatenate([[True], label[order][1:] != label[order][:-1]]))
+    first, second = np.frombuffer(b"".join(s), np.uint64).reshape(-1, 2).T
+    order = np.lexsort((lo, second, first, text))
+    same = np.ones(len(order), bool)
+    for x in (text, first, second):
+        same[1:] &= x[order[1:]] == x[order[:-1]]
+    same[0] = False
+    head = np.flatnonzero(~same)
     if len(head) == len(order):
         return np.arange(len(order)), pa.nulls(len(order), pa.list_(pa.int64()))
     size = np.diff(np.concatenate([head, [len(order)]]))
@@ -171,20 +158,38 @@ def at_all_places(met: DataFrame, inside: DataFrame, kinds: DataFrame, copies: D
     return ranges.distinct().union(copies.select("k1", "k2", F.lit(0).cast("long").alias("lo"), F.lit(2**30).alias("n")))
 
 
-def covered(texts: DataFrame, ranges: DataFrame, work, schema: str) -> DataFrame:
-    """Joins what to remove to every row's text by digest, hash side the ranges, and applies ``work``.
+def covered(keyed: DataFrame, ranges: DataFrame, added: list[StructField], values) -> DataFrame:
+    """Joins what to remove to every row's text by digest and adds columns: ``values(bytes, offsets, ranges)`` yields a
+    text's, in order, for the texts of a block.
 
-    ranges: k1, k2, lo, n (first window and number of windows).  ``texts`` also holds k1, k2 and copies.
+    ranges: k1, k2, lo, n (first window and number of windows).
     """
     gathered = ranges.groupBy("k1", "k2").agg(F.sort_array(F.collect_list(F.struct("lo", "n"))).alias("ranges"))
-    joined = texts.join(gathered.hint("shuffle_hash"), ["k1", "k2"], "left").drop("k1", "k2")
-    return joined.mapInArrow(work, schema)
+    joined = keyed.join(gathered.hint("shuffle_hash"), ["k1", "k2"], "left").select("row", "ranges")
+    fields = keyed.schema["row"].dataType.fields
+    new = {f.name.lower() for f in added}
+    kept = [i for i, f in enumerate(fields) if f.name.lower() not in new]
+    at = [f.name for f in fields].index("text")
+    names = [*(fields[i].name for i in kept), *(f.name for f in added)]
+    kinds = [to_arrow_type(f.dataType) for f in added]
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            own = batch.column(0).flatten()
+            cols: list[list] = [[] for _ in added]
+            for a, b, data, offsets in blocks(own[at]):
+                for row in values(data, offsets, batch.column(1)[a:b].to_pylist()):
+                    for c, v in zip(cols, row):
+                        c.append(v)
+            yield pa.RecordBatch.from_arrays([*(own[i] for i in kept), *(pa.array(c, k) for c, k in zip(cols, kinds))], names=names)
+
+    return joined.mapInArrow(work, StructType([*(fields[i] for i in kept), *added]))
 
 
 def with_copies(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """Rows with their text's digest, and the digests that several rows share."""
+    """Rows, packed so that no name of theirs clashes, with their text and its digest; and the digests several rows share."""
     store.text_batches(docs.sparkSession)
-    keyed = docs.select("*", *digest())
+    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("text"), *digest())
     return keyed, keyed.groupBy("k1", "k2").count().where("count > 1").select("k1", "k2")
 
 

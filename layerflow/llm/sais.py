@@ -4,8 +4,8 @@ Suffixes are S (smaller than the next one) or L (larger); an S suffix after an L
 between neighbouring leftmost-smaller suffixes are sorted by inducing, named by rank, and, while names repeat, the
 string of names is sorted in turn.  From the sorted leftmost-smaller suffixes the order of all is induced: from the
 smallest bucket up each suffix puts the L suffix before it at the front of that one's bucket, then from the largest
-down S suffixes are put at the ends.  A bucket's suffixes that are known already act together; those they add to their
-own bucket make the next wave.
+down S suffixes are put at the ends.  Buckets whose suffixes are all known act together; where a bucket's are not, those
+known already act together, and those they add to their own bucket make the next wave.
 """
 
 from __future__ import annotations
@@ -14,10 +14,6 @@ import numpy as np
 
 from layerflow.llm.flat import mix
 
-#: Strings of names with more symbols than this are ranked by doubling instead of bucket after bucket.
-MANY_SYMBOLS = 4096
-
-
 def classify(t: np.ndarray) -> np.ndarray:
     """True where a suffix is smaller than the next one; the empty suffix at the end is the smallest of all."""
     n = len(t)
@@ -40,7 +36,7 @@ class _Buckets:
         self.start = self.end - self.count
 
 
-def _place(sa: np.ndarray, at: np.ndarray, suffixes: np.ndarray, chars: np.ndarray, back: bool) -> None:
+def _place(sa: np.ndarray, at: np.ndarray, suffixes: np.ndarray, chars: np.ndarray, back: bool, missing: np.ndarray | None = None) -> None:
     """Puts suffixes, in order, at the free front (or end) of their buckets."""
     if len(chars) == 0:
         return
@@ -55,68 +51,86 @@ def _place(sa: np.ndarray, at: np.ndarray, suffixes: np.ndarray, chars: np.ndarr
     else:
         sa[at[c] + within] = suffixes[order]
         at[c[head]] += size
+    if missing is not None:
+        missing[c[head]] -= size
+
+
+def _until_missing(missing: np.ndarray, c: int, stop: int, step: int) -> int:
+    """The first bucket from ``c`` on, in direction ``step``, that still misses suffixes; ``stop`` if none does."""
+    span = 16
+    while c != stop:
+        part = missing[c : min(c + span, stop)] if step > 0 else missing[max(c - span, stop) + 1 : c + 1][::-1]
+        found = np.flatnonzero(part)
+        if len(found):
+            return c + step * int(found[0])
+        c += step * len(part)
+        span *= 4
+    return stop
 
 
 def induce(t: np.ndarray, s: np.ndarray, lms: np.ndarray, b: _Buckets) -> np.ndarray:
-    """All suffixes (but the empty one), induced from the leftmost-smaller ones in the order given."""
-    n = len(t)
+    """All suffixes (but the empty one), induced from the leftmost-smaller ones in the order given.
+
+    Neighbouring buckets that miss nothing any more act together; in a bucket that does, waves of its own follow each
+    other.  With many symbols, whose buckets are small, most steps take many buckets.
+    """
+    n, symbols = len(t), len(b.count)
     sa = np.full(n, -1, np.int32)
     tails, heads = b.end.copy(), b.start.copy()
     inner = lms[lms < n][::-1]
     _place(sa, tails, inner, t[inner], back=True)
     first_small = tails.copy()  # of each bucket, where its leftmost-smaller suffixes begin
-    present = np.flatnonzero(b.count)
+    n_small = np.bincount(t[s[:n]], minlength=symbols)
 
     def left(x: np.ndarray, small: bool) -> tuple[np.ndarray, np.ndarray]:
         x = x[x > 0] - 1
         x = x[s[x] == small]
         return x, t[x]
 
+    def put(x: np.ndarray, small: bool) -> None:
+        _place(sa, tails if small else heads, *left(x, small), back=small, missing=missing)
+
+    missing = b.count - n_small
     if n:  # the empty suffix comes first
-        _place(sa, heads, *left(np.array([n]), False), back=False)
-    for c in present.tolist():
+        put(np.array([n]), False)
+    c = 0
+    while c < symbols:
+        upto = _until_missing(missing, c, symbols, 1)
+        if upto > c:
+            put(sa[b.start[c] : b.end[upto - 1]], False)
+            c = upto
+            continue
         lo = b.start[c]
         while lo < heads[c]:
             hi = heads[c]
-            _place(sa, heads, *left(sa[lo:hi], False), back=False)
+            put(sa[lo:hi], False)
             lo = hi
-        if first_small[c] < b.end[c]:
-            _place(sa, heads, *left(sa[first_small[c] : b.end[c]], False), back=False)
-    tails = b.end.copy()
-    for c in present[::-1].tolist():
+        put(sa[first_small[c] : b.end[c]], False)
+        c += 1
+    tails, missing = b.end.copy(), n_small
+    c = symbols - 1
+    while c >= 0:
+        downto = _until_missing(missing, c, -1, -1)
+        if downto < c:
+            put(sa[b.start[downto + 1] : b.end[c]][::-1], True)
+            c = downto
+            continue
         hi = b.end[c]
         while hi > tails[c]:
             lo = tails[c]
-            _place(sa, tails, *left(sa[lo:hi][::-1], True), back=True)
+            put(sa[lo:hi][::-1], True)
             hi = lo
-        if heads[c] > b.start[c]:
-            _place(sa, tails, *left(sa[b.start[c] : heads[c]][::-1], True), back=True)
+        put(sa[b.start[c] : heads[c]][::-1], True)
+        c -= 1
     return sa
 
 
-def _by_doubling(t: np.ndarray) -> np.ndarray:
-    rank, span, n = t.astype(np.int64), 1, len(t)
-    while True:
-        ahead = np.zeros(n, np.int64)
-        ahead[: max(0, n - span)] = rank[span:] + 1
-        key = rank * (rank.max() + 2) + ahead
-        order = np.argsort(key, kind="stable")
-        new = np.concatenate([[0], np.cumsum(key[order][1:] != key[order][:-1])])
-        rank = np.empty(n, np.int64)
-        rank[order] = new
-        if new[-1] == n - 1:
-            return order
-        span *= 2
-
-
 def suffix_array(t: np.ndarray, symbols: int | None = None) -> np.ndarray:
     """Starts of all suffixes of a sequence of small non-negative integers, in order."""
     n = len(t)
     if n == 0:
         return np.zeros(0, np.int64)
     symbols = int(t.max()) + 1 if symbols is None else symbols
-    if symbols > MANY_SYMBOLS:
-        return _by_doubling(t)
     s = classify(t)
     lms = (np.flatnonzero(s[1:] & ~s[:-1]) + 1).astype(np.int32)
     b = _Buckets(t, symbols)

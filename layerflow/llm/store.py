@@ -1,5 +1,5 @@
 """The engine's tables between steps, for the operators here."""
 
-from layerflow.store import delete, discard, new_path, release, shared_dir, text_batches, written
+from layerflow.store import delete, discard, names, new_path, read_text, release, text_batches, until_exit, write_text, written
 
-__all__ = ["delete", "discard", "new_path", "release", "shared_dir", "text_batches", "written"]
+__all__ = ["delete", "discard", "names", "new_path", "read_text", "release", "text_batches", "until_exit", "write_text", "written"]

@@ -102,7 +102,8 @@ def test_trigram_queries():
 
 
 def test_repeated_words(docs, empty):
-    out = fingerprints.remove_repeats(docs.select("doc_id", "text", F.lit(1).alias("k1"))).collect()
+    out = fingerprints.remove_repeats(docs.select("doc_id", "text", F.lit(1).alias("k1"), F.lit("a").alias("n_words"), F.lit(2).alias("ranges"))).collect()
+    assert out[0].k1 == 1 and out[0].ranges == 2  # a user's own columns stay, but for those named like a result
     rows = [words(r.text) for r in out]
     seen = Counter(tuple(w[i : i + 35]) for w in rows for i in range(len(w) - 34))
     for r, w in zip(out, rows):
@@ -121,16 +122,25 @@ def test_fingerprint_index_is_incremental(spark, docs, tmp_path):
     index = fingerprints.FingerprintIndex(spark, f"file://{tmp_path}/i")
     parts = [index.add(keyed.where(F.pmod("k1", F.lit(3)) == i)) for i in range(3)]
     assert [level for level, _ in index.runs] == [1, 0]
+    again = fingerprints.FingerprintIndex(spark, f"file://{tmp_path}/k")
+    for i in range(3):  # closed and opened again before each batch; a failed batch leaves a run that no manifest names
+        (tmp_path / "k" / "run-0-99").mkdir(parents=True)
+        again = fingerprints.FingerprintIndex(spark, f"file://{tmp_path}/k")
+        again.add(keyed.where(F.pmod("k1", F.lit(3)) == i))
+    again = fingerprints.FingerprintIndex(spark, f"file://{tmp_path}/k")
+    assert again.runs == index.runs and sorted(x.name for x in (tmp_path / "k").iterdir() if x.name[0] != ".") == sorted([*(n for _, n in again.runs), *again.state["met"], f"manifest-{again.state['version']}"])
+    with pytest.raises(ValueError):
+        fingerprints.FingerprintIndex(spark, f"file://{tmp_path}/k", 20)
     at_once = fingerprints.FingerprintIndex(spark, f"file://{tmp_path}/j")
     at_once.add(keyed)
     key = lambda i: {(r.h, r.k1, r.k2, r.lo) for r in i.candidates().collect()}
-    assert key(index) == key(at_once) and parts[0].columns == ["h"]
+    assert key(index) == key(at_once) == key(again) and parts[0].columns == ["h"]
 
 
-@pytest.mark.parametrize("hot", [16_384, 1])
-def test_repeated_bytes(docs, empty, hot, monkeypatch):
-    monkeypatch.setattr(suffixes, "HOT_KINDS", hot)
-    out = suffixes.remove_repeats(docs.select("doc_id", "text")).collect()
+@pytest.mark.parametrize("hot", [suffixes.HOT_BYTES, 3_000])
+def test_repeated_bytes(docs, empty, hot):
+    out = suffixes.remove_repeats(docs.select("doc_id", "text", F.lit(1).alias("k1"), F.lit(2).alias("n_bytes")), hot_bytes=hot).collect()
+    assert out[0].k1 == 1
     rows = [(r.text or "").encode() for r in out]
     seen = Counter(b[i : i + 400] for b in rows for i in range(len(b) - 399))
     for r, b in zip(out, rows):
@@ -141,7 +151,42 @@ def test_repeated_bytes(docs, empty, hot, monkeypatch):
         spans = int((np.diff(np.concatenate([[0], gone.astype(int)])) == 1).sum())
         kept = np.frombuffer(b, np.uint8)[~gone].tobytes()
         assert (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) == (len(b), int(gone.sum()), spans, sha(kept))
-    assert hot == 1 or suffixes.remove_repeats(empty).collect() == []
+    assert hot < 10_000 or suffixes.remove_repeats(empty).collect() == []
+
+
+def test_repeated_bytes_of_the_larger_tables(spark):
+    """The whole query against window hashes of every text, told apart by another method."""
+    sf_dir = "/root/testdata/sf0.1"
+    rows = sorted(((r.doc_id, (r.text or "").encode()) for r in spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text").collect()), key=lambda x: x[0])
+    one, prime = np.ones(1, np.uint64), 0x9E3779B97F4A7C15
+    longest = max(len(b) for _, b in rows)
+    up, down = (np.cumprod(np.concatenate([one, np.full(longest, f, np.uint64)]), dtype=np.uint64) for f in (prime, pow(prime, -1, 1 << 64)))
+    hashes = []
+    for _, b in rows:
+        total = np.concatenate([one - one, np.cumsum((np.frombuffer(b, np.uint8).astype(np.uint64) + np.uint64(7)) * up[: len(b)], dtype=np.uint64)])
+        n = max(0, len(b) - 399)
+        hashes.append((total[400 : 400 + n] - total[:n]) * down[:n])
+    kinds, which, count = np.unique(np.concatenate(hashes), return_inverse=True, return_counts=True)
+    again = np.split(count[which] > 1, np.cumsum([len(h) for h in hashes])[:-1])
+    got = {r.doc_id: r for r in QUERIES["op6_repeated_byte_strings"](spark, sf_dir).collect()}
+    assert len(got) == len(rows)
+    for (doc_id, b), starts in zip(rows, again):
+        mark = np.zeros(len(b) + 1, np.int64)
+        at = np.flatnonzero(starts)
+        np.add.at(mark, at, 1)
+        np.add.at(mark, at + 400, -1)
+        gone = np.cumsum(mark[:-1]) > 0
+        r = got[doc_id]
+        assert (r.n_bytes, r.n_removed, r.n_spans) == (len(b), int(gone.sum()), int((np.diff(np.concatenate([[0], gone.astype(int)])) == 1).sum()))
+        assert r.kept_sha256 == sha(np.frombuffer(b, np.uint8)[~gone].tobytes())
+
+
+def test_suffix_array_of_many_symbols():
+    rng = np.random.default_rng(1)
+    for symbols in (50, 3_000, 60_000):
+        t = rng.integers(0, symbols, 6_000)
+        t = np.concatenate([t, t[:2_000], t[1_000:4_000]])
+        assert sais.suffix_array(t).tolist() == sorted(range(len(t)), key=lambda i: t[i:].tolist())
 
 
 def test_suffix_array():
