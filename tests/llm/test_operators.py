@@ -362,6 +362,33 @@ def test_nearest(spark):
     assert ann.nearest(df.where("false"), df).collect() == []
 
 
+@pytest.mark.parametrize("shard_rows, query_bytes", [(16_384, 1 << 25), (1_500, 40_000)])
+def test_recall_of_the_forest(spark, shard_rows, query_bytes):
+    """Isotropic vectors, the hardest case, in one shard and in several that are searched for blocks of queries."""
+    rng = np.random.default_rng(4)
+    x = rng.standard_normal((6_000, 64))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = {}
+    for r in ann.nearest(df, df.where("vec_id % 20 = 0"), shard_rows=shard_rows, query_bytes=query_bytes).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    hit = 0
+    for q in range(0, 6_000, 20):
+        s = x @ x[q]
+        s[q] = -np.inf
+        hit += len(got[q] & set(np.argpartition(-s, 20)[:20].tolist()))
+    assert all(len(v) == 20 for v in got.values()) and 0.9 <= hit / (300 * 20) < 1.0
+
+
+def test_routing_of_clustered_vectors(spark):
+    """Queries that visit a fifth of the shards and compare a twentieth of them still find their cluster."""
+    rng = np.random.default_rng(5)
+    centres = rng.standard_normal((100, 32))
+    x = np.repeat(centres, 40, axis=0) + 0.05 * rng.standard_normal((4_000, 32))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = ann.nearest(df, df.where("vec_id % 20 = 0"), k=10, share=0.05, reach=0.2, shard_rows=200).collect()
+    assert len(got) == 200 * 10 and sum(r.vec_id // 40 == r.query_id // 40 for r in got) >= 0.9 * len(got)
+
+
 def test_language_id(spark, sf_dir, empty):
     d = spark.read.parquet(f"{sf_dir}/documents.parquet").withColumn("score", F.lit("x"))
     out = {r.doc_id: r for r in ppm.identify(d).select("doc_id", "lang", "lang_pred", "score", "held_out").collect()}
