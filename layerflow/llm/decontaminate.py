@@ -5,207 +5,167 @@ if all of its word shingles stand in the document in their places, so full conta
 prefix of a window under any fixed order of shingles is one shingle long.  The order is by rarity over all documents:
 each window joins by its rarest shingle.  A match gives the window's place in the document (the shingle's place in the
 window is known), which has to lie within the document (length and positional bounds); the window's words are then
-compared, first by hash and then byte by byte.
+compared one by one with those around the document's shingle.
 
-Items are broadcast in blocks of at most ``BLOCK_WORDS`` words, a fixed bound; more blocks become more steps over the
-same documents, in one stage, which hand on what they hit.
+Items and documents meet in a join of tables.  What is broadcast is a bitmap of 2 ** ``FILTER_BITS`` hashed shingles, of one
+size whatever the number of items: with many items it lets more shingles through to the join, which decides.  A shingle
+travels with the words around it that a window could need.
 
 Defined results: null texts and texts without words have no words and no windows; an item without words never occurs;
 items of one id unite; the windows of an item with a null id count for n_hit and contaminated, while n_items, items and
-items_sha256 leave it out; repeated documents are judged one by one.
+items_sha256 leave it out; equal texts have equal results.  Other columns stay as they are; those named like a result are
+replaced by it.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections import defaultdict
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BooleanType, LongType, StringType, StructField
 
-from layerflow.llm import store
-from layerflow.llm.flat import ALNUM, LOWER, blocks, buffers, grams, trim, words_of
+from layerflow.llm import repeats, store
+from layerflow.llm.flat import ALNUM, LOWER, blocks, grams, trim, words_of
 
 WINDOW = 10
 SHINGLE = 3
-BLOCK_WORDS = 2_000_000
-
-
-class Windows:
-    """Distinct windows of a block of items, with the place of each one's joining shingle."""
-
-    def __init__(self, items: list[tuple[str | None, str]], window: int = WINDOW):
-        by_text: dict[tuple[bytes, ...], set[str]] = defaultdict(set)
-        hashes: dict[tuple[bytes, ...], np.ndarray] = {}
-        for item, text in items:
-            data, offsets = buffers(pa.array([text], pa.large_string()))
-            data = LOWER[data]
-            starts, ends, h, _ = words_of(data, offsets, ALNUM)
-            raw = data.tobytes()
-            words = [raw[a:b] for a, b in zip(starts.tolist(), ends.tolist())]
-            size = min(window, len(words))
-            for i in range(len(words) - size + 1 if size else 0):
-                key = tuple(words[i : i + size])
-                by_text[key].update([] if item is None else [item])
-                hashes[key] = h[i : i + size]
-        self.texts = sorted(by_text)
-        self.items = [sorted(by_text[t]) for t in self.texts]
-        self.size = np.array([len(t) for t in self.texts], np.int64)
-        self.hashes = np.zeros((len(self.texts), window), np.uint64)
-        for i, t in enumerate(self.texts):
-            self.hashes[i, : len(t)] = hashes[t]
-        self.shingle = np.minimum(self.size, SHINGLE)
-        self.grams = [grams(hashes[t], int(k)) for t, k in zip(self.texts, self.shingle)]
-        self.sizes = sorted(set(self.shingle.tolist()))
-        self.candidates = {k: np.unique(np.concatenate([g for g, s in zip(self.grams, self.shingle) if s == k])) for k in self.sizes}
-        self.keys: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]] = {}
-
-    def choose(self, seen: dict[tuple[int, int], int]) -> None:
-        """Takes each window's rarest shingle, the first of several, for the join."""
-        picked = [min(range(len(g)), key=lambda j: (seen.get((int(s), int(g[j])), 0), j)) for g, s in zip(self.grams, self.shingle)]
-        for k in self.sizes:
-            which = np.flatnonzero(self.shingle == k)
-            key = np.array([self.grams[i][picked[i]] for i in which.tolist()], np.uint64)
-            place = np.array([picked[i] for i in which.tolist()], np.int64)
-            order = np.argsort(key, kind="stable")
-            self.keys[k] = key[order], which[order], place[order]
-
-
-class Filter:
-    """Membership of many hashes in a small sorted set: a bitmap first, then a search."""
-
-    def __init__(self, keys: np.ndarray):
-        self.keys = keys
-        self.bits = np.zeros(1 << 22, bool)
-        self.bits[keys >> np.uint64(42)] = True
-
-    def at(self, hashes: np.ndarray) -> np.ndarray:
-        near = np.flatnonzero(self.bits[hashes >> np.uint64(42)])
-        if not len(near) or not len(self.keys):
-            return near[:0]
-        place = np.searchsorted(self.keys, hashes[near])
-        place[place == len(self.keys)] = 0
-        return near[self.keys[place] == hashes[near]]
-
-
-def _frequencies(docs: DataFrame, text: str, windows) -> dict[tuple[int, int], int]:
-    """How often each shingle of the items occurs in all documents."""
+FILTER_BITS = 24
+
+
+def item_windows(items: DataFrame, item: str, text: str, window: int) -> DataFrame:
+    """(item, window, size, k, grams): the windows of all items; window: its words joined by one space."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        w = windows.value
-        filters = {k: Filter(w.candidates[k]) for k in w.sizes}
-        total = {k: np.zeros(len(w.candidates[k]), np.int64) for k in w.sizes}
         for batch in batches:
-            for _, _, data, offsets in blocks(batch.column(0)):
+            for a, _, data, offsets in blocks(batch.column(1)):
+                data = LOWER[data]
+                starts, ends, h, first = words_of(data, offsets, ALNUM)
+                raw = data.tobytes()
+                words = [raw[x:y] for x, y in zip(starts.tolist(), ends.tolist())]
+                rows: list[tuple] = []
+                for i in range(len(offsets) - 1):
+                    lo, hi = int(first[i]), int(first[i + 1])
+                    size = min(window, hi - lo)
+                    k = min(SHINGLE, size)
+                    for j in range(lo, hi - size + 1 if size else lo):
+                        rows.append((batch.column(0)[a + i].as_py(), b" ".join(words[j : j + size]).decode(), size, k, grams(h[j : j + size], k).view(np.int64).tolist()))
+                cols = list(zip(*rows)) if rows else [[]] * 5
+                kinds = [pa.string(), pa.string(), pa.int32(), pa.int32(), pa.list_(pa.int64())]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], names=["item", "window", "size", "k", "grams"])
+
+    rows = items.select(F.col(item).cast("string").alias("i"), F.col(text).alias("t")).where("t is not null")
+    return rows.mapInArrow(work, "item string, window string, size int, k int, grams array<long>")
+
+
+class ShingleFilter:
+    """Which shingles may be among those of a set: a bitmap of fixed size over their leading bits, one a length."""
+
+    def __init__(self, shingles: DataFrame, width: int):
+        """shingles: (k, gram).  What comes to the driver is at most SHINGLE * 2 ** width bits."""
+        self.width = width
+        bit = F.shiftrightunsigned("gram", 64 - width)
+        rows = shingles.select("k", F.call_function("div", bit, F.lit(32768)).alias("part"), (bit % 32768).alias("bit"))
+        self.bits: dict[int, np.ndarray] = {}
+        for r in rows.groupBy("k", "part").agg(F.call_function("bitmap_construct_agg", "bit").alias("bits")).collect():
+            whole = self.bits.setdefault(r.k, np.zeros(1 << (width - 3), np.uint8))
+            whole[r.part * 4096 : (r.part + 1) * 4096] = np.frombuffer(r.bits, np.uint8)
+
+    def at(self, k: int, hashes: np.ndarray) -> np.ndarray:
+        bit = hashes >> np.uint64(64 - self.width)
+        return np.flatnonzero((self.bits[k][bit >> np.uint64(3)] >> (bit & np.uint64(7)).astype(np.uint8)) & 1)
+
+
+def _frequencies(docs: DataFrame, text: str, filters) -> DataFrame:
+    """(k, gram, n): how often shingles that pass the filter occur in all documents."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        f = filters.value
+        for batch in batches:
+            for _, _, data, offsets in blocks(batch.column(0), 1 << 20):
                 h = words_of(LOWER[data], offsets, ALNUM)[2]
-                for k in w.sizes:
+                for k in f.bits:
                     g = grams(h, k)
-                    hit = g[filters[k].at(g)]
-                    total[k] += np.bincount(np.searchsorted(w.candidates[k], hit), minlength=len(total[k]))
-        for k in w.sizes:
-            some = np.flatnonzero(total[k])
-            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(some), k, np.int32)), pa.array(w.candidates[k][some].view(np.int64)), pa.array(total[k][some])], names=["k", "gram", "n"])
+                    found, n = np.unique(g[f.at(k, g)], return_counts=True)
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(found), k, np.int32)), pa.array(found.view(np.int64)), pa.array(n.astype(np.int64))], names=["k", "gram", "n"])
 
-    rows = docs.select(text).mapInArrow(work, "k int, gram long, n long").groupBy("k", "gram").agg(F.sum("n").alias("n")).collect()
-    return {(r.k, r.gram & (2**64 - 1)): r.n for r in rows}
+    return docs.select(text).mapInArrow(work, "k int, gram long, n long").groupBy("k", "gram").agg(F.sum("n").alias("n"))
 
 
-def item_blocks(items: DataFrame, item: str, text: str, block_words: int = BLOCK_WORDS) -> Iterator[list[tuple[str | None, str]]]:
-    """Items in blocks of a bounded number of bytes (six to a word), streamed to the driver one partition at a time."""
-    block, size = [], 0
-    for r in items.select(F.col(item).cast("string").alias("i"), F.col(text).alias("t")).where("t is not null").toLocalIterator():
-        block.append((r.i, r.t))
-        size += len(r.t)
-        if size > 6 * block_words:
-            yield block
-            block, size = [], 0
-    yield block
+def _places(keyed: DataFrame, filters, window: int) -> DataFrame:
+    """(k1, k2, k, gram, place, before, after, around): shingles of the texts that pass the filter.
 
+    around: the words from ``before`` words before the shingle on, as many as a window with it could hold; after: how
+    many words of the text follow from the shingle's first one on.
+    """
 
-def decontaminate(docs: DataFrame, items: DataFrame, text: str = "text", item: str = "item_id", item_text: str = "text", window: int = WINDOW, block_words: int = BLOCK_WORDS) -> DataFrame:
-    """Adds n_words, n_hit, n_items, items_sha256, items (sorted ids) and contaminated to every row."""
-    added = ["n_words", "n_hit", "n_items", "items_sha256", "items", "contaminated"]
-    out = docs.drop(*added, "_hit", "_found")
-    names = out.columns
-    plain = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in out.schema.fields)
-    store.text_batches(docs.sparkSession)
-    sc = docs.sparkSession.sparkContext
-    parts = [sc.broadcast(Windows(b, window)) for b in item_blocks(items, item, item_text, block_words)]
-    for i, part in enumerate(parts):
-        seen = _frequencies(docs, text, part) if part.value.texts else {}
-        chosen = part.value
-        chosen.choose(seen)
-        part = sc.broadcast(chosen)
-        last = i == len(parts) - 1
-        ends = "n_words long, n_hit long, n_items long, items_sha256 string, items array<string>, contaminated boolean" if last else "_hit binary, _found array<string>"
-        out = out.mapInArrow(_step(part, names, text, first=i == 0, last=last), f"{plain}, {ends}")
-    return out
-
-
-def _step(part, names: list[str], text: str, first: bool, last: bool):
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        w = part.value
-        filters = {k: Filter(np.unique(w.keys[k][0])) for k in w.sizes}
+        f = filters.value
+        seen: set[tuple[int, int]] = set()
         for batch in batches:
-            column = batch.column(names.index(text))
-            n_words, n_hit, found, flags = [], [], [], []
-            for a, b, data, offsets in blocks(column):
+            keys = list(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()))
+            for a, _, data, offsets in blocks(batch.column(2)):
                 data = LOWER[data]
-                starts, ends, h, first_word = words_of(data, offsets, ALNUM)
-                covered = np.zeros(len(starts) + 1, np.int64)
-                items: list[set[str]] = [set() for _ in range(b - a)]
-                for start, win in _matches(w, filters, h, data, starts, ends, first_word):
-                    size = int(w.size[win])
-                    covered[start] += 1
-                    covered[start + size] -= 1
-                    items[int(np.searchsorted(first_word, start, side="right")) - 1].update(w.items[win])
-                hit = np.cumsum(covered[:-1]) > 0
-                for i in range(b - a):
-                    own = hit[first_word[i] : first_word[i + 1]]
-                    if not first:
-                        before = np.frombuffer(batch.column(len(names))[a + i].as_py(), bool)
-                        own = own | before
-                        items[i].update(batch.column(len(names) + 1)[a + i].as_py())
-                    n_words.append(len(own))
-                    n_hit.append(int(own.sum()))
-                    found.append(sorted(items[i]))
-                    flags.append(own.tobytes() if not last else b"")
-            rows = list(batch.columns[: len(names)])
-            if last:
-                more = [pa.array(n_words, pa.int64()), pa.array(n_hit, pa.int64()), pa.array([len(x) for x in found], pa.int64()), pa.array([hashlib.sha256(",".join(x).encode()).hexdigest() for x in found], pa.string()), pa.array(found, pa.list_(pa.string())), pa.array([n > 0 for n in n_hit], pa.bool_())]
-                yield pa.RecordBatch.from_arrays(rows + more, names=[*names, "n_words", "n_hit", "n_items", "items_sha256", "items", "contaminated"])
-            else:
-                yield pa.RecordBatch.from_arrays([*rows, pa.array(flags, pa.binary()), pa.array(found, pa.list_(pa.string()))], names=[*names, "_hit", "_found"])
+                starts, ends, h, first = words_of(data, offsets, ALNUM)
+                raw, rows = data.tobytes(), []
+                for k in f.bits:
+                    g = grams(h, k)
+                    at = f.at(k, g)
+                    text = np.searchsorted(first, at, side="right") - 1
+                    inside = at + k <= first[text + 1]
+                    for p, i, gram in zip(at[inside].tolist(), text[inside].tolist(), g[at[inside]].view(np.int64).tolist()):
+                        if keys[a + i] in seen:
+                            continue
+                        lo, hi = max(int(first[i]), p - window + 1), min(int(first[i + 1]), p + window)
+                        around = b" ".join([raw[x:y] for x, y in zip(starts[lo:hi].tolist(), ends[lo:hi].tolist())])
+                        rows.append((*keys[a + i], k, gram, p - int(first[i]), p - lo, int(first[i + 1]) - p, around.decode()))
+                seen.update(keys[a : a + len(offsets) - 1])
+                cols = list(zip(*rows)) if rows else [[]] * 8
+                kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.string()]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, kinds)], names=["k1", "k2", "k", "gram", "place", "before", "after", "around"])
         trim()
 
-    return work
-
-
-def _matches(w: Windows, filters: dict[int, Filter], h: np.ndarray, data: np.ndarray, starts: np.ndarray, ends: np.ndarray, first_word: np.ndarray) -> Iterator[tuple[int, int]]:
-    """(first word, window) of every occurrence within one text."""
-    raw = None
-    for k in w.sizes:
-        keys, which, place = w.keys[k]
-        g = grams(h, k)
-        at = filters[k].at(g)
-        if not len(at):
-            continue
-        low, high = np.searchsorted(keys, g[at], "left"), np.searchsorted(keys, g[at], "right")
-        count = high - low
-        entry = np.arange(int(count.sum())) - np.repeat(np.cumsum(count) - count - low, count)
-        win, start = which[entry], np.repeat(at, count) - place[entry]
-        text = np.searchsorted(first_word, np.repeat(at, count), side="right") - 1
-        ok = (start >= first_word[text]) & (start + w.size[win] <= first_word[text + 1])
-        win, start = win[ok], start[ok]
-        for j in range(w.hashes.shape[1]):
-            inside = j < w.size[win]
-            same = ~inside | (h[np.minimum(start + j, len(h) - 1)] == w.hashes[win, j])
-            win, start = win[same], start[same]
-        if len(win) and raw is None:
-            raw = data.tobytes()
-        for s, x in zip(start.tolist(), win.tolist()):
-            if all(raw[starts[s + j] : ends[s + j]] == word for j, word in enumerate(w.texts[x])):
-                yield s, x
+    return keyed.select("k1", "k2", "text").mapInArrow(work, "k1 long, k2 long, k int, gram long, place long, before int, after long, around string")
+
+
+def hits(keyed: DataFrame, windows: DataFrame, window: int, filter_bits: int = FILTER_BITS) -> DataFrame:
+    """(k1, k2, window, start, size): every occurrence of a window in a text."""
+    sc = keyed.sparkSession.sparkContext
+    shingles = store.written(windows.select("window", "size", "k", F.posexplode("grams").alias("off", "gram")).distinct(), "shingles")
+    seen = _frequencies(keyed, "text", sc.broadcast(ShingleFilter(shingles.select("k", "gram"), filter_bits)))
+    rarest = F.row_number().over(Window.partitionBy("window").orderBy(F.coalesce("n", F.lit(0)), "off"))
+    chosen = shingles.join(seen, ["k", "gram"], "left").withColumn("r", rarest).where("r = 1 and n is not null").drop("r", "n")
+    chosen = store.written(chosen, "chosen")
+    found = _places(keyed, sc.broadcast(ShingleFilter(chosen.select("k", "gram"), filter_bits)), window).join(chosen, ["k", "gram"])
+    words = F.slice(F.split("around", " "), F.col("before") - F.col("off") + 1, F.col("size"))
+    fits = (F.col("off") <= F.col("before")) & (F.col("size") - F.col("off") <= F.col("after"))
+    same = F.when(fits, F.array_join(words, " ") == F.col("window")).otherwise(False)
+    return found.where(same).select("k1", "k2", "window", (F.col("place") - F.col("off")).alias("start"), "size").distinct()
+
+
+def decontaminate(docs: DataFrame, items: DataFrame, text: str = "text", item: str = "item_id", item_text: str = "text", window: int = WINDOW, filter_bits: int = FILTER_BITS) -> DataFrame:
+    """Adds n_words, n_hit, n_items, items_sha256, items (sorted ids) and contaminated to every row."""
+    keyed, _ = repeats.with_copies(docs, text)
+    windows = item_windows(items, item, item_text, window)
+    found = store.written(hits(keyed, windows, window, filter_bits), "hits")
+    ranges = found.groupBy("k1", "k2").agg(F.sort_array(F.collect_set(F.struct(F.col("start").alias("lo"), F.col("size").cast("int").alias("n")))).alias("ranges"))
+    named = found.select("k1", "k2", "window").distinct().join(windows.select("window", "item").where("item is not null").distinct(), "window")
+    named = named.groupBy("k1", "k2").agg(F.sort_array(F.collect_set("item")).alias("ids"))
+    result = ranges.join(named, ["k1", "k2"], "left")
+    added = [StructField(n, LongType()) for n in ("n_words", "n_hit", "n_items")] + [StructField("items_sha256", StringType()), StructField("items", ArrayType(StringType())), StructField("contaminated", BooleanType())]
+
+    def values(data: np.ndarray, offsets: np.ndarray, rows: list) -> Iterator[tuple]:
+        first = words_of(LOWER[data], offsets, ALNUM)[3]
+        for i, (spans, ids) in enumerate(rows):
+            n = int(first[i + 1] - first[i])
+            mark = np.zeros(n + 1, np.int64)
+            for r in spans or []:
+                mark[r["lo"]] += 1
+                mark[r["lo"] + r["n"]] -= 1
+            n_hit, ids = int((np.cumsum(mark[:-1]) > 0).sum()), ids or []
+            yield (n, n_hit, len(ids), hashlib.sha256(",".join(ids).encode()).hexdigest(), ids, n_hit > 0)
+
+    return repeats.with_values(keyed.join(result, ["k1", "k2"], "left").select("row", "ranges", "ids"), text, added, values)

@@ -159,26 +159,32 @@ def at_all_places(met: DataFrame, inside: DataFrame, kinds: DataFrame, copies: D
 
 
 def covered(keyed: DataFrame, ranges: DataFrame, added: list[StructField], values) -> DataFrame:
-    """Joins what to remove to every row's text by digest and adds columns: ``values(bytes, offsets, ranges)`` yields a
-    text's, in order, for the texts of a block.
+    """Joins what to remove to every row's text by digest and adds columns, as ``with_values`` does.
 
     ranges: k1, k2, lo, n (first window and number of windows).
     """
     gathered = ranges.groupBy("k1", "k2").agg(F.sort_array(F.collect_list(F.struct("lo", "n"))).alias("ranges"))
     joined = keyed.join(gathered.hint("shuffle_hash"), ["k1", "k2"], "left").select("row", "ranges")
-    fields = keyed.schema["row"].dataType.fields
+    return with_values(joined, "text", added, lambda data, offsets, rows: values(data, offsets, [r for (r,) in rows]))
+
+
+def with_values(joined: DataFrame, text: str, added: list[StructField], values) -> DataFrame:
+    """Unpacks ``row`` and adds columns: ``values(bytes, offsets, others)`` yields each text's, in order, for a block of
+    texts and the other columns of their rows."""
+    fields = joined.schema["row"].dataType.fields
     new = {f.name.lower() for f in added}
     kept = [i for i, f in enumerate(fields) if f.name.lower() not in new]
-    at = [f.name for f in fields].index("text")
+    at = [f.name for f in fields].index(text)
     names = [*(fields[i].name for i in kept), *(f.name for f in added)]
     kinds = [to_arrow_type(f.dataType) for f in added]
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             own = batch.column(0).flatten()
+            others = list(zip(*(c.to_pylist() for c in batch.columns[1:])))
             cols: list[list] = [[] for _ in added]
             for a, b, data, offsets in blocks(own[at]):
-                for row in values(data, offsets, batch.column(1)[a:b].to_pylist()):
+                for row in values(data, offsets, others[a:b]):
                     for c, v in zip(cols, row):
                         c.append(v)
             yield pa.RecordBatch.from_arrays([*(own[i] for i in kept), *(pa.array(c, k) for c, k in zip(cols, kinds))], names=names)
@@ -186,10 +192,10 @@ def covered(keyed: DataFrame, ranges: DataFrame, added: list[StructField], value
     return joined.mapInArrow(work, StructType([*(fields[i] for i in kept), *added]))
 
 
-def with_copies(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
+def with_copies(docs: DataFrame, text: str = "text") -> tuple[DataFrame, DataFrame]:
     """Rows, packed so that no name of theirs clashes, with their text and its digest; and the digests several rows share."""
     store.text_batches(docs.sparkSession)
-    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("text"), *digest())
+    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(text).alias("text"), *digest(text))
     return keyed, keyed.groupBy("k1", "k2").count().where("count > 1").select("k1", "k2")
 
 

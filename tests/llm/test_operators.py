@@ -216,8 +216,8 @@ def test_decontamination(docs, spark, empty):
         w = find.findall(low(r.text))
         for i in range(max(0, len(w) - min(10, len(w)) + 1) if w else 0):
             windows.setdefault(tuple(w[i : i + min(10, len(w))]), set()).add(str(r.item_id))
-    for block in (2_000_000, 2):
-        for r in decontaminate.decontaminate(docs.withColumn("items", F.lit("x")), items, block_words=block).collect():
+    for bits in (decontaminate.FILTER_BITS, 16):  # a filter that lets most shingles through changes nothing
+        for r in decontaminate.decontaminate(docs.withColumn("items", F.lit("x")).withColumn("k1", F.lit(3)), items, filter_bits=bits).collect():
             w = find.findall(low(r.text))
             hit, found = set(), set()
             for n in {len(k) for k in windows}:
@@ -225,7 +225,7 @@ def test_decontamination(docs, spark, empty):
                     if tuple(w[i : i + n]) in windows:
                         hit.update(range(i, i + n))
                         found |= windows[tuple(w[i : i + n])]
-            assert (r.n_words, r.n_hit, r.n_items, r.items_sha256, r.contaminated) == (len(w), len(hit), len(found), sha(",".join(sorted(found))), bool(hit))
+            assert (r.n_words, r.n_hit, r.n_items, r.items_sha256, r.contaminated, r.k1) == (len(w), len(hit), len(found), sha(",".join(sorted(found))), bool(hit), 3)
     assert decontaminate.decontaminate(empty, items).collect() == []
     assert not any(r.contaminated for r in decontaminate.decontaminate(docs, items.where("false")).collect())
 
@@ -234,9 +234,8 @@ def test_benchmark_items_without_id(spark):
     passage = " ".join(f"word{i}" for i in range(12))
     docs = spark.createDataFrame([(1, f"so {passage} it goes"), (2, "nothing of it"), (3, "both short item here and " + passage)], "doc_id int, text string")
     items = spark.createDataFrame([(None, passage), ("a", "short item"), (None, None)], "item_id string, text string")
-    for block in (2_000_000, 2):
-        got = {r.doc_id: (r.n_hit, r.n_items, r.items, r.contaminated) for r in decontaminate.decontaminate(docs, items, block_words=block).collect()}
-        assert got == {1: (12, 0, [], True), 2: (0, 0, [], False), 3: (14, 1, ["a"], True)}
+    got = {r.doc_id: (r.n_hit, r.n_items, r.items, r.contaminated) for r in decontaminate.decontaminate(docs, items).collect()}
+    assert got == {1: (12, 0, [], True), 2: (0, 0, [], False), 3: (14, 1, ["a"], True)}
 
 
 def test_main_text(spark):
