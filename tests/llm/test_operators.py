@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import time
 from collections import Counter
 
 import numpy as np
@@ -20,6 +21,10 @@ def sha(s):
     return hashlib.sha256(s.encode() if isinstance(s, str) else s).hexdigest()
 
 
+def _p(n, word="word"):
+    return "<p>" + " ".join(f"{word}{i}" for i in range(n)) + "</p>"
+
+
 def texts(seed=3, n=40):
     """Documents with copies, near copies, shared passages, a hot line and edge cases."""
     rng = random.Random(seed)
@@ -250,6 +255,40 @@ def test_main_text(spark):
     assert extract.extract(pages.where("false"), extract.learn_costs(pages.where("false"))).collect() == []
 
 
+def test_main_text_of_broken_pages():
+    costs = {f"{slash}{t}": 0.02 for t in ("article", "section", "h1", "h2", "p") for slash in ("", "/")}
+    article = f"<article><h1>Head</h1>{_p(60)}{_p(50, 'more')}</article>"
+    want = "Head " + " ".join(f"word{i}" for i in range(60)) + " " + " ".join(f"more{i}" for i in range(50))
+    menu = "<ul>" + "<li><a href='/x'>go there</a></li>" * 5 + "</ul>"
+    for page in (f"<body><nav>{menu}</nav>{article}</body>", f"<body><nav>{menu}{article}</body>", f"<body><div class='ad'>buy now{article}", f"<body><nav>{menu}<div class=ad>buy{article}<footer>us", f"<p title='a > b'>{article}", f'<body><a title="x>{article}'):
+        assert extract.main_text(page, costs).endswith(want), page
+    related = f"<article><h1>Head</h1>{_p(60)}<section class='related work'><h2>Related work</h2>{_p(80, 'prior')}</section>{_p(50, 'more')}</article>"
+    assert "prior79" in extract.main_text(related, costs) and "more49" in extract.main_text(related, costs)
+    links = f"<article>{_p(60)}<div class='related'>{menu}</div>{_p(50, 'more')}</article>"
+    assert "go there" not in extract.main_text(links, costs) and "more49" in extract.main_text(links, costs)
+
+
+def test_best_run_is_the_best():
+    rng = random.Random(1)
+    for _ in range(300):
+        scores = [rng.choice([-3, -1, -0.5, 0, 1, 2]) for _ in range(rng.randrange(25))]
+        begin, end = extract.best_run(scores)
+        sums = [(sum(scores[a:b]), -a) for a in range(len(scores)) for b in range(a + 1, len(scores) + 1)]
+        assert sum(scores[begin:end]) == max([s for s, _ in sums] + [0])
+
+
+@pytest.mark.parametrize("unit", ["<a b", '<a b="', '" c="><a b="', "<div>", "</div>", "<div class=ad>", "<!-", "<p>word <b>", "<nav><p>a</p>", "<script>", "=\"'"])
+def test_long_broken_pages_take_linear_time(unit):
+    began = time.time()
+    extract.main_text("<p>one two</p>" + unit * (2_000_000 // len(unit)), {})
+    assert time.time() - began < 30
+
+
+def test_a_page_of_five_megabytes():
+    page = f"<body><nav>menu</nav><article>{_p(40) * 16_000}</article><footer>us</footer></body>"
+    assert len(page) > 4_000_000 and extract.main_text(page, {}).split() == [f"word{i}" for i in range(40)] * 16_000
+
+
 def test_main_text_goes_on_after_long_excluded_blocks():
     say = lambda word, n: " ".join(f"{word}{i}" for i in range(n))
     first, second, advert = say("first", 30), say("second", 40), say("advert", 60)
