@@ -12,7 +12,9 @@ with a license file gives the license to files that state none: directories (not
 joined with the licensed directories by path, and the deepest match counts.
 
 DataFrame functions only.  Defined results: null and empty texts state nothing; of equally near templates the first in
-order wins; of several license files in one directory the best-scoring one counts; repeated paths share one answer.
+order wins; of several license files in one directory the best-scoring one counts; a null path has no directory, so
+it inherits nothing and gives nothing, but states what its own lines say; files of one path with different texts are
+judged by their own; other columns stay as they are, those named like a result are replaced by it.
 """
 
 from __future__ import annotations
@@ -106,26 +108,32 @@ def directory(path: Column) -> Column:
     return F.regexp_replace(path, "/?[^/]*$", "")
 
 
+def keyed(files: DataFrame) -> DataFrame:
+    """Files with a key of path and text: files that share a path keep their own lines, equal ones share an answer."""
+    one = lambda c: F.concat(F.when(F.col(c).isNull(), F.lit("-")).otherwise(F.lit("+")), F.coalesce(F.col(c), F.lit("")))
+    return files.withColumn("_key", F.md5(F.concat(F.md5(one("path").cast("binary")), one("text")).cast("binary")))
+
+
 def headers(files: DataFrame) -> DataFrame:
-    """(path, line, header) of all lines with a cue."""
+    """(_key, line, header) of all lines with a cue."""
     lines = F.split(F.coalesce("text", F.lit("")), "\n")
-    return files.where(F.col("text").rlike(CUE)).select("path", F.posexplode(F.filter(lines, lambda x: x.rlike(CUE))).alias("line", "header"))
+    return files.where(F.col("text").rlike(CUE)).select("_key", F.posexplode(F.filter(lines, lambda x: x.rlike(CUE))).alias("line", "header"))
 
 
 def scores(lines: DataFrame) -> DataFrame:
-    """(path, license, score): each path's best template over its headers."""
+    """(_key, license, score): each file's best template over its headers."""
     rows, idf, other = template_weights()
     spark = lines.sparkSession
     weights = F.broadcast(spark.createDataFrame(rows, "template int, license string, word string, weight double"))
     rarity = F.broadcast(spark.createDataFrame(list(idf.items()), "word string, idf double"))
-    words = lines.select("path", "line", F.explode(F.split(F.lower("header"), SPLIT)).alias("word")).where("word != ''")
-    tf = words.groupBy("path", "line", "word").agg(F.count("*").alias("n"))
-    tf = tf.join(rarity, "word", "left").select("path", "line", "word", (F.col("n") * F.coalesce("idf", F.lit(other))).alias("w"))
-    norm = tf.groupBy("path", "line").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
-    dots = tf.join(weights, "word").groupBy("path", "line", "template", "license").agg(F.sum(F.col("w") * F.col("weight")).alias("dot"))
-    cos = dots.join(norm, ["path", "line"]).select("path", "license", F.round(F.col("dot") / F.col("norm"), 6).alias("score"))
-    best = cos.where(F.col("score") >= LEAST).groupBy("path").agg(F.max("score").alias("score"), F.min(F.struct((-F.col("score")).alias("s"), "license")).alias("b"))
-    return best.select("path", F.col("b.license").alias("license"), "score")
+    words = lines.select("_key", "line", F.explode(F.split(F.lower("header"), SPLIT)).alias("word")).where("word != ''")
+    tf = words.groupBy("_key", "line", "word").agg(F.count("*").alias("n"))
+    tf = tf.join(rarity, "word", "left").select("_key", "line", "word", (F.col("n") * F.coalesce("idf", F.lit(other))).alias("w"))
+    norm = tf.groupBy("_key", "line").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
+    dots = tf.join(weights, "word").groupBy("_key", "line", "template", "license").agg(F.sum(F.col("w") * F.col("weight")).alias("dot"))
+    cos = dots.join(norm, ["_key", "line"]).select("_key", "license", F.round(F.col("dot") / F.col("norm"), 6).alias("score"))
+    best = cos.where(F.col("score") >= LEAST).groupBy("_key").agg(F.max("score").alias("score"), F.min(F.struct((-F.col("score")).alias("s"), "license")).alias("b"))
+    return best.select("_key", F.col("b.license").alias("license"), "score")
 
 
 def _is_license_file() -> Column:
@@ -136,20 +144,20 @@ def _is_license_file() -> Column:
 
 
 def license_files(files: DataFrame) -> DataFrame:
-    """Paths of license files."""
-    return files.where(_is_license_file()).select("path").distinct()
+    """(_key, path) of license files."""
+    return files.where(_is_license_file()).where("path is not null").select("_key", "path").distinct()
 
 
 def whole_scores(files: DataFrame) -> DataFrame:
-    """(path, license, score): of each license file the nearest whole text."""
+    """(_key, license, score): of each license file the nearest whole text."""
     rows, idf, other = whole_weights()
     spark = files.sparkSession
     weights = F.broadcast(spark.createDataFrame(rows, "license string, word string, weight double"))
     rarity = F.broadcast(spark.createDataFrame(list(idf.items()), "word string, idf double"))
     low = F.lower("text")
     shown = F.array(*[low.rlike(pattern) for _, pattern, _ in TITLES])
-    key = ["path", "text_hash", "shown"]
-    words = files.where(_is_license_file()).select("path", F.xxhash64("text").alias("text_hash"), shown.alias("shown"), F.explode(F.split(low, SPLIT)).alias("word")).where("word != ''")
+    key = ["_key", "shown"]
+    words = files.where(_is_license_file()).select("_key", shown.alias("shown"), F.explode(F.split(low, SPLIT)).alias("word")).where("word != ''")
     tf = words.groupBy(*key, "word").agg(F.count("*").alias("n"))
     tf = tf.join(rarity, "word", "left").select(*key, "word", ((F.log("n") + 1) * F.coalesce("idf", F.lit(other))).alias("w"))
     norm = tf.groupBy(key).agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
@@ -159,24 +167,25 @@ def whole_scores(files: DataFrame) -> DataFrame:
     named = F.col("b.license")
     for i, (license, _, name) in reversed(list(enumerate(TITLES))):
         named = F.when((F.col("b.license") == license) & F.col("shown")[i], F.lit(name)).otherwise(named)
-    found = nearest.select("path", named.alias("license"), "b.score").where("license is not null")
-    return found.groupBy("path").agg(F.min(F.struct((-F.col("score")).alias("s"), "license", "score")).alias("b")).select("path", "b.license", "b.score")
+    return nearest.select("_key", named.alias("license"), "b.score").where("license is not null")
 
 
 def scan_licenses(files: DataFrame) -> DataFrame:
     """Every row of ``files`` (path, text and more) without its text, with license, how (own, inherited, none), score and licensed_by."""
-    files = files.drop("license", "how", "score", "licensed_by", "dir")
+    added = ("license", "how", "score", "licensed_by")
+    names = [c for c in files.columns if c.lower() not in (*added, "text")]
+    files = keyed(files.select("path", "text", F.struct(*names).alias("_row")))
     whole = whole_scores(files)
-    own = whole.unionByName(scores(headers(files)).join(whole, "path", "left_anti"))
-    named = license_files(files).join(own, "path").select(directory(F.col("path")).alias("dir"), F.struct((-F.col("score")).alias("s"), "license", "path").alias("b"))
-    licensed = named.groupBy("dir").agg(F.min("b").alias("b")).select(F.col("dir").alias("ancestor"), F.col("b.license").alias("up"), F.col("b.path").alias("by"))
-    parts = F.split("dir", "/")
-    dirs = files.select(directory(F.col("path")).alias("dir")).where("dir is not null").distinct()
-    up = dirs.select("dir", F.explode(F.concat(F.array(F.lit("")), F.transform(F.sequence(F.lit(1), F.size(parts)), lambda k: F.array_join(F.slice(parts, F.lit(1), k), "/")))).alias("ancestor")).distinct()
-    near = up.join(licensed, "ancestor").groupBy("dir").agg(F.max(F.struct(F.length("ancestor").alias("l"), "up", "by")).alias("b")).select("dir", "b.up", "b.by")
-    out = files.drop("text").withColumn("dir", directory(F.col("path"))).join(own, "path", "left").join(near, "dir", "left")
+    own = whole.unionByName(scores(headers(files)).join(whole, "_key", "left_anti"))
+    named = license_files(files).join(own, "_key").select(directory(F.col("path")).alias("_dir"), F.struct((-F.col("score")).alias("s"), "license", "path").alias("b"))
+    licensed = named.groupBy("_dir").agg(F.min("b").alias("b")).select(F.col("_dir").alias("ancestor"), F.col("b.license").alias("up"), F.col("b.path").alias("by"))
+    parts = F.split("_dir", "/")
+    dirs = files.select(directory(F.col("path")).alias("_dir")).where("_dir is not null").distinct()
+    up = dirs.select("_dir", F.explode(F.concat(F.array(F.lit("")), F.transform(F.sequence(F.lit(1), F.size(parts)), lambda k: F.array_join(F.slice(parts, F.lit(1), k), "/")))).alias("ancestor")).distinct()
+    near = up.join(licensed, "ancestor").groupBy("_dir").agg(F.max(F.struct(F.length("ancestor").alias("l"), "up", "by")).alias("b")).select("_dir", "b.up", "b.by")
+    out = files.select("_key", "_row", directory(F.col("path")).alias("_dir")).join(own, "_key", "left").join(near, "_dir", "left")
     how = F.when(F.col("license").isNotNull(), "own").when(F.col("up").isNotNull(), "inherited").otherwise("none")
-    return out.select(*[c for c in files.columns if c != "text"], F.coalesce("license", "up").alias("license"), how.alias("how"), "score", F.when(how == "inherited", F.col("by")).alias("licensed_by"))
+    return out.select("_row.*", F.coalesce("license", "up").alias("license"), how.alias("how"), "score", F.when(how == "inherited", F.col("by")).alias("licensed_by"))
 
 
 def document_path(key: str = "doc_id", source: str = "source") -> Column:

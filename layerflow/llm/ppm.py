@@ -105,16 +105,36 @@ class ContextTrees:
         return number
 
 
+#: Entries of a table of four bytes each, of which every worker keeps one an order.
+TABLE_ENTRIES = 1 << 26
+
+
+class _Step:
+    """Numbers of grams from their prefixes' numbers and last bytes: 0 for unknown ones.
+
+    A table answers at once where it is small; where it would not be, the sorted keys are searched, with equal results.
+    """
+
+    def __init__(self, keys: np.ndarray, prefixes: int):
+        self.keys, self.table = keys, None
+        if prefixes * 256 <= TABLE_ENTRIES:
+            self.table = np.zeros(prefixes * 256, np.int32)
+            self.table[keys] = np.arange(1, len(keys) + 1, dtype=np.int32)
+
+    def __call__(self, prefix: np.ndarray, byte: np.ndarray) -> np.ndarray:
+        wanted = prefix * np.int64(256) + byte
+        if self.table is not None:
+            return self.table[wanted]
+        at = np.minimum(np.searchsorted(self.keys, wanted), max(0, len(self.keys) - 1))
+        return np.where(self.keys[at] == wanted, at + 1, 0).astype(np.int32) if len(self.keys) else np.zeros(len(wanted), np.int32)
+
+
 class Scorer:
     """Code lengths of texts under all languages."""
 
     def __init__(self, trees: ContextTrees):
         self.t = trees
-        self.step = []  # of orders 2..: number of a gram from its prefix's number and last byte
-        for k, keys in enumerate(trees.keys):
-            table = np.zeros(len(trees.cost[k]) * 256, np.int32)
-            table[keys] = np.arange(1, len(keys) + 1, dtype=np.int32)
-            self.step.append(table)
+        self.step = [_Step(keys, len(trees.cost[k])) for k, keys in enumerate(trees.keys)]  # of orders 2..
 
     def bits(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
         """Text x language: bits to code each text whole, each text with an empty context at its front."""
@@ -125,9 +145,9 @@ class Scorer:
         starts = offsets[:-1][np.diff(offsets) > 0]
         # a gram of order k at a place covers the k bytes up to it; none reaches over a text's front
         ids = [data.astype(np.int32)]
-        for table in self.step:
+        for step in self.step:
             last, now = ids[-1], np.zeros(n, np.int32)
-            now[1:] = table[last[:-1] * np.int32(256) + data[1:]]
+            now[1:] = step(last[:-1], data[1:])
             for j in range(len(ids)):
                 near = starts + j
                 now[near[near < n]] = 0

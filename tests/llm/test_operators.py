@@ -441,6 +441,14 @@ def test_language_id(spark, sf_dir, empty):
     assert all(r.lang_pred == "und" for r in ppm.identify(odd.withColumn("lang", F.lit(None).cast("string"))).collect())
 
 
+def test_sorted_keys_answer_like_tables(monkeypatch):
+    keys = np.array([3, 7, 256, 700, 2000])
+    prefix, byte = np.array([0, 0, 0, 1, 2, 7, 7, 9]), np.array([3, 4, 7, 0, 188, 208, 209, 255], np.uint8)
+    table = ppm._Step(keys, 10)(prefix, byte)
+    monkeypatch.setattr(ppm, "TABLE_ENTRIES", 0)
+    assert table.tolist() == ppm._Step(keys, 10)(prefix, byte).tolist() == [1, 0, 2, 3, 4, 5, 0, 0]
+
+
 def test_code_lengths_are_those_of_the_trees():
     """Bits of a text by walking the counts, one byte at a time."""
     import pyarrow as pa
@@ -488,9 +496,15 @@ def test_licenses(spark):
         ("top.txt", "nothing"),
         (None, "Released under the MIT License."),
         ("z/odd.txt", "our license is a secret of the house of unusual words"),
+        ("q/two.py", "x\nLicensed under the Apache License, Version 2.0.\ny"),
+        ("q/two.py", "nothing of the kind"),
     ]
     got = {}
-    for r in licenses.scan_licenses(spark.createDataFrame(rows, "path string, text string").withColumn("how", F.lit("x"))).collect():
+    found = licenses.scan_licenses(spark.createDataFrame(rows, "path string, text string").withColumn("how", F.lit("x")).withColumn("dir", F.lit("own"))).collect()
+    assert len(found) == len(rows) and {r.dir for r in found} == {"own"}
+    assert sorted((r.license or "", r.how) for r in found if r.path == "q/two.py") == [("", "none"), ("Apache-2.0", "own")]
+    assert [(r.license, r.how) for r in found if r.path is None] == [("MIT", "own")]
+    for r in found:
         got[r.path] = (r.license, r.how)
     assert got["lib/LICENSE"] == ("MIT", "own") and got["lib/a/code.py"] == ("MIT", "inherited")
     assert got["lib/a/b/own.py"] == ("Apache-2.0", "own") and got["lib/a/c/d/e.txt"] == ("GPL-3.0", "inherited")
