@@ -80,6 +80,67 @@ def test_replay_invariants(spark, sf_dir):
     assert reloads["farthest"] <= min(reloads.values()) * 1.05
 
 
+class PlainStore:
+    """The rules of the two-tier store, one vertex at a time: what the arrays have to equal."""
+
+    def __init__(self, slots, policy):
+        self.slots, self.policy = slots, POLICIES[policy](0)
+        self.pending, self.resident, self.parked, self.step = {}, set(), set(), 0
+
+    def chunk(self, rows):
+        back = out = done = 0
+        for a in range(0, len(rows), self.slots):
+            part = rows[a : a + self.slots]
+            new = [r[0] for r in part if r[0] not in self.resident]
+            over = len(self.resident) + len(new) - self.slots
+            if over > 0:
+                gone = self.policy.victims(over, {r[0] for r in part})
+                self.resident.difference_update(gone)
+                self.parked.update(gone)
+                out += len(gone)
+            back += len(self.parked & set(new))
+            self.parked.difference_update(new)
+            self.resident.update(new)
+            for v, n, d_in, nxt in part:
+                left = self.pending[v] = self.pending.get(v, d_in) - n
+                if left:
+                    self.policy.note(v, left, self.step, nxt)
+                else:
+                    self.policy.forget(v)
+                    self.resident.remove(v)
+                    del self.pending[v]
+                    done += 1
+            self.step += 1
+        return back, out, done
+
+
+@pytest.mark.parametrize("policy", [p for p in POLICIES if p != "random"])
+def test_arrays_equal_the_plain_store(policy):
+    rng = np.random.default_rng(3)
+    for slots in (1, 3, 10, 200):
+        src, dst = np.unique(rng.integers(0, 80, (600, 2)), axis=0).T
+        d_in = np.bincount(dst, minlength=80)
+        fast, plain = tiers.TierStore(slots, policy), PlainStore(slots, policy)
+        for c in range(0, 80, 8):
+            v, n = np.unique(dst[(src >= c) & (src < c + 8)], return_counts=True)
+            nxt = np.array([min([s // 8 for s in src[dst == x] if s >= c + 8], default=2**40) for x in v], np.int64)
+            got = fast.chunk(v, n, d_in[v], nxt)
+            assert got == plain.chunk(list(zip(v.tolist(), n.tolist(), d_in[v].tolist(), nxt.tolist())))
+            assert set(np.flatnonzero(fast.resident).tolist()) == plain.resident and fast.n_parked == len(plain.parked) and fast.n_resident <= slots
+
+
+def test_replay_in_shards(spark, sf_dir):
+    g = GRAPHS["trade"](spark, sf_dir)
+    trace = progress.message_trace(g.edges, orders.order_yield(g.edges, g.vertices).select("vid", "pos"), 64).cache()
+    n = trace.select("dst").distinct().count()
+    for shards in (1, 5):
+        r = tiers.replay_tiers(trace, 300, "fewest", shards=shards)
+        s = r.summary().first()
+        assert s.finished == n and s.reloads == s.evictions == r.reloads.agg(F.sum("reloads")).first()[0]
+    cache = tiers.cache_replay(tiers.page_trace(g.edges, 64, 16), 40, "lru", sets=4)
+    assert cache.agg(F.sum(F.col("hits") + F.col("misses"))).first()[0] == tiers.page_trace(g.edges, 64, 16).count()
+
+
 def test_bad_arguments(spark):
     g = small(spark, 6, SIX)
     with pytest.raises(ValueError):
