@@ -39,16 +39,21 @@ def add_self_loops(edges: DataFrame, vertices: DataFrame) -> DataFrame:
     return edges.select("src", "dst").unionByName(vertices.select(F.col("vid").alias("src"), F.col("vid").alias("dst"))).distinct()
 
 
-def _messages(edges: DataFrame, h: DataFrame, agg: str) -> tuple[DataFrame, list[str]]:
+def make_messages(edges: DataFrame, h: DataFrame, agg: str = "mean_in_message") -> DataFrame:
+    """(dst, tile, c0..): a message for each edge, normalised where the aggregator does so in the message."""
+    return _messages(edges, h, agg)[0]
+
+
+def _messages(edges: DataFrame, h: DataFrame, agg: str, by: str | None = None) -> tuple[DataFrame, list[str]]:
     """Source rows on their out-edges."""
     cols = value_columns(h)
     if agg in ("mean_in_message", "both") and "w" not in edges.columns:
         edges = coefficients(edges, "dst" if agg == "mean_in_message" else "both")
-    keep = ["src", "dst", *(["w"] if "w" in edges.columns else [])]
+    keep = ["src", "dst", *([by] if by else []), *(["w"] if "w" in edges.columns else [])]
     weight = F.col("w") if "w" in edges.columns else None
     out = edges.select(*keep).join(h, F.col("src") == F.col("vid"))
     values = [F.col(c) if weight is None else (F.col(c) * weight) for c in cols]
-    return out.select("dst", "tile", *[v.alias(c) for v, c in zip(values, cols)]), cols
+    return out.select(*([by] if by else []), "dst", "tile", *[v.alias(c) for v, c in zip(values, cols)]), cols
 
 
 def _combined(cols: list[str], agg: str) -> list[Column]:
@@ -85,10 +90,15 @@ def push_aggregate(edges: DataFrame, h: DataFrame, vertices: DataFrame, agg: str
     return _finish(sums, vertices, h, edges, cols, agg, exact, tiles)
 
 
-def pull_aggregate(edges: DataFrame, h: DataFrame, vertices: DataFrame, agg: str = "mean", exact: bool = True, tiles: int = 1) -> DataFrame:
-    """The same from full rows shipped along every edge: no combining before the shuffle."""
-    messages, cols = _messages(edges, h, agg)
-    sums = messages.repartition("dst", "tile").groupBy("dst", "tile").agg(*_combined(cols, agg), F.count("*").alias("n_recv"))
+def pull_aggregate(edges: DataFrame, h: DataFrame, vertices: DataFrame, agg: str = "mean", exact: bool = True, tiles: int = 1, by: str | None = None) -> DataFrame:
+    """The same from full rows shipped along every edge: no combining before the shuffle.
+
+    ``by``: a column of the edges that all in-edges of a destination share, such as its batch; rows are dealt by it.
+    """
+    messages, cols = _messages(edges, h, agg, by)
+    dealt = ["dst", "tile"] if by is None else [by, "dst", "tile"]
+    sums = messages.repartition(*([by] if by else dealt)).groupBy(*dealt).agg(*_combined(cols, agg), F.count("*").alias("n_recv"))
+    sums = sums.drop(by) if by else sums
     return _finish(sums, vertices, h, edges, cols, agg, exact, tiles)
 
 

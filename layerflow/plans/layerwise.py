@@ -23,8 +23,10 @@ class RunReport:
 
     engine: str
     graph: str
-    seconds: list[float] = field(default_factory=list)
+    seconds: list[float] = field(default_factory=list)  # of layers that were run; a lazy plan has none
     status: str = "done"
+    stages: list[dict] = field(default_factory=list)  # layer, stage and seconds
+    messages: list[int] = field(default_factory=list)  # rows shuffled, layer by layer
 
     def rows(self) -> list[dict]:
         return [{"graph": self.graph, "engine": self.engine, "layer": i + 1, "seconds": s, "status": self.status} for i, s in enumerate(self.seconds)]
@@ -33,7 +35,7 @@ class RunReport:
 def model(kind: str, d: int, hidden: int = 8, classes: int = 4, weights: str = "lattice", shift: int | None = 4, layers: int = 2) -> list[Layer]:
     """Named models of ``layers`` layers: graphconv, sage, gin, sgc, gat."""
     widths = [d, *[hidden] * (layers - 1), classes]
-    out: list[Layer] = []
+    out: list[Layer] = []  # hidden is 128 in the experiments; small widths keep checks by SQL cheap
     for n in range(layers):
         a, b, last = widths[n], widths[n + 1], n == layers - 1
         more = {"act": "identity" if last else "relu", "shift": None if last else shift}
@@ -99,7 +101,9 @@ def infer_layerwise(g: Graph, layers: list[Layer], engine: str = "push", exact:
             context.setJobDescription(f"{engine} layer {n + 1} of {g.name}")
             h = store.written(h, f"layer{n + 1}")
             context.setJobDescription(None)
-        report.seconds.append(time.time() - began)
+            report.seconds.append(time.time() - began)
+    if not materialize:
+        report.status = "planned"
     return h, report
 
 
