@@ -166,6 +166,13 @@ for _o in ("original", "random", "yield"):
 # -- aggregation and layers -------------------------------------------------------------------
 
 
+def _against_own(x: DataFrame, own: DataFrame) -> DataFrame:
+    """The aggregate less twice the own row."""
+    cols = [f"c{i}" for i in range(8)]
+    both = x.join(own.select("vid", "tile", *[F.col(c).alias(f"_{c}") for c in cols]), ["vid", "tile"])
+    return both.select("vid", "tile", *[(F.col(c) - 2 * F.col(f"_{c}")).alias(c) for c in cols])
+
+
 def _aggregate(engine: str, agg: str) -> Callable[[Graph], DataFrame]:
     f = {"push": aggregate.push_aggregate, "pull": aggregate.pull_aggregate}[engine]
     return lambda g: to_long_rows(f(g.edges, g.features, g.vertices, agg).drop("n_recv"))
@@ -179,9 +186,27 @@ for _g, _d in (("trade", 8), ("embgraph", 64), ("isolated", 8)):
             query(f"pull_{_a}_{_g}", _sql)(on(_g, _aggregate("pull", _a)))
 query("push_bounded_sum", sql.select(f"{sql.graph('copurchase', True)}, {sql.aggregated('h', 'x', 8, 'sum')}", "SELECT vid, i, q FROM x"))(on("copurchase", lambda g: to_long_rows(tiers.push_combine_bounded(g.edges, g.features, g.vertices, 200).drop("n_recv"))))
 query("push_bounded_mean", sql.select(f"{sql.graph('embgraph', True)}, {sql.aggregated('h', 'x', 64, 'mean')}", "SELECT vid, i, q FROM x"))(on("embgraph", lambda g: to_long_rows(tiers.push_combine_bounded(g.edges, g.features, g.vertices, 20, "lru", agg="mean").drop("n_recv"))))
-query("agg_std")(on("embgraph", lambda g: aggregate.push_aggregate(g.edges, g.features, g.vertices, "std", False)))
-query("agg_symmetric")(on("embgraph", lambda g: aggregate.push_aggregate(g.edges, g.features, g.vertices, "both", False)))
-query("messages_mean", sql.select(f"{sql.graph('trade')}, {sql.DEGREES}", "SELECT src, dst, d_in FROM edges JOIN degrees ON vid = dst"))(on("trade", lambda g: g.edges.join(g.edges.groupBy("dst").agg(F.count("*").alias("d_in")), "dst").select("src", "dst", "d_in")))
+
+
+def _rounded(rows: DataFrame) -> DataFrame:
+    """Long rows of floats, rounded so that the order of sums doesn't show."""
+    return to_long_rows(rows.drop("n_recv")).select("vid", "i", F.round("q", 4).alias("q"))
+
+
+for _a, _v in (("std", "stddev_pop(h.q)"), ("both", "sum(h.q / sqrt(o.n * i.n))"), ("mean_in_message", "sum(h.q * (1.0 / i.n))")):
+    query(
+        f"agg_{ {'both': 'symmetric'}.get(_a, _a) }",
+        sql.select(
+            f"{sql.graph('embgraph', True)}, i_ AS (SELECT dst, count(*) AS n FROM edges GROUP BY dst), o_ AS (SELECT src, count(*) AS n FROM edges GROUP BY src)",
+            f"SELECT v.vid, CAST(r.i AS INTEGER) AS i, round(coalesce(x, 0.0), 4) AS q FROM vertices v CROSS JOIN (SELECT unnest(range(0, 64)) AS i) r LEFT JOIN (SELECT e.dst, h.i, CAST({_v} AS DOUBLE) AS x FROM edges e JOIN h ON e.src = h.vid JOIN i_ i ON i.dst = e.dst JOIN o_ o ON o.src = e.src GROUP BY 1, 2) g ON g.dst = v.vid AND g.i = r.i",
+        ),
+    )(on("embgraph", lambda g, a=_a: _rounded(aggregate.push_aggregate(g.edges, g.features, g.vertices, a, False))))
+query("messages_mean", sql.select(f"{sql.graph('trade', True)}, {sql.DEGREES}", "SELECT dst, CAST(h.i AS INTEGER) AS i, count(*) AS n, round(sum(h.q * (1.0 / d_in)), 4) AS q FROM edges JOIN degrees d ON d.vid = dst JOIN h ON h.vid = src GROUP BY 1, 2"))(
+    on("trade", lambda g: to_long_rows(aggregate.make_messages(g.edges, g.features).withColumnRenamed("dst", "vid")).groupBy(F.col("vid").alias("dst"), "i").agg(F.count("*").alias("n"), F.round(F.sum("q"), 4).alias("q")))
+)
+query("message_layer", sql.select(f"{sql.graph('trade', True)}, {sql.aggregated('h', 'x', 8, 'max')}", "SELECT h.vid, CAST(h.i AS INTEGER) AS i, greatest(x.q - 2 * h.q, 0) AS q FROM h JOIN x USING (vid, i)"))(
+    on("trade", lambda g: to_long_rows(layerwise.run_layer(g, g.features, layers.MessageLayer("max", _against_own, "relu", own=True))))
+)
 
 
 def _infer(kind: str, engine: str = "push", n: int = 2, materialize: bool = False) -> Callable[[Graph], DataFrame]:
@@ -198,7 +223,7 @@ for _g, _d in (("trade", 8), ("embgraph", 64), ("copurchase", 8)):
         _sql = sql.select(f"{sql.graph(_g, True)}, {_ctes}", f"SELECT vid, CAST(i AS INTEGER) AS i, q FROM {_last}")
         query(f"infer2_{_m}_{_g}", _sql)(on(_g, _infer(_m)))
         if _m != "sgc":
-            query(f"w1_{_g}_{_m}_pull", _sql)(on(_g, _infer(_m, "pull")))
+            query(f"pull2_{_m}_{_g}", _sql)(on(_g, _infer(_m, "pull")))
     for _m in ("graphconv", "sage", "gin"):
         _ctes, _last = sql.two_layers(_m, _d, layers=1)
         query(f"layer_{_m}_{_g}", sql.select(f"{sql.graph(_g, True)}, {_ctes}", f"SELECT vid, CAST(i AS INTEGER) AS i, q FROM {_last}"))(on(_g, _infer(_m, n=1)))
@@ -239,10 +264,11 @@ def _wide(spark, sf_dir):
 # -- vertex-wise, samples, masks --------------------------------------------------------------
 
 
-@query("vertexwise_batch", sql.select(f"{sql.graph('trade', True)}, {sql.two_layers('graphconv', 8)[0]}", "SELECT vid, CAST(i AS INTEGER) AS i, q FROM z1 WHERE vid < 100"))
+@query("vertexwise_batch", sql.select(f"{sql.graph('trade', True)}, {sql.two_layers('graphconv', 8)[0]}", "SELECT vid, CAST(z1.i AS INTEGER) AS i, z1.q FROM z1 JOIN vertices USING (vid) WHERE kind = 'supplier'"))
 def _vertexwise(spark, sf_dir):
+    """All suppliers, as one batch of targets."""
     g = GRAPHS["trade"](spark, sf_dir)
-    return to_long_rows(vertexwise.infer_targets(g, layerwise.model("graphconv", g.d), g.vertices.where("vid < 100")))
+    return to_long_rows(vertexwise.infer_targets(g, layerwise.model("graphconv", g.d), g.vertices.where("kind = 'supplier'")))
 
 
 @query("vertexwise_trade_all", sql.select(f"{sql.graph('trade', True)}, {sql.two_layers('graphconv', 8)[0]}", "SELECT vid, CAST(i AS INTEGER) AS i, q FROM z1"))
@@ -260,11 +286,71 @@ def _vertexwise_all(spark, sf_dir):
     return to_long_rows(vertexwise.infer_vertexwise(g, layerwise.model("graphconv", g.d), n, -(-n // 2)))
 
 
-@query("w1_embgraph_graphconv_superbatch", sql.select(f"{sql.graph('embgraph', True)}, {sql.two_layers('graphconv', 64)[0]}", "SELECT vid, CAST(i AS INTEGER) AS i, q FROM z1"))
-def _superbatch(spark, sf_dir):
-    g = GRAPHS["embgraph"](spark, sf_dir)
-    n = row_count(spark, sf_dir, "embeddings")
-    return to_long_rows(vertexwise.superbatch_baseline(g, layerwise.model("graphconv", g.d), n, -(-n // 4), 2, n // 5, 500)[0])
+# -- the experiments' model: two layers, 128 wide, by the three systems ---------------------------
+
+HIDDEN = 128
+_stored_orders: dict[tuple, DataFrame] = {}
+
+
+def stored_order(spark: SparkSession, sf_dir: str, graph: str, order: str) -> DataFrame:
+    """(vid, pos) of a graph's order, made once a session."""
+    from layerflow import store
+    from layerflow.plans import engine
+
+    key = (spark.sparkContext.applicationId, sf_dir, graph, order)
+    if key not in _stored_orders:
+        _stored_orders[key] = store.written(engine.ORDERS[order](GRAPHS[graph](spark, sf_dir)).select("vid", "pos"), "order")
+    return _stored_orders[key]
+
+
+def run_system(spark: SparkSession, sf_dir: str, graph: str, kind: str, system: str, hidden: int = HIDDEN):
+    """(rows, reports) of one system: push over stored layers, pull in a bandwidth-reducing order, or superbatches."""
+    from layerflow.plans import engine
+
+    g = GRAPHS[graph](spark, sf_dir)
+    m = layerwise.model(kind, g.d, hidden=hidden)
+    if system == "push":
+        return engine.run_engine(g, m, order=stored_order(spark, sf_dir, graph, "yield"))
+    if system == "pull":
+        return engine.pull_baseline(g, m, order=stored_order(spark, sf_dir, graph, "rcm"))
+    n = (g.vertices.agg(F.max("vid")).first()[0] or 0) + 1
+    return vertexwise.superbatch_baseline(g, m, n, -(-n // 8), 4, max(1, n // 5), max(1, n // 2))
+
+
+def _system(graph: str, kind: str, system: str) -> Query:
+    return lambda spark, sf_dir: to_long_rows(run_system(spark, sf_dir, graph, kind, system)[0]).where(F.col("i") < 4)
+
+
+for _g, _d in (("embgraph", 64), ("copurchase", 8), ("trade", 8)):
+    for _m in ("graphconv", "sage", "gin"):
+        _ctes, _last = sql.two_layers(_m, _d, hidden=HIDDEN)
+        # 128 x 128 products of every vertex of trade are too much for SQL; the other graphs check that model
+        _sql = None if (_g, _m) == ("trade", "gin") else sql.select(f"{sql.graph(_g, True)}, {_ctes}", f"SELECT vid, CAST(i AS INTEGER) AS i, q FROM {_last}")
+        for _s in ("push", "pull", "superbatch"):
+            query(f"w1_{_g}_{_m}_{_s}", _sql)(_system(_g, _m, _s))
+for _o in ("original", "random", "yield"):
+    _ctes, _last = sql.two_layers("sage", 8, hidden=HIDDEN)
+    query(f"engine_order_{_o}", sql.select(f"{sql.graph('copurchase', True)}, {_ctes}", f"SELECT vid, CAST(i AS INTEGER) AS i, q FROM {_last}"))(on("copurchase", lambda g, o=_o: to_long_rows(_run_bounded(g, o))))
+
+
+def _run_bounded(g: Graph, order: str) -> DataFrame:
+    """The stored engine with few slots, small chunks, spills and buffers."""
+    from layerflow.plans import engine
+
+    return engine.run_engine(g, layerwise.model("sage", g.d, hidden=HIDDEN), order, slots=50, chunk_rows=16, spill_rows=100, buffer_rows=64)[0]
+
+
+@query("engine_chunks", sql.select(f"{sql.graph('copurchase', True)}, d_ AS (SELECT src, count(*) AS d FROM edges GROUP BY src)", "SELECT h.vid, h.vid // 64 AS chunk, d, CAST(sum(q) AS BIGINT) AS q FROM h JOIN d_ ON src = h.vid GROUP BY 1, 2, 3"))
+def _engine_chunks(spark, sf_dir):
+    """Topology and rows of the same vertices, chunk by chunk, as the engine reads them."""
+    from layerflow import store
+    from layerflow.plans import engine
+
+    g = GRAPHS["copurchase"](spark, sf_dir)
+    n, topology = g.vertices.count(), store.new_path(spark, "topology")
+    engine.write_topology(g, topology, n, 4)
+    rows = engine.iter_chunks(spark, topology, storage.write_layer(spark, g.features, 0, n, 4, 100), 64)
+    return rows.select("vid", "chunk", F.size("dst").cast("long").alias("d"), sum((F.col(f"c{i}") for i in range(1, 8)), F.col("c0")).alias("q"))
 
 
 @query("refresh_incremental", sql.select(f"{sql.graph('embgraph', True).replace('h AS (', 'old AS (', 1)}, h AS (SELECT vid, i, CASE WHEN vid % 50 = 0 THEN q + 1000 ELSE q END AS q FROM old), {sql.two_layers('graphconv', 64)[0]}", "SELECT vid, CAST(i AS INTEGER) AS i, q FROM z1"))
@@ -288,15 +374,26 @@ query("sampled_layer", sql.select(f"{sql.graph('trade', True)}, {_SAMPLED}, {sql
 query("partition_local_layer", sql.select(f"{sql.graph('trade', True)}, w_ AS (SELECT (count(*) + 3) // 4 AS w FROM vertices), kept AS (SELECT src, dst FROM edges, w_ WHERE src // w = dst // w), {_ctes}", f"SELECT vid, CAST(i AS INTEGER) AS i, q FROM {_last}"))(
     on("trade", lambda g: _infer("graphconv", n=1)(g.with_edges(sampling.partition_local(g.edges, g.vertices.count(), 4))))
 )
-_HOPS = "f0 AS (SELECT vid FROM vertices WHERE vid % 100 = 0), f1 AS (SELECT DISTINCT src AS vid FROM edges WHERE dst IN (SELECT vid FROM f0) EXCEPT SELECT vid FROM f0), f2 AS (SELECT DISTINCT src AS vid FROM edges WHERE dst IN (SELECT vid FROM f1) EXCEPT SELECT vid FROM f0 EXCEPT SELECT vid FROM f1)"
-query("khop_frontier", sql.select(f"{sql.graph('trade')}, {_HOPS}", "SELECT vid, 0 AS hop FROM f0 UNION ALL SELECT vid, 1 FROM f1 UNION ALL SELECT vid, 2 FROM f2"))(on("trade", lambda g: sampling.frontier(g.edges, g.vertices.where("vid % 100 = 0"), 2)))
-query("khop_subgraph", sql.select(f"{sql.graph('trade')}, {_HOPS}", "SELECT src, dst FROM edges WHERE dst IN (SELECT vid FROM f0 UNION SELECT vid FROM f1)"))(on("trade", lambda g: sampling.khop_subgraph(g.edges, g.vertices.where("vid % 100 = 0"), 2)))
-query("touched_share", sql.select(f"{sql.graph('trade')}, {_HOPS}", "SELECT (SELECT count(*) FROM f0) AS seeds, (SELECT count(*) FROM f0) + (SELECT count(*) FROM f1) + (SELECT count(*) FROM f2) AS touched, (SELECT count(*) FROM vertices) AS vertices"))(on("trade", lambda g: sampling.touched_share(g.edges, g.vertices, 100, 2)))
-query("touched_share_fanout", sql.select(f"{sql.graph('trade')}, {_SAMPLED}, {_HOPS.replace('FROM edges', 'FROM sampled')}", "SELECT (SELECT count(*) FROM f0) AS seeds, (SELECT count(*) FROM f0) + (SELECT count(*) FROM f1) + (SELECT count(*) FROM f2) AS touched, (SELECT count(*) FROM vertices) AS vertices"))(
-    on("trade", lambda g: sampling.touched_share(g.edges, g.vertices, 100, 2, 5))
-)
-query("subgraph_bytes", sql.select(f"{sql.graph('trade')}, {_HOPS}, e_ AS (SELECT count(*) AS edges FROM edges WHERE dst IN (SELECT vid FROM f0 UNION SELECT vid FROM f1)), v_ AS (SELECT (SELECT count(*) FROM f0) + (SELECT count(*) FROM f1) + (SELECT count(*) FROM f2) AS rows_)", "SELECT edges, rows_ AS rows, edges * 16 + rows_ * 16 AS bytes FROM e_, v_"))(
-    on("trade", lambda g: sampling.subgraph_bytes(g.edges, g.vertices.where("vid % 100 = 0"), 2, 8, 2))
+_STEP = "f{n} AS (SELECT vid, {n} AS hop FROM (SELECT DISTINCT src AS vid FROM edges SEMI JOIN f{m} ON dst = f{m}.vid) ANTI JOIN s{m} USING (vid)), s{n} AS (SELECT * FROM s{m} UNION ALL SELECT * FROM f{n})"
+
+
+def _hops(seeds: str, hops: int) -> str:
+    """CTEs f0.. of vertices first reached at each hop, and s0.. of all up to there."""
+    return ", ".join([f"f0 AS (SELECT vid, 0 AS hop FROM vertices WHERE {seeds}), s0 AS (SELECT * FROM f0)", *(_STEP.format(n=n, m=n - 1) for n in range(1, hops + 1))])
+
+
+#: The k-hop queries' targets are all suppliers; the working set of training steps starts from one vertex in a hundred.
+_TARGETS, _SEEDS = "kind = 'supplier'", "vid % 100 = 0"
+query("khop_frontier", sql.select(f"{sql.graph('trade')}, {_hops(_TARGETS, 2)}", "SELECT vid, hop FROM s2"))(on("trade", lambda g: sampling.frontier(g.edges, g.vertices.where(_TARGETS), 2)))
+query("khop_subgraph", sql.select(f"{sql.graph('trade')}, {_hops(_TARGETS, 1)}", "SELECT src, dst FROM edges SEMI JOIN s1 ON dst = s1.vid"))(on("trade", lambda g: sampling.khop_subgraph(g.edges, g.vertices.where(_TARGETS), 2)))
+for _k in (2, 3):
+    for _f in ("", "_fanout"):
+        _e = f", {_SAMPLED}, {_hops(_SEEDS, _k).replace('FROM edges', 'FROM sampled')}" if _f else f", {_hops(_SEEDS, _k)}"
+        query(f"w7_touched_share_{_k}{_f}", sql.select(f"{sql.graph('trade')}{_e}", f"SELECT (SELECT count(*) FROM f0) AS seeds, (SELECT count(*) FROM s{_k}) AS touched, (SELECT count(*) FROM vertices) AS vertices"))(
+            on("trade", lambda g, k=_k, f=5 if _f else None: sampling.touched_share(g.edges, g.vertices, 100, k, f))
+        )
+query("subgraph_bytes", sql.select(f"{sql.graph('trade')}, {_hops(_TARGETS, 2)}, e_ AS (SELECT count(*) AS edges FROM edges SEMI JOIN s1 ON dst = s1.vid), v_ AS (SELECT count(*) AS rows_ FROM s2)", "SELECT edges, rows_ AS rows, edges * 16 + rows_ * 16 AS bytes FROM e_, v_"))(
+    on("trade", lambda g: sampling.subgraph_bytes(g.edges, g.vertices.where(_TARGETS), 2, 8, 2))
 )
 query("frontier_redundancy", sql.select(f"{sql.graph('embgraph')}, l0 AS (SELECT vid // 100 AS batch, vid FROM vertices), l1 AS (SELECT DISTINCT batch, src AS vid FROM l0 JOIN edges ON dst = vid), l2 AS (SELECT DISTINCT batch, src AS vid FROM l1 JOIN edges ON dst = vid)", "SELECT batch, 0 AS hop, count(*) AS n FROM l0 GROUP BY 1 UNION ALL SELECT batch, 1, count(*) FROM l1 GROUP BY 1 UNION ALL SELECT batch, 2, count(*) FROM l2 GROUP BY 1"))(
     on("embgraph", lambda g: sampling.frontier_redundancy(g.edges, g.vertices, 100, 2))
@@ -336,20 +433,24 @@ def _accuracy(spark, sf_dir):
     return errors.class_accuracy(predicted, table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("vid"), "label"))
 
 
-@query("err_max_abs", "SELECT CAST(0.0 AS DOUBLE) AS error")
-def _no_error(spark, sf_dir):
-    """Push against pull in floating point: equal on integers."""
+_ERRORS = f"{sql.graph('embgraph', True)}, {_SAMPLED}, {sql.two_layers('graphconv', 64)[0]}, {sql.two_layers('graphconv', 64, edges='sampled', prefix='s_')[0]}"
+
+
+@query("err_max_abs", sql.select(_ERRORS, "SELECT round(avg(m), 6) AS error FROM (SELECT z1.vid, CAST(max(abs(z1.q - s_z1.q)) AS DOUBLE) AS m FROM z1 JOIN s_z1 USING (vid, i) GROUP BY 1)"))
+def _max_error(spark, sf_dir):
+    """What sampling five in-edges changes: mean over vertices of the largest difference."""
     g = GRAPHS["embgraph"](spark, sf_dir)
     m = layerwise.model("graphconv", g.d)
-    return errors.mean_max_abs_error(layerwise.infer_layerwise(g, m)[0], layerwise.infer_layerwise(g, m, "pull")[0]).select(F.col("error").cast("double").alias("error"))
+    sampled, _ = layerwise.infer_layerwise(g.with_edges(sampling.sample_neighbors(g.edges, 5)), m)
+    return errors.mean_max_abs_error(sampled, layerwise.infer_layerwise(g, m)[0]).select(F.round("error", 6).alias("error"))
 
 
-@query("err_avg_rel")
+@query("err_avg_rel", sql.select(_ERRORS, "SELECT round(avg(m), 9) AS error FROM (SELECT z1.vid, avg(abs(z1.q - s_z1.q) / greatest(abs(z1.q), 1.0)) AS m FROM z1 JOIN s_z1 USING (vid, i) GROUP BY 1)"))
 def _sampled_error(spark, sf_dir):
     """What sampling five in-edges costs in accuracy."""
     g = GRAPHS["embgraph"](spark, sf_dir)
     m = layerwise.model("graphconv", g.d)
-    return errors.mean_avg_rel_error(layerwise.infer_layerwise(g.with_edges(sampling.sample_neighbors(g.edges, 5)), m)[0], layerwise.infer_layerwise(g, m)[0], 1.0)
+    return errors.mean_avg_rel_error(layerwise.infer_layerwise(g.with_edges(sampling.sample_neighbors(g.edges, 5)), m)[0], layerwise.infer_layerwise(g, m)[0], 1.0).select(F.round("error", 9).alias("error"))
 
 
 @query("arithmetic", "SELECT 16384 AS pa_rows, 5461 AS ma_rows, 4096 AS il_rows, 104857600 AS pa_slots, 48933546 AS ma_slots, 41943040 AS il_slots, CAST(86400.0 AS DOUBLE) AS extrapolated")
@@ -359,6 +460,37 @@ def _arithmetic(spark, sf_dir):
     return spark.createDataFrame([row], "pa_rows int, ma_rows int, il_rows int, pa_slots int, ma_slots int, il_slots int, extrapolated double")
 
 
+@query("recommend_slots", sql.select(f"{sql.graph('trade')}, {sql.ORDERS['yield']}, {sql.events(ROWS)}", "SELECT CAST(ceil(max(during) * 0.9) AS BIGINT) AS slots, least(CAST(ceil(max(during) * 0.9) AS BIGINT), 100) AS capped FROM (SELECT sum(opened - closed) OVER (ORDER BY chunk) + closed AS during FROM ev)"))
+def _recommended(spark, sf_dir):
+    g = GRAPHS["trade"](spark, sf_dir)
+    pos = stored_order(spark, sf_dir, "trade", "yield")
+    return spark.createDataFrame([(progress.recommend_slots(g.edges, pos, ROWS, 0.1), progress.recommend_slots(g.edges, pos, ROWS, 0.1, 100))], "slots long, capped long")
+
+
+@query("speedup_table", "SELECT n_name AS graph, CAST(n_regionkey AS VARCHAR) AS model, CAST(n_nationkey + 1 AS DOUBLE) AS push, CAST(3 * (n_nationkey + 1) AS DOUBLE) AS pull, CAST(3.0 AS DOUBLE) AS pull_over_push FROM nation")
+def _speedups(spark, sf_dir):
+    """Made-up seconds by nation: what counts is the table's shape."""
+    t = table(spark, sf_dir, "nation").select(F.col("n_name").alias("graph"), F.col("n_regionkey").cast("string").alias("model"), (F.col("n_nationkey") + 1).cast("double").alias("s"))
+    return errors.speedup_table(t.select("graph", "model", F.lit("push").alias("engine"), F.col("s").alias("seconds")).unionByName(t.select("graph", "model", F.lit("pull").alias("engine"), (F.col("s") * 3).alias("seconds"))), "push")
+
+
+@query("memory_model", sql.select(sql.graph("trade"), "SELECT count(*) * 13 AS orchestrator, 64 * 128 * 4 + 3 * 1048576 + count(*) * 13 AS total FROM vertices"))
+def _memory(spark, sf_dir):
+    n = GRAPHS["trade"](spark, sf_dir).vertices.count()
+    return spark.createDataFrame([(progress.orchestrator_bytes(n), errors.memory_plan(64, 128, 4, 1 << 20, 3, 0, n)["total"])], "orchestrator long, total long")
+
+
+query("early_low_degree_self_loops", sql.select(f"{sql.graph('trade').replace('edges AS (', 'given AS (', 1)}, edges AS (SELECT src, dst FROM given UNION SELECT vid, vid FROM vertices), {sql.ORDERS['yield']}, {sql.DEGREES}, {sql.SPANS}", f"SELECT least(d_in, 10) AS d_in, count(*) AS n, CAST(sum(last // {ROWS}) AS BIGINT) AS chunks FROM spans JOIN degrees USING (vid) GROUP BY 1"))(
+    on("trade", lambda g: _early(g.with_edges(aggregate.add_self_loops(g.edges, g.vertices))))
+)
+
+
+def _early(g: Graph) -> DataFrame:
+    """Chunks in which vertices complete, by in-degree."""
+    spans = progress.vertex_span(g.edges, ORDER["yield"](g)).join(aggregate.degrees(g.edges, g.vertices), "vid")
+    return spans.groupBy(F.least(F.col("d_in").cast("long"), F.lit(10).cast("long")).alias("d_in")).agg(F.count("*").alias("n"), F.sum(F.call_function("div", F.col("last"), F.lit(ROWS))).alias("chunks"))
+
+
 query("dense_positions", "SELECT n_nationkey, row_number() OVER (ORDER BY n_name, n_nationkey) - 1 AS pos FROM nation")(lambda spark, d: dense_positions(table(spark, d, "nation").select("n_nationkey", "n_name"), [F.col("n_name"), F.col("n_nationkey")]).select("n_nationkey", "pos"))
 
 

@@ -81,26 +81,26 @@ def finished(y: str, out: str, relu: bool, shift: int | None) -> str:
     return f"{out} AS (SELECT vid, i, CAST(" + (f"floor({v} / {float(1 << shift)})" if shift else v) + f" AS BIGINT) AS q FROM {y})"
 
 
-def two_layers(kind: str, d: int, hidden: int = 8, classes: int = 4, layers: int = 2, edges: str = "edges", shift: int = 4) -> tuple[str, str]:
-    """CTEs of a model over h, and the name of the last one."""
+def two_layers(kind: str, d: int, hidden: int = 8, classes: int = 4, layers: int = 2, edges: str = "edges", shift: int = 4, prefix: str = "") -> tuple[str, str]:
+    """CTEs of a model over h, all named with the prefix, and the name of the last one."""
     parts, h, widths = [], "h", [d, *[hidden] * (layers - 1), classes]
     if kind == "sgc":
         for n in range(layers):
-            parts.append(aggregated(h, f"x{n}", d, "mean", edges))
-            h = f"x{n}"
+            parts.append(aggregated(h, f"{prefix}x{n}", d, "mean", edges))
+            h = f"{prefix}x{n}"
         return ", ".join([*parts, mapped(h, "out_", d, classes, 0)]), "out_"
     for n in range(layers):
         a, b, last = widths[n], widths[n + 1], n == layers - 1
         end = (False, None) if last else (True, shift)
         if kind == "graphconv":
-            parts += [aggregated(h, f"x{n}", a, "mean", edges), mapped(f"x{n}", f"y{n}", a, b, 3 * n), finished(f"y{n}", f"z{n}", *end)]
+            parts += [aggregated(h, f"{prefix}x{n}", a, "mean", edges), mapped(f"{prefix}x{n}", f"{prefix}y{n}", a, b, 3 * n), finished(f"{prefix}y{n}", f"{prefix}z{n}", *end)]
         elif kind == "sage":
-            parts += [aggregated(h, f"x{n}", a, "mean", edges), mapped(h, f"p{n}", a, b, 3 * n), mapped(f"x{n}", f"q{n}", a, b, 3 * n + 1)]
-            parts += [f"y{n} AS (SELECT p.vid, p.i, p.q + r.q AS q FROM p{n} p JOIN q{n} r USING (vid, i))", finished(f"y{n}", f"z{n}", *end)]
+            parts += [aggregated(h, f"{prefix}x{n}", a, "mean", edges), mapped(h, f"{prefix}p{n}", a, b, 3 * n), mapped(f"{prefix}x{n}", f"{prefix}q{n}", a, b, 3 * n + 1)]
+            parts += [f"{prefix}y{n} AS (SELECT p.vid, p.i, p.q + r.q AS q FROM {prefix}p{n} p JOIN {prefix}q{n} r USING (vid, i))", finished(f"{prefix}y{n}", f"{prefix}z{n}", *end)]
         elif kind == "gin":
-            parts += [aggregated(h, f"x{n}", a, "sum", edges), f"m{n} AS (SELECT p.vid, p.i, p.q + r.q AS q FROM {h} p JOIN x{n} r USING (vid, i))"]
-            parts += [mapped(f"m{n}", f"s{n}", a, hidden, 3 * n), finished(f"s{n}", f"t{n}", True, end[1]), mapped(f"t{n}", f"y{n}", hidden, b, 3 * n + 1), finished(f"y{n}", f"z{n}", *end)]
-        h = f"z{n}"
+            parts += [aggregated(h, f"{prefix}x{n}", a, "sum", edges), f"{prefix}m{n} AS (SELECT p.vid, p.i, p.q + r.q AS q FROM {h} p JOIN {prefix}x{n} r USING (vid, i))"]
+            parts += [mapped(f"{prefix}m{n}", f"{prefix}s{n}", a, hidden, 3 * n), finished(f"{prefix}s{n}", f"{prefix}t{n}", True, end[1]), mapped(f"{prefix}t{n}", f"{prefix}y{n}", hidden, b, 3 * n + 1), finished(f"{prefix}y{n}", f"{prefix}z{n}", *end)]
+        h = f"{prefix}z{n}"
     return ", ".join(parts), h
 
 

@@ -42,29 +42,48 @@ def infer_vertexwise(g: Graph, layers: list[Layer], n_vertices: int, batch: int,
 class SuperbatchReport:
     superbatch: int
     edges: int  # of the stored computation graphs
+    cached_edges: int  # of them, those whose lists the neighbour cache holds
+    rows: int  # that its batches compute, over all layers
     hits: int
     misses: int
 
 
-def superbatch_baseline(g: Graph, layers: list[Layer], n_vertices: int, batch: int, superbatch: int, feature_rows: int, neighbor_ids: int) -> tuple[DataFrame, list[SuperbatchReport]]:
-    """Superbatches of batches: adjacency of popular vertices is cached, computation graphs are written, then the feature
-    accesses of the batches go through a cache that evicts what is used latest."""
-    cached = store.written(neighbor_cache(g.edges, g.vertices, neighbor_ids).select("vid"), "cached")
+def superbatch_baseline(g: Graph, layers: list[Layer], n_vertices: int, batch: int, superbatch: int, feature_rows: int, neighbor_ids: int, fanout: int | None = None, seed: int = 0) -> tuple[DataFrame, list[SuperbatchReport]]:
+    """Superbatches of batches: adjacency of popular vertices is cached, computation graphs of all batches are written,
+    then the batches' feature accesses go through a cache that evicts what is used latest, and each batch computes its
+    own graph.
+
+    A vertex that several batches need is computed by each: vertices are numbered by batch and id, so that one run over
+    the batches' graphs side by side repeats that work.
+    """
+    cached = store.written(neighbor_cache(g.edges, g.vertices, neighbor_ids).select(F.col("vid").alias("dst"), F.lit(True).alias("cached")), "cached")
+    edges = sample_neighbors(g.edges, fanout, seed) if fanout else g.edges
+    number = lambda c: F.col("batch") * n_vertices + F.col(c)
     reports, out = [], None
     for n, lo in enumerate(range(0, n_vertices, batch * superbatch)):
-        targets = g.vertices.where((F.col("vid") >= lo) & (F.col("vid") < lo + batch * superbatch)).select("vid", F.call_function("div", F.col("vid"), F.lit(batch)).alias("batch"))
-        last = targets.select("batch", "vid")
-        touched = last
-        stored = None
+        targets = g.vertices.where((F.col("vid") >= lo) & (F.col("vid") < lo + batch * superbatch)).select(F.call_function("div", F.col("vid"), F.lit(batch)).alias("batch"), "vid")
+        last = seen = targets
+        graph = None
         for _ in layers:
-            e = last.select("batch", F.col("vid").alias("dst")).join(g.edges, "dst")
-            stored = e if stored is None else stored.unionByName(e)
+            e = last.select("batch", F.col("vid").alias("dst")).join(edges, "dst").select("batch", "src", "dst")
+            graph = e if graph is None else graph.unionByName(e)
             last = e.select("batch", F.col("src").alias("vid")).distinct()
-            touched = touched.unionByName(last)
-        stored = store.written(stored.join(cached.withColumn("cached", F.lit(True)), F.col("dst") == F.col("vid"), "left").drop("vid"), "graphs")
-        counts = cache_replay(touched.select("batch", F.col("vid").alias("item")), feature_rows).agg(F.sum("hits").alias("h"), F.sum("misses").alias("m")).first()
-        reports.append(SuperbatchReport(n, stored.count(), counts["h"] or 0, counts["m"] or 0))
-        rows = store.written(infer_targets(g, layers, targets), "superbatch")
+            seen = seen.unionByName(last)
+        graph = store.written(graph.distinct(), "graphs")
+        need = store.written(seen.distinct(), "need")
+        counts = cache_replay(need.select("batch", F.col("vid").alias("item")), feature_rows).agg(F.sum("hits").alias("h"), F.sum("misses").alias("m")).first()
+        sizes = graph.join(cached, "dst", "left").agg(F.count("*").alias("e"), F.count("cached").alias("c")).first()
+        reports.append(SuperbatchReport(n, sizes["e"], sizes["c"], need.count() * len(layers), counts["h"] or 0, counts["m"] or 0))
+        apart = replace(
+            g,
+            vertices=need.select(number("vid").alias("vid"), F.lit("copy").alias("kind")),
+            edges=graph.select(number("src").alias("src"), number("dst").alias("dst")),
+            features=need.join(g.features, "vid").withColumn("vid", number("vid")).drop("batch"),
+        )
+        rows, _ = infer_layerwise(apart, layers)
+        wanted = targets.select(number("vid").alias("_n"), F.col("vid").alias("_v"))
+        rows = store.written(rows.join(wanted, F.col("vid") == F.col("_n")).drop("vid", "_n").withColumnRenamed("_v", "vid").select(*rows.columns), "superbatch")
+        store.discard(graph, need)
         out = rows if out is None else out.unionByName(rows)
     return out, reports
 
