@@ -314,7 +314,7 @@ def run_system(spark: SparkSession, sf_dir: str, graph: str, kind: str, system:
     if system == "pull":
         return engine.pull_baseline(g, m, order=stored_order(spark, sf_dir, graph, "rcm"))
     n = (g.vertices.agg(F.max("vid")).first()[0] or 0) + 1
-    return vertexwise.superbatch_baseline(g, m, n, -(-n // 8), 4, max(1, n // 5), max(1, n // 2))
+    return vertexwise.superbatch_baseline(g, m, n, -(-n // 8), 8, max(1, n // 5), max(1, n // 2))
 
 
 def _system(graph: str, kind: str, system: str) -> Query:

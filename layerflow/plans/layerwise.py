@@ -13,7 +13,7 @@ from layerflow import store
 from layerflow.functions.columns import value_columns
 from layerflow.functions.weights import make_weights
 from layerflow.operators.aggregate import attention_aggregate, pull_aggregate, push_aggregate
-from layerflow.operators.layers import TILE, GatConv, GinConv, GraphConv, Layer, SageConv, finish, linear, sgc
+from layerflow.operators.layers import TILE, GatConv, GinConv, GraphConv, Layer, Propagate, SageConv, finish, linear, sgc  # noqa: F401
 from layerflow.sources.graphs import Graph
 
 

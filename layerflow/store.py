@@ -57,6 +57,12 @@ def write_text(spark: SparkSession, path: str, text: str) -> None:
     files.rename(aside, where)
 
 
+def size(spark: SparkSession, path: str) -> int:
+    """Bytes in a folder."""
+    where, files = _files(spark, path)
+    return files.getContentSummary(where).getLength()
+
+
 def names(spark: SparkSession, path: str) -> list[str]:
     """Names in a folder; none if there is no such folder."""
     where, files = _files(spark, path)
