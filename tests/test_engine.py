@@ -141,6 +141,39 @@ def test_replay_in_shards(spark, sf_dir):
     assert cache.agg(F.sum(F.col("hits") + F.col("misses"))).first()[0] == tiers.page_trace(g.edges, 64, 16).count()
 
 
+def test_finisher_keeps_rows_over_buffers():
+    import pyarrow as pa
+
+    from layerflow.plans.engine import Finisher
+
+    layer = layers.SageConv([np.eye(2, dtype=np.int64), 2 * np.eye(2, dtype=np.int64)], act="identity")
+    rows = [(v, n, [n * v, n], [1, v]) for v, n in ((0, 0), (1, 2), (2, 3), (3, 1), (4, 5))]
+    batch = pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate((pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64())))], names=["vid", "n", "x", "own"])
+    want = [(v, 1 + 2 * (v if n else 0), v + 2 * (1 if n else 0)) for v, n, *_ in rows]
+    for size in (1, 2, 100):
+        out = [x for b in Finisher(layer, True, size)([batch.slice(0, 3), batch.slice(3)]) for x in zip(*(b.column(c).to_pylist() for c in ("vid", "c0", "c1")))]
+        assert out == want
+    with pytest.raises(ValueError):
+        Finisher(layer, True, 0)
+
+
+def test_engine_runs_report_what_they_took(spark, sf_dir):
+    from layerflow.plans import engine
+
+    g = GRAPHS["copurchase"](spark, sf_dir)
+    m = layerwise.model("graphconv", g.d, hidden=128)
+    out, report = engine.run_engine(g, m, "original", slots=20, chunk_rows=32, buffer_rows=50)
+    again, _ = engine.run_engine(g, m, "random", slots=1000)
+    assert errors.differing_rows(out, again) == 0  # whatever the order and the budget
+    assert report.status == "done" and len(report.seconds) == 2 and min(report.seconds) > 0 and {x["layer"] for x in report.stages} == {0, 1, 2}
+    _, pulled = engine.pull_baseline(g, m, "original")
+    assert pulled.messages[0] > 2 * report.messages[0]
+    with pytest.raises(ValueError):
+        engine.run_engine(g, m, slots=0)
+    _, planned = layerwise.infer_layerwise(g, m)
+    assert planned.status == "planned" and planned.seconds == []
+
+
 def test_bad_arguments(spark):
     g = small(spark, 6, SIX)
     with pytest.raises(ValueError):

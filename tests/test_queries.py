@@ -9,7 +9,7 @@ from layerflow.sources.tables import NAMES
 ORACLES = catalog.oracles()
 #: One or two of each family; the driver compares all.
 CHOSEN = [k for k in ORACLES if k.startswith(("graph_", "op_", "order_", "csr", "push_mean", "pull_mean", "layer_gin", "range_", "spill_", "read_chunk", "layer_spill"))]
-CHOSEN += ["infer2_graphconv_trade", "infer2_sage_embgraph", "w1_copurchase_gin_pull", "active_series_yield", "completion_curve_yield", "span_percentiles_yield", "message_trace", "khop_frontier", "push_bounded_sum", "wide_layer_256", "neighbor_cache", "sampled_layer"]
+CHOSEN += ["infer2_graphconv_trade", "infer2_sage_embgraph", "pull2_gin_copurchase", "w1_embgraph_sage_push", "w1_copurchase_graphconv_pull", "engine_order_random", "engine_chunks", "agg_symmetric", "agg_mean_in_message", "message_layer", "recommend_slots", "khop_subgraph", "active_series_yield", "completion_curve_yield", "span_percentiles_yield", "message_trace", "khop_frontier", "push_bounded_sum", "wide_layer_256", "neighbor_cache", "sampled_layer"]
 
 
 def plain(v):
