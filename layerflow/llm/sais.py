@@ -14,6 +14,7 @@ import numpy as np
 
 from layerflow.llm.flat import mix
 
+
 def classify(t: np.ndarray) -> np.ndarray:
     """True where a suffix is smaller than the next one; the empty suffix at the end is the smallest of all."""
     n = len(t)
@@ -88,6 +89,18 @@ def induce(t: np.ndarray, s: np.ndarray, lms: np.ndarray, b: _Buckets) -> np.nda
         return x, t[x]
 
     def put(x: np.ndarray, small: bool) -> None:
+        if len(x) == 1:  # runs of one symbol make waves of one suffix
+            i = int(x[0]) - 1
+            if i >= 0 and s[i] == small:
+                c = t[i]
+                if small:
+                    tails[c] -= 1
+                    sa[tails[c]] = i
+                else:
+                    sa[heads[c]] = i
+                    heads[c] += 1
+                missing[c] -= 1
+            return
         _place(sa, tails if small else heads, *left(x, small), back=small, missing=missing)
 
     missing = b.count - n_small
