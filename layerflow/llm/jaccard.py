@@ -23,6 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType, LongType, StructField, StructType
 
 from layerflow.llm import repeats, sigtree, store
 from layerflow.llm.flat import LOWER, NOT_SPACE, blocks, grams, mix, trim, words_of
@@ -88,7 +89,7 @@ def prefix(tokens: np.ndarray, common: np.ndarray, percent: int) -> np.ndarray:
 def _sets_table(keyed: DataFrame, words: int) -> DataFrame:
     """Of every row: its own columns but the text, text digest, set size, set key and bitmap."""
     names = [c for c in keyed.columns if c != "text"]
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in keyed.schema.fields if f.name != "text")
+    added = [StructField("n_shingles", LongType()), StructField("s1", LongType()), StructField("s2", LongType()), StructField("bits", BinaryType())]
     at = keyed.columns.index("text")
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -103,7 +104,7 @@ def _sets_table(keyed: DataFrame, words: int) -> DataFrame:
             own = [c for i, c in enumerate(batch.columns) if i != at]
             yield pa.RecordBatch.from_arrays([*own, pa.array(n, pa.int64()), pa.array(s1, pa.int64()), pa.array(s2, pa.int64()), pa.array(bits, pa.binary())], names=[*names, "n_shingles", "s1", "s2", "bits"])
 
-    return keyed.mapInArrow(work, f"{fields}, n_shingles long, s1 long, s2 long, bits binary")
+    return keyed.mapInArrow(work, StructType([*(f for f in keyed.schema.fields if f.name != "text"), *added]))
 
 
 def _prefix_tokens(texts: DataFrame, common, words: int, percent: int, with_key: bool) -> DataFrame:
@@ -279,8 +280,14 @@ def _search_groups(members: DataFrame, percent: int, nearest: int | None = None)
 
 
 def link_components(docs: DataFrame, key: str = "doc_id", words: int = WORDS, percent: int = PERCENT) -> DataFrame:
-    """Every row of ``docs`` without its text, with n_shingles, component_id and set_id (equal sets have equal ones)."""
-    docs = docs.drop("n_shingles", "component_id", "set_id", "k1", "k2", "s1", "s2", "bits")
+    """Every row of ``docs`` without its text, with n_shingles, component_id, component and set_id (equal sets have equal ones).
+
+    Columns of these four names are replaced; all others are kept, whatever they are called.
+    """
+    added = ("n_shingles", "component_id", "component", "set_id")
+    names = [c for c in docs.columns if c.lower() not in (*added, "text")]
+    docs = docs.select(F.col(key).alias("_key"), "text", F.struct(*names).alias("_row"))
+    key = "_key"
     store.text_batches(docs.sparkSession)
     keyed = docs.select("*", *repeats.digest())
     base = store.written(_sets_table(keyed, words), "base")
@@ -325,4 +332,4 @@ def link_components(docs: DataFrame, key: str = "doc_id", words: int = WORDS, pe
     least = owned.groupBy("root").agg(F.min("least").alias("component_id"))
     owned = owned.join(least, "root").select("s1", "s2", "component_id", F.col("root").alias("component"))
     out = base.join(owned, ["s1", "s2"], "left")
-    return out.select(*[c for c in docs.columns if c != "text"], "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col(key)).alias("component_id"), "component", _name("s1", "s2").alias("set_id"))
+    return out.select("_row.*", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("component_id")).otherwise(F.col(key)).alias("component_id"), "component", _name("s1", "s2").alias("set_id"))

@@ -341,6 +341,17 @@ def test_shingle_links(docs, empty, common, block, monkeypatch):
     assert common == 1 or jaccard.link_components(empty.select("doc_id", "text")).collect() == []
 
 
+def test_shingle_links_keep_columns(spark):
+    """Columns named like the operator's own, or oddly, come back; n_shingles and the like are replaced."""
+    rows = [(i, "one two three four five six" if i < 3 else None, i * 10, f"k{i}", [i], i, "old") for i in range(5)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, k1 long, `my key` string, bits array<long>, _key long, Component_ID string")
+    out = jaccard.link_components(docs)
+    assert out.columns == ["doc_id", "k1", "my key", "bits", "_key", "n_shingles", "component_id", "component", "set_id"]
+    got = {r.doc_id: r for r in out.collect()}
+    assert [(r["k1"], r["my key"], r["bits"], r["_key"]) for _, r in sorted(got.items())] == [(i * 10, f"k{i}", [i], i) for i in range(5)]
+    assert [got[i].component_id for i in range(5)] == [0, 0, 0, 3, 4]
+
+
 def test_signature_tree_leaves_no_pair_out():
     rng = np.random.default_rng(1)
     sets = []
