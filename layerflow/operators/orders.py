@@ -47,23 +47,36 @@ def order_degree(edges: DataFrame, vertices: DataFrame, by: str = "in") -> DataF
     return dense_positions(degrees(edges, vertices), [key, F.col("vid")]).select("vid", "pos")
 
 
+def components(both: DataFrame, max_rounds: int = 100) -> DataFrame:
+    """(vid, comp) of vertices with edges, comp being the smallest id of the component; ``both`` has each edge both ways.
+
+    Each round hooks every vertex to its smallest neighbour, then contracts the edges to the hooks; what is left of a
+    path shrinks by a factor a round, so rounds grow with the logarithm of the diameter.
+    """
+    edges, labels = both.select("src", "dst").where("src != dst"), None
+    for _ in range(max_rounds):
+        hook = store.written(edges.groupBy("src").agg(F.least(F.col("src"), F.min("dst")).alias("to")), "hooks")
+        step = hook.select(F.col("src").alias("comp"), "to")
+        labels = hook.select(F.col("src").alias("vid"), F.col("to").alias("comp")) if labels is None else store.written(labels.join(step, "comp", "left").select("vid", F.coalesce("to", "comp").alias("comp")), "labels")
+        near, far = hook.select("src", F.col("to").alias("_s")), hook.select(F.col("src").alias("dst"), F.col("to").alias("_d"))
+        edges = edges.join(near, "src").join(far, "dst").select(F.col("_s").alias("src"), F.col("_d").alias("dst")).where("src != dst").distinct()
+        edges = store.written(edges, "contracted")
+        if not edges.limit(1).count():
+            break
+    return labels
+
+
 def order_rcm(edges: DataFrame, vertices: DataFrame, max_levels: int = 10_000) -> DataFrame:
     """Reverse breadth-first order from a vertex of lowest degree in each component, neighbours by parent and degree.
 
-    All components advance together, a level a step: first labels spread to find the components, then levels.  Steps are
-    written, so that plans stay short; their number is the graph's diameter, which suits the baseline's graphs.
+    All components, found by contraction first, advance together, a level a step.  Steps are written, so that plans stay
+    short; their number is the largest eccentricity of a root, which suits the baseline's graphs.
     """
     both = store.written(edges.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).where("src != dst").distinct(), "both")
     d = both.groupBy("src").agg(F.count("*").alias("deg"))
     info = vertices.select("vid").distinct().join(d.withColumnRenamed("src", "vid"), "vid", "left").select("vid", F.coalesce("deg", F.lit(0).cast("long")).alias("deg"))
-    comp = store.written(info.select("vid", "deg", F.col("vid").alias("comp")), "comp")
-    for _ in range(max_levels):
-        near = both.join(comp.select(F.col("vid").alias("dst"), "comp"), "dst").groupBy("src").agg(F.min("comp").alias("near"))
-        new = comp.join(near.withColumnRenamed("src", "vid"), "vid", "left").select("vid", "deg", F.least("comp", "near").alias("comp"), (F.col("near") < F.col("comp")).alias("moved"))
-        new = store.written(new, "comp")
-        comp = new.drop("moved")
-        if not new.where("moved").limit(1).count():
-            break
+    comp = info.join(components(both, max_levels), "vid", "left").select("vid", "deg", F.coalesce("comp", "vid").alias("comp"))
+    comp = store.written(comp, "comp")
     roots = comp.groupBy("comp").agg(F.min(F.struct("deg", "vid")).alias("r")).select("comp", F.col("r.vid").alias("vid"), F.col("r.deg").alias("deg"))
     level = store.written(roots.select("vid", "comp", "deg", F.lit(0).alias("level"), F.lit(0).cast("long").alias("rank")), "level")
     done = level

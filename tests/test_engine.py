@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from layerflow.functions.columns import value_columns
 from layerflow.operators import aggregate, errors, layers, orders, progress, sampling, storage, tiers
 from layerflow.operators.policies import POLICIES, BucketQueue
+from layerflow.operators.positions import running_sum
 from layerflow.plans import layerwise, vertexwise
 from layerflow.sources.graphs import GRAPHS, Graph, clean_edges
 
@@ -255,6 +256,53 @@ def test_rcm_and_yield_are_bijections(spark, sf_dir):
     assert sorted(greedy) == list(range(8))
 
 
+def plain_rcm(pairs, n):
+    """Reversed breadth-first order of each component from its vertex of lowest degree, one vertex at a time."""
+    near = {v: set() for v in range(n)}
+    for a, b in pairs:
+        if a != b:
+            near[a].add(b)
+            near[b].add(a)
+    key, found, seen = (lambda v: (len(near[v]), v)), [], set()
+    for v in range(n):
+        if v in seen:
+            continue
+        part, todo = {v}, [v]
+        while todo:
+            todo += (new := near[todo.pop()] - part)
+            part |= new
+        order = [min(part, key=key)]
+        for u in order:
+            order += sorted(near[u] - set(order), key=key)
+        seen |= part
+        found.append(order[::-1])
+    return [v for order in reversed(found) for v in order]
+
+
+@pytest.mark.parametrize("shape", ["geo", "path", "cycles", "none"])
+def test_rcm_against_plain(spark, sf_dir, shape):
+    n = 60
+    pairs = {"path": [((i * 7) % n, ((i + 1) * 7) % n) for i in range(40)], "cycles": [(i, i // 5 * 5 + (i + 1) % 5) for i in range(n)], "none": []}
+    if shape == "geo":
+        g = GRAPHS["geo"](spark, sf_dir)
+        edges, vertices, n = g.edges, g.vertices, g.vertices.count()
+        pairs[shape] = [(r.src, r.dst) for r in edges.collect()]
+    else:
+        edges, vertices = spark.createDataFrame(pairs[shape], "src long, dst long"), spark.range(n).withColumnRenamed("id", "vid")
+    got = [r.vid for r in orders.order_rcm(edges, vertices).orderBy("pos").collect()]
+    assert got == plain_rcm(pairs[shape], n)
+
+
+def test_running_sum_levels(spark):
+    rows = spark.range(1000).selectExpr("id AS pos", "(id * 31) % 17 - 5 AS x")
+    total, want = 0, []
+    for i in range(1000):
+        total += (i * 31) % 17 - 5
+        want.append(total)
+    for levels in (2, 3, 5):
+        assert [r.s for r in running_sum(rows, "pos", "x", "s", 4, levels).orderBy("pos").collect()] == want
+
+
 def test_yield_shortens_spans(spark):
     g = GRAPHS["trade"](spark, "/root/testdata/sf0.01")
     mean = lambda o: (lambda r: r.total / r.n)(progress.span_summary(g.edges, o).first())
