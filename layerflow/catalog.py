@@ -83,7 +83,7 @@ def _manifest(spark, sf_dir):
 def _overlap(spark, sf_dir):
     path, n = _spilled(GRAPHS["copurchase"](spark, sf_dir), spark, sf_dir)
     chunks = spark.range(0, n, 100).select(F.call_function("div", F.col("id"), F.lit(100)).alias("chunk"), F.col("id").alias("lo"), F.least(F.col("id") + 100, F.lit(n)).alias("hi"))
-    return storage.spill_overlap(storage.spill_manifest(spark, path), chunks).select("chunk", "range_id").distinct()
+    return storage.spill_overlap(storage.spill_manifest(spark, path), chunks, n, 4).select("chunk", "range_id").distinct()
 
 
 @query("read_chunk", sql.select(sql.graph("copurchase", True), "SELECT vid, CAST(i AS INTEGER) AS i, q FROM h WHERE vid >= 100 AND vid < 180"))

@@ -28,16 +28,21 @@ def dense_positions(df: DataFrame, order: list[Column], name: str = "pos") -> Da
     return joined.withColumn(name, F.col("_s") + F.col("_at").bitwiseAND(F.lit((1 << 33) - 1))).drop("_p", "_s", "_at")
 
 
-def running_sum(df: DataFrame, order: str, value: str, name: str, width: int = 4096) -> DataFrame:
-    """Adds the running sum of an integer column over a dense integer position, in two levels.
+def running_sum(df: DataFrame, order: str, value: str, name: str, width: int = 4096, levels: int = 3) -> DataFrame:
+    """Adds the running sum of an integer column over a dense integer position.
 
-    Blocks of ``width`` positions are summed apart; only one number a block meets in one window.
+    Blocks of ``width`` positions are summed apart, blocks' sums in the same way a level up; only one number a block of
+    the last level, one for width to the power of ``levels`` - 1 positions, meets in one window.
     """
     from pyspark.sql import Window
 
     block = F.call_function("div", F.col(order), F.lit(width))
     rows = df.withColumn("_b", block)
     sums = rows.groupBy("_b").agg(F.sum(value).alias("_t"))
-    before = sums.select("_b", (F.sum("_t").over(Window.orderBy("_b")) - F.col("_t")).alias("_before"))
+    if levels > 2:
+        up = running_sum(sums.select(F.col("_b").alias("_up"), "_t"), "_up", "_t", "_sum", width, levels - 1)
+        before = up.select(F.col("_up").alias("_b"), (F.col("_sum") - F.col("_t")).alias("_before"))
+    else:
+        before = sums.select("_b", (F.sum("_t").over(Window.orderBy("_b")) - F.col("_t")).alias("_before"))
     inner = F.sum(value).over(Window.partitionBy("_b").orderBy(order).rowsBetween(Window.unboundedPreceding, 0))
     return rows.withColumn("_in", inner).join(before, "_b").withColumn(name, (F.col("_in") + F.col("_before")).cast("long")).drop("_b", "_in", "_before")

@@ -72,9 +72,13 @@ def overlapping_spills(manifest: DataFrame, lo: int, hi: int) -> DataFrame:
     return manifest.where((F.col("min_vid") < hi) & (F.col("max_vid") >= lo))
 
 
-def spill_overlap(manifest: DataFrame, chunks: DataFrame) -> DataFrame:
-    """(chunk, path) of every chunk (chunk, lo, hi) and overlapping spill.  The manifest is one row a file."""
-    return chunks.join(manifest, (F.col("min_vid") < F.col("hi")) & (F.col("max_vid") >= F.col("lo"))).select("chunk", "range_id", "min_vid", "max_vid")
+def spill_overlap(manifest: DataFrame, chunks: DataFrame, n: int, n_ranges: int) -> DataFrame:
+    """(chunk, range_id, min_vid, max_vid) of every chunk (chunk, lo, hi) and overlapping spill.
+
+    A spill is of one range of ids, so chunks meet spills in a join by range.
+    """
+    by_range = chunks.withColumn("range_id", F.explode(F.sequence(range_of("lo", n, n_ranges), F.call_function("div", F.col("hi") - 1, F.lit(-(-n // n_ranges))).cast("int"))))
+    return by_range.join(manifest, "range_id").where((F.col("min_vid") < F.col("hi")) & (F.col("max_vid") >= F.col("lo"))).select("chunk", "range_id", "min_vid", "max_vid")
 
 
 def read_chunk(spark: SparkSession, path: str, lo: int, hi: int, n: int, n_ranges: int) -> DataFrame:

@@ -6,12 +6,15 @@ Features are integers, so that sums don't depend on the order of rows.
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, replace
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from layerflow import store
 from layerflow.operators.positions import dense_positions
 from layerflow.sources.tables import row_count, table
 
@@ -92,16 +95,47 @@ def embgraph(spark: SparkSession, sf_dir: str) -> Graph:
     return Graph("embgraph", e.select(F.col("vec_id").alias("vid"), F.lit("vector").alias("kind")), clean_edges(edges), e.select(F.col("vec_id").alias("vid"), F.lit(0).alias("tile"), *q), TILE)
 
 
+def _nearest(batches: Iterator[pd.DataFrame], ids: np.ndarray, vectors: np.ndarray, k: int) -> Iterator[pd.DataFrame]:
+    """Of each query (ids, vectors) and each batch of rows (dst, b) the k largest inner products: src, dst, s."""
+    for batch in batches:
+        if batch.empty:
+            continue
+        dst, rows = batch["dst"].to_numpy(), np.stack(batch["b"].to_numpy())
+        # doubles hold these sums exactly up to 2^53, and multiply much faster
+        exact = float(np.abs(rows).max()) * float(np.abs(vectors).max()) * vectors.shape[1] < 2**53
+        kind = np.float64 if exact else np.int64
+        rows = rows.astype(kind)
+        for at in range(0, len(ids), 1024):
+            products = (vectors[at : at + 1024].astype(kind) @ rows.T).astype(np.int64)
+            for src, s in zip(ids[at : at + 1024], products):
+                s[dst == src] = np.iinfo(np.int64).min
+                least = np.partition(s, len(s) - k)[len(s) - k] if len(s) > k else s.min()
+                near = np.flatnonzero((s >= least) & (dst != src))
+                near = near[np.lexsort((dst[near], -s[near]))[:k]]
+                yield pd.DataFrame({"src": src, "dst": dst[near], "s": s[near]})
+
+
+#: Queries of one pass over all rows: 64 numbers of 8 bytes each, so 8 MB broadcast.
+QUERY_BLOCK = 1 << 14
+
+
 def knn(spark: SparkSession, sf_dir: str, k: int = NEIGHBOURS) -> Graph:
-    """Each vector's k nearest by fixed-point inner product, by brute force: for small tables only."""
+    """Each vector's k nearest by fixed-point inner product, by brute force.
+
+    Blocks of vectors, of fixed size, are broadcast over all rows in turn; each batch of rows gives its k nearest.  The
+    work is quadratic, as for any exact answer; the dealt nearest-neighbour operator is the way for large tables.
+    """
     g = embgraph(spark, sf_dir)
-    cols = [f"c{i}" for i in range(TILE)]
-    a = g.features.select(F.col("vid").alias("src"), F.array(*cols).alias("a"))
-    b = g.features.select(F.col("vid").alias("dst"), F.array(*cols).alias("b"))
-    dot = F.aggregate(F.zip_with("a", "b", lambda x, y: x * y), F.lit(0).cast("long"), lambda s, x: s + x)
-    scored = a.join(b, F.col("src") != F.col("dst")).select("src", "dst", dot.alias("s"))
+    rows = store.written(g.features.select(F.col("vid").alias("dst"), F.array(*[f"c{i}" for i in range(TILE)]).alias("b")), "vectors")
+    bounds = rows.agg(F.min("dst"), F.max("dst")).first()
+    found = spark.createDataFrame([], "src long, dst long, s long")
+    for lo in range(bounds[0], bounds[1] + 1, QUERY_BLOCK) if bounds[0] is not None else ():
+        block = rows.where((F.col("dst") >= lo) & (F.col("dst") < lo + QUERY_BLOCK)).toPandas()
+        if len(block):
+            held = spark.sparkContext.broadcast((block["dst"].to_numpy(), np.stack(block["b"].to_numpy())))
+            found = found.unionByName(rows.mapInPandas(lambda batches, held=held: _nearest(batches, *held.value, k), "src long, dst long, s long"))
     rank = F.row_number().over(Window.partitionBy("src").orderBy(F.desc("s"), "dst"))
-    return Graph("knn", g.vertices, scored.withColumn("r", rank).where(F.col("r") <= k).select("src", "dst"), g.features, TILE)
+    return Graph("knn", g.vertices, found.withColumn("r", rank).where(F.col("r") <= k).select("src", "dst"), g.features, TILE)
 
 
 def copurchase(spark: SparkSession, sf_dir: str) -> Graph:
