@@ -7,6 +7,8 @@ exact form counts in units of 2**-40, so that engines agree.  Vertices without o
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -79,16 +81,19 @@ def order_rcm(edges: DataFrame, vertices: DataFrame, max_levels: int = 10_000) -
     comp = store.written(comp, "comp")
     roots = comp.groupBy("comp").agg(F.min(F.struct("deg", "vid")).alias("r")).select("comp", F.col("r.vid").alias("vid"), F.col("r.deg").alias("deg"))
     level = store.written(roots.select("vid", "comp", "deg", F.lit(0).alias("level"), F.lit(0).cast("long").alias("rank")), "level")
-    done = level
+    done, before = [level], level
     for n in range(1, max_levels):
         near = both.join(level.select(F.col("vid").alias("src"), "rank"), "src").groupBy("dst").agg(F.min("rank").alias("parent")).withColumnRenamed("dst", "vid")
-        fresh = near.join(done.select("vid"), "vid", "left_anti").join(comp, "vid")
-        level = dense_positions(fresh, [F.col("parent"), F.col("deg"), F.col("vid")], "rank").select("vid", "comp", "deg", F.lit(n).alias("level"), "rank")
+        # a neighbour of a level is in it, in the one before or in the next
+        fresh = near.join(before.select("vid").unionByName(level.select("vid")), "vid", "left_anti").join(comp, "vid")
+        before, level = level, dense_positions(fresh, [F.col("parent"), F.col("deg"), F.col("vid")], "rank").select("vid", "comp", "deg", F.lit(n).alias("level"), "rank")
         level = store.written(level, "level")
         if not level.limit(1).count():
             break
-        done = store.written(done.unionByName(level), "done")
-    return dense_positions(done, [F.desc("comp"), F.desc("level"), F.desc("rank"), F.col("vid")]).select("vid", "pos")
+        done.append(level)
+        if len(done) > 32:  # keeps the plan of the union short
+            done = [store.written(reduce(DataFrame.unionByName, done), "done")]
+    return dense_positions(reduce(DataFrame.unionByName, done), [F.desc("comp"), F.desc("level"), F.desc("rank"), F.col("vid")]).select("vid", "pos")
 
 
 def order_greedy_small(edges: list[tuple[int, int]], n: int) -> list[int]:

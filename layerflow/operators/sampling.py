@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from layerflow import store
+
 
 def sample_neighbors(edges: DataFrame, fanout: int, seed: int = 0) -> DataFrame:
     """At most ``fanout`` in-edges of each vertex, by a hash of seed and edge."""
@@ -30,12 +32,15 @@ def partition_local(edges: DataFrame, n_vertices: int, parts: int) -> DataFrame:
 
 
 def frontier(edges: DataFrame, targets: DataFrame, hops: int) -> DataFrame:
-    """(vid, hop): vertices first reached after 0.. hops against the edges."""
-    seen = targets.select("vid").distinct().withColumn("hop", F.lit(0))
+    """(vid, hop): vertices first reached after 0.. hops against the edges.
+
+    A hop's vertices are written: the next hop and all later exclusions read them, none computes them again.
+    """
+    seen = store.written(targets.select("vid").distinct().withColumn("hop", F.lit(0)), "hop")
     last = seen
     for hop in range(1, hops + 1):
         near = edges.join(last.select(F.col("vid").alias("dst")), "dst", "left_semi").select(F.col("src").alias("vid")).distinct()
-        last = near.join(seen, "vid", "left_anti").withColumn("hop", F.lit(hop))
+        last = store.written(near.join(seen, "vid", "left_anti").withColumn("hop", F.lit(hop)), "hop")
         seen = seen.unionByName(last)
     return seen
 
