@@ -15,7 +15,10 @@ MASK = "[secret]"
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents without a letter and those that no language's model codes better than noise."""
+    """Drops documents without a letter (null and empty texts too) and those that no language's model codes better than noise.
+
+    Repeated rows get one verdict, null ids and languages are no reason to go; an empty table gives an empty one.
+    """
     found = ppm.identify(docs)
     return found.where((F.col("lang_pred") != ppm.UNDETERMINED) & (F.coalesce(F.col("bits_per_byte"), F.lit(0.0)) <= MAX_BITS_PER_BYTE)).select(COLUMNS)
 
@@ -35,19 +38,22 @@ def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents that hold a window of a benchmark item."""
+    """Drops documents that hold a window of a benchmark item.
+
+    Null and empty texts hold none and stay, as do all documents if the benchmark is empty; repeated rows share their fate.
+    """
     items = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
     return decontaminate.decontaminate(docs, items).where(~F.col("contaminated")).select(COLUMNS)
 
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Replaces every found secret by a mark; keeps all documents."""
+    """Replaces every found secret by a mark; keeps all documents, repeated rows and null texts included."""
     found = secrets.scan_secrets(docs, redact=MASK)
     return found.select("doc_id", F.col("redacted").alias("text"), "lang", "source", F.length("redacted").cast("long").alias("n_chars"))
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of each document, with digests of ids and of the decoded text."""
+    """Token ids of each document, with digests of ids and of the decoded text; one row a row, a null text is an empty one."""
     return pieces.encode_decode(docs, tokenizer_path(), with_ids=True).drop("decoded")
 
 
