@@ -45,3 +45,17 @@ def test_empty(spark, tmp_path, sf_dir):
     spark.createDataFrame([], SCHEMA).write.parquet(f"{tmp_path}/documents.parquet")
     spark.read.parquet(f"{sf_dir}/benchmark.parquet").write.parquet(f"{tmp_path}/benchmark.parquet")
     assert pipeline.run(spark, str(tmp_path)).count() == 0
+
+
+def test_stages_on_nulls_and_repeats(spark, tmp_path, sf_dir):
+    """Null and empty texts, null ids and repeated rows, with an empty benchmark."""
+    spark.read.parquet(f"{sf_dir}/benchmark.parquet").limit(0).write.parquet(f"{tmp_path}/benchmark.parquet")
+    rows = [(1, None, "en", "s", None), (2, "", None, "s", 0), (3, "token = abcdef0123456789", "en", None, 24), (3, "token = abcdef0123456789", "en", None, 24), (None, "plain words here", "en", "s", 16)]
+    docs = spark.createDataFrame(rows, SCHEMA)
+    at = lambda d, *c: sorted((tuple(r) for r in d.select("doc_id", *c).collect()), key=repr)
+    assert at(pipeline.drop_leaks(spark, docs, str(tmp_path))) == sorted([(r[0],) for r in rows], key=repr)
+    masked = at(pipeline.mask_secrets(spark, docs, str(tmp_path)), "text")
+    assert masked == sorted([(1, None), (2, ""), (3, "[secret]"), (3, "[secret]"), (None, "plain words here")], key=repr)
+    tokens = at(pipeline.encode(spark, docs, str(tmp_path)), "n_tokens")
+    assert len(tokens) == 5 and (1, 1) in tokens and (2, 1) in tokens
+    assert len({n for i, n in tokens if i == 3}) == 1
