@@ -303,6 +303,24 @@ def test_running_sum_levels(spark):
         assert [r.s for r in running_sum(rows, "pos", "x", "s", 4, levels).orderBy("pos").collect()] == want
 
 
+def test_completion_beyond_a_long(spark, monkeypatch):
+    """Destinations that together count more than 2**63, without making that many."""
+    from decimal import Decimal
+
+    g = small(spark, 8, EIGHT)
+    pos = orders.order_original(g.vertices)
+    curve = lambda: [r.done for r in progress.completion_curve(g.edges, pos).orderBy("pos").collect()]
+    plain = curve()
+    assert dict(progress.completion_curve(g.edges, pos).dtypes)["done"] == "bigint"
+    monkeypatch.setattr(progress, "UNIT", orders.UNIT << 22)
+    wide, d_in = curve(), {v: sum(b == v for _, b in EIGHT) for _, v in EIGHT}
+    want = [sum((orders.UNIT << 22) // d_in[b] for a, b in EIGHT if a <= p) for p in range(8)]
+    assert wide == [Decimal(x) for x in want] and want[-1] > 2**63 and plain[-1] < 2**43
+    # seven destinations of 2**60 still fit, though eight vertices wouldn't
+    monkeypatch.setattr(progress, "UNIT", 1 << 60)
+    assert dict(progress.completion_curve(g.edges, pos).dtypes)["done"] == "bigint"
+
+
 def test_yield_shortens_spans(spark):
     g = GRAPHS["trade"](spark, "/root/testdata/sf0.01")
     mean = lambda o: (lambda r: r.total / r.n)(progress.span_summary(g.edges, o).first())
