@@ -105,8 +105,11 @@ def resource_traces(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _trace(g, order: str, rows: int = CHUNK) -> tuple[DataFrame, DataFrame, int]:
+    g = g.with_edges(store.written(g.edges, "edges"))
     pos = store.written(ORDER[order](g).select("vid", "pos"), "pos")
-    return pos, store.written(progress.message_trace(g.edges, pos, rows), "trace"), progress.active_peak(g.edges, pos, rows).first()["peak"]
+    trace = store.written(progress.message_trace(g.edges, pos, rows), "trace")
+    store.discard(g.edges)
+    return pos, trace, progress.trace_peak(trace)
 
 
 _COUNTS = "evictions long, reloads long, reload_share double, most_parked long"

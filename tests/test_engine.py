@@ -130,6 +130,38 @@ def test_arrays_equal_the_plain_store(policy):
             assert set(np.flatnonzero(fast.resident).tolist()) == plain.resident and fast.n_parked == len(plain.parked) and fast.n_resident <= slots
 
 
+@pytest.mark.parametrize("policy", list(POLICIES))
+def test_a_chunk_costs_no_look_at_all_residents(policy, monkeypatch):
+    """Fronts are as small as they may be for equality, and used up seldom where they are of the usual size."""
+    rng = np.random.default_rng(5)
+    src, dst = np.unique(rng.integers(0, 4000, (40_000, 2)), axis=0).T
+    d_in = np.bincount(dst, minlength=4000)
+    looks = []
+    refill = tiers.TierStore._refill
+    monkeypatch.setattr(tiers.TierStore, "_refill", lambda self, n: (looks.append(n), refill(self, n)))
+    found = []
+    for front in ((1, 3), (1 << 12, 1 << 17)):
+        monkeypatch.setattr(tiers.TierStore, "FRONT", front)
+        fast, plain, got = tiers.TierStore(1500, policy), PlainStore(1500, policy), []
+        looks.clear()
+        for c in range(0, 4000, 16):
+            v, n = np.unique(dst[(src >= c) & (src < c + 16)], return_counts=True)
+            nxt = np.array([min([s // 16 for s in src[(dst == x) & (src >= c + 16)]], default=2**40) for x in v] if policy == "farthest" else v * 0, np.int64)
+            got.append(fast.chunk(v, n, d_in[v], nxt))
+            if policy != "random":
+                assert got[-1] == plain.chunk(list(zip(v.tolist(), n.tolist(), d_in[v].tolist(), nxt.tolist())))
+        found.append(got)
+    assert found[0] == found[1] and sum(x[1] for x in found[0]) > 4000 and len(looks) < 30
+
+
+def test_peak_of_a_trace(spark, sf_dir):
+    g = GRAPHS["copurchase"](spark, sf_dir)
+    for order in (orders.order_original(g.vertices), orders.order_yield(g.edges, g.vertices)):
+        pos = order.select("vid", "pos").cache()
+        assert progress.trace_peak(progress.message_trace(g.edges, pos, 7)) == progress.active_peak(g.edges, pos, 7).first()["peak"]
+    assert progress.trace_peak(progress.message_trace(g.edges.limit(0), pos, 7)) == 0
+
+
 def test_replay_in_shards(spark, sf_dir):
     g = GRAPHS["trade"](spark, sf_dir)
     trace = progress.message_trace(g.edges, orders.order_yield(g.edges, g.vertices).select("vid", "pos"), 64).cache()
