@@ -42,3 +42,14 @@ def test_ranges_meet_every_event(spark, tmp_path):
 
 def test_vertexwise_covers_trade(spark, sf_dir):
     test_query(spark, sf_dir, "vertexwise_trade_all")
+
+
+def test_arithmetic(spark, sf_dir):
+    """The published figures, and the query reads the orders."""
+    from layerflow.operators import errors, progress
+
+    assert [progress.chunk_rows(8 << 20, d, b) for d, b in ((128, 4), (768, 2), (1024, 2))] == [16384, 5461, 4096]
+    assert [progress.slots_for(g << 30, d, b) for g, d, b in ((50, 128, 4), (70, 768, 2), (80, 1024, 2))] == [104857600, 48933546, 41943040]
+    assert errors.extrapolate(21600.0, 0.25, 1.0) == 86400
+    test_query(spark, sf_dir, "arithmetic")
+    assert catalog.queries()["arithmetic"](spark, sf_dir).inputFiles() == spark.read.parquet(f"{sf_dir}/orders.parquet").inputFiles()
