@@ -1,6 +1,7 @@
 """Worked examples, invariants and the in-memory reference."""
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -9,7 +10,7 @@ from layerflow.operators import aggregate, errors, layers, orders, progress, sam
 from layerflow.operators.policies import POLICIES, BucketQueue
 from layerflow.operators.positions import running_sum
 from layerflow.plans import layerwise, vertexwise
-from layerflow.sources.graphs import GRAPHS, Graph, clean_edges
+from layerflow.sources.graphs import GRAPHS, Graph, both_ways, clean_edges
 
 SIX = [(0, 3), (2, 3), (4, 3), (0, 1), (4, 1)]
 EIGHT = [(0, 1), (0, 2), (0, 5), (1, 2), (1, 3), (2, 0), (2, 5), (3, 3), (3, 4), (4, 5), (4, 6), (5, 2), (5, 6), (6, 0), (6, 5)]
@@ -154,6 +155,48 @@ def test_a_chunk_costs_no_look_at_all_residents(policy, monkeypatch):
     assert found[0] == found[1] and sum(x[1] for x in found[0]) > 4000 and len(looks) < 30
 
 
+def test_chunks_copy_no_front(monkeypatch):
+    """The front of smallest keys is rebuilt once in many chunks, not in each."""
+    copies, insert = [], np.insert
+    monkeypatch.setattr(tiers.np, "insert", lambda *a: (copies.append(1), insert(*a))[1])
+    rng = np.random.default_rng(6)
+    src, dst = np.unique(rng.integers(0, 4000, (40_000, 2)), axis=0).T
+    d_in = np.bincount(dst, minlength=4000)
+    state, out = tiers.TierStore(1500, "fewest"), 0
+    for c in range(0, 4000, 16):
+        v, n = np.unique(dst[(src >= c) & (src < c + 16)], return_counts=True)
+        out += state.chunk(v, n, d_in[v], v * 0)[1]
+    assert out > 4000 and len(copies) < 25
+
+
+def test_runs_over_batches():
+    """Destinations over several batches, one without a position and one without messages."""
+    rows = sorted([(1, -1 - 7), (1, 0), (1, 0), (1, 3), (2, 5), (3, -1 - 9), (4, -1 - 8), *((4, c // 2) for c in range(40))])
+    batches = [pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows[i : i + 3])], names=["dst", "x"]) for i in range(0, len(rows), 3)]
+    got = [tuple(r.values()) for b in progress._runs(iter(batches), 4) for r in b.to_pylist()]
+    assert got == [(0, 1, 2, 3, 7, 1, 3), (3, 1, 1, 3, 7, 0, None), *((c, 4, 2, 40, 8, 38 - 2 * c, c + 1 if c < 19 else None) for c in range(20))]
+    assert list(progress._runs(iter([]))) == []
+
+
+def test_edges_both_ways(spark):
+    """Repeats, loops, nulls and pairs given in both directions: each edge and its reverse once."""
+    e = spark.createDataFrame([(1, 2), (2, 1), (1, 2), (3, 3), (None, 1), (4, None), (5, 4)], "src int, dst int")
+    got = both_ways(e)
+    assert sorted(map(tuple, got.collect())) == [(1, 2), (2, 1), (3, 3), (4, 5), (5, 4)] and [t for _, t in got.dtypes] == ["bigint", "bigint"]
+
+
+def test_replay_of_rows_and_of_runs(spark, sf_dir):
+    """A trace with and without what the runs add, in blocks of few chunks: equal stores and equal peaks."""
+    g = GRAPHS["copurchase"](spark, sf_dir)
+    runs = progress.message_runs(g.edges, orders.order_yield(g.edges, g.vertices), 4).cache()
+    plain = runs.drop("left", "nxt")
+    assert progress.trace_peak(runs) == progress.trace_peak(plain) > 0
+    for policy in ("fewest", "farthest"):
+        a, b = (tiers.replay_tiers(t, 40, policy, shards=2) for t in (runs, plain))
+        assert a.summary().first() == b.summary().first() and a.summary().first().evictions > 0
+        assert sorted(map(tuple, a.reloads.collect())) == sorted(map(tuple, b.reloads.collect()))
+
+
 def test_peak_of_a_trace(spark, sf_dir):
     g = GRAPHS["copurchase"](spark, sf_dir)
     for order in (orders.order_original(g.vertices), orders.order_yield(g.edges, g.vertices)):
