@@ -197,6 +197,33 @@ def test_replay_of_rows_and_of_runs(spark, sf_dir):
         assert sorted(map(tuple, a.reloads.collect())) == sorted(map(tuple, b.reloads.collect()))
 
 
+@pytest.mark.parametrize("policy", list(POLICIES))
+def test_full_slices_pass_at_once(policy, monkeypatch):
+    """Chunks of many times the slots: the same partial sums as slice by slice, in three slices a chunk at most."""
+    rng = np.random.default_rng(8)
+    slices, one = [], tiers.PartialSums._slice
+    monkeypatch.setattr(tiers.PartialSums, "_slice", lambda self, *a: (slices.append(1), one(self, *a))[1])
+
+    def plain(self, dst, values, local):
+        order = np.argsort(dst, kind="stable")
+        ids, first = np.unique(dst[order], return_index=True)
+        sums, count = np.add.reduceat(values[order], first, axis=0), np.diff(np.append(first, len(dst)))
+        for a in range(0, len(ids), self.slots):
+            yield from one(self, ids[a : a + self.slots], sums[a : a + self.slots], count[a : a + self.slots], local[order][first[a : a + self.slots]])
+
+    for slots in (1, 5, 7, 40):
+        dst = rng.integers(0, 120, 3000)
+        values, local = rng.integers(0, 9, (3000, 2)), np.bincount(dst, minlength=120)[dst]
+        fast, slow, found = tiers.PartialSums(slots, policy, 2), tiers.PartialSums(slots, policy, 2), ([], [])
+        slices.clear()
+        for a in range(0, 3000, 150):
+            for store, add, rows in ((fast, fast.add, found[0]), (slow, lambda *x: plain(slow, *x), found[1])):
+                for v, n, x in add(dst[a : a + 150], values[a : a + 150], local[a : a + 150]):
+                    rows.extend((a, *r) for r in zip(v.tolist(), n.tolist(), map(tuple, x.tolist())))
+            assert len(fast.ids) <= slots and fast.ids.tolist() == slow.ids.tolist() and fast.rank.tolist() == slow.rank.tolist()
+        assert sorted(found[0]) == sorted(found[1]) and len(slices) <= 60
+
+
 def test_peak_of_a_trace(spark, sf_dir):
     g = GRAPHS["copurchase"](spark, sf_dir)
     for order in (orders.order_original(g.vertices), orders.order_yield(g.edges, g.vertices)):
