@@ -142,6 +142,27 @@ def test_fingerprint_index_is_incremental(spark, docs, tmp_path):
     assert key(index) == key(at_once) == key(again) and parts[0].columns == ["h"]
 
 
+@pytest.mark.parametrize("width", [400, 100, 41])
+def test_segments_that_are_not_sorted_share_nothing(width):
+    """What is left out before the suffix array has no repeated string, and something is left out."""
+    rng, left_out, repeated = np.random.default_rng(width), 0, 0
+    letters = lambda n, upto=123: bytes(rng.integers(97, upto, n, np.uint8))
+    for _ in range(20):
+        core, kinds = letters(2 * width, 100), {}
+        for _ in range(6):
+            a, n = int(rng.integers(0, width)), int(rng.integers(width // 2, 2 * width))
+            text = letters(width) + core[a : a + n] + letters(width)
+            gram = suffixes._grams(np.frombuffer(text, np.uint8))
+            for lo, n, at in zip(*suffixes.repeats.segments(gram, width, suffixes.K, np.array([0, len(text)]))):
+                kinds.setdefault(int(gram[at]), set()).add(text[lo : lo + n - 1 + width])
+        texts = [x for own in kinds.values() if len(own) > 1 for x in sorted(own)]
+        if texts:
+            kept, found = suffixes.may_repeat(texts, width), np.array([len(x) > 0 for x in suffixes.repeated_windows(texts, width)])
+            assert not (found & ~kept).any()
+            left_out, repeated = left_out + int((~kept).sum()), repeated + int(found.sum())
+    assert left_out and repeated
+
+
 @pytest.mark.parametrize("hot", [suffixes.HOT_BYTES, 3_000])
 def test_repeated_bytes(docs, empty, hot):
     out = suffixes.remove_repeats(docs.select("doc_id", "text", F.lit(1).alias("k1"), F.lit(2).alias("n_bytes")), hot_bytes=hot).collect()
