@@ -197,6 +197,39 @@ def test_replay_of_rows_and_of_runs(spark, sf_dir):
         assert sorted(map(tuple, a.reloads.collect())) == sorted(map(tuple, b.reloads.collect()))
 
 
+def test_replay_of_dealt_arrays(spark, sf_dir):
+    """Edges and messages dealt as arrays, in many small shares: scores, peaks and stores as of rows; no edges at all."""
+    g = GRAPHS["copurchase"](spark, sf_dir)
+    plain = orders.order_yield(g.edges, g.vertices).cache()
+    assert sorted(orders.order_yield(g.edges, g.vertices, pairs=g.edges.count()).collect()) == sorted(plain.collect())
+    assert sorted(orders.dealt_scores(g.edges, g.vertices, 10, "none").collect()) == sorted(orders.yield_scores(g.edges, g.vertices, "none").collect())
+    runs = progress.message_runs(g.edges, plain, 4).cache()
+    for policy in ("fewest", "farthest"):
+        packed = tiers.packed_runs(g.edges, plain, 4, far=policy == "farthest", shards=2)
+        assert tiers.packed_peak(packed) == progress.trace_peak(runs) > 0
+        a, b = tiers.replay_packed(packed, 40, policy, shards=2), tiers.replay_tiers(runs, 40, policy, shards=2)
+        assert a.summary().first() == b.summary().first() and a.summary().first().evictions > 0
+        assert sorted(map(tuple, a.reloads.collect())) == sorted(map(tuple, b.reloads.collect()))
+    none = tiers.packed_runs(g.edges.limit(0), plain, 4)
+    assert tiers.packed_peak(none) == 0 and tiers.replay_packed(none, 1).chunks.count() == 0
+
+
+def test_pairs_dealt_and_sorted(monkeypatch):
+    """Every pair arrives once, all of a key in one part; keys past 31 bits are sorted as well."""
+    from layerflow.operators import arrays
+
+    monkeypatch.setattr(arrays, "SHARE", 50)
+    rng = np.random.default_rng(9)
+    for top in (40, 1 << 40):
+        key, value = rng.integers(0, top, 500), rng.integers(-9, 9, 500)
+        dealer = arrays.Dealer(3)
+        rows = pa.Table.from_batches([*dealer.add(key[:120], value[:120]), *dealer.add(key[120:], value[120:]), *dealer.rest()])
+        met = [arrays.sides(rows.filter(pa.array(np.asarray(rows["part"]) == p)).to_batches())[0] for p in range(3)]
+        assert sum(len(np.unique(k)) for k, _ in met) == len(np.unique(key))
+        pairs = [x for k, v in met for x in zip(*(c.tolist() for c in arrays.sorted_pairs(k, v)))]
+        assert sorted(pairs) == sorted(zip(key.tolist(), value.tolist())) and all(list(zip(*arrays.sorted_pairs(k, v))) == sorted(zip(k, v)) for k, v in met)
+
+
 @pytest.mark.parametrize("policy", list(POLICIES))
 def test_full_slices_pass_at_once(policy, monkeypatch):
     """Chunks of many times the slots: the same partial sums as slice by slice, in three slices a chunk at most."""
