@@ -5,8 +5,9 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
+from layerflow.catalog import QUERIES
 from layerflow.functions.columns import value_columns
-from layerflow.operators import aggregate, errors, layers, orders, progress, sampling, storage, tiers
+from layerflow.operators import aggregate, arrays, errors, layers, orders, progress, sampling, storage, tiers
 from layerflow.operators.policies import POLICIES, BucketQueue
 from layerflow.operators.positions import running_sum
 from layerflow.plans import layerwise, vertexwise
@@ -265,6 +266,30 @@ def test_peak_of_a_trace(spark, sf_dir):
     assert progress.trace_peak(progress.message_trace(g.edges.limit(0), pos, 7)) == 0
 
 
+def test_lists_of_edges_both_ways(spark, sf_dir):
+    """Ends dealt once give the distinct edges, scores and chunks of edges made as rows; repeats, loops, nulls, wide ids."""
+    wide = 1 << 40
+    given = [(1, 2), (2, 1), (1, 2), (3, 3), (3, None), (None, 4), (-5, 2), (wide, 2), (2, wide), (None, None)]
+    for ends in (spark.createDataFrame(given, "src long, dst long"), spark.createDataFrame([], "src long, dst long")):
+        lists = arrays.both_lists(ends)
+        found = {}
+        for r in lists.rows.collect():
+            k, x = (np.frombuffer(r.k, np.int64), np.frombuffer(r.x, np.int64)) if r.x is not None else arrays.parted(np.frombuffer(r.k, np.int64))
+            found |= dict(zip(zip(k.tolist(), x.tolist()), np.frombuffer(r.degree, np.int32).tolist()))
+        edges = {tuple(e) for e in both_ways(ends).collect()}
+        assert set(found) == edges and lists.pairs == len(edges)
+        assert all(n == sum(u == v for u, _ in edges) for (v, _), n in found.items())
+    g = GRAPHS["trade"](spark, sf_dir)
+    lists, plain = arrays.both_lists(g.ends), orders.order_yield(g.edges, g.vertices).cache()
+    assert sorted(orders.order_yield(None, g.vertices, lists=lists).collect()) == sorted(plain.collect())
+    of_lists, of_edges = tiers.packed_runs(None, plain, 64, lists=lists), tiers.packed_runs(g.edges, plain, 64)
+    assert sorted(map(tuple, of_lists.collect())) == sorted(map(tuple, of_edges.collect()))
+    assert g.with_edges(g.edges.limit(1)).ends is None
+    trace = progress.message_trace(g.edges, plain, 64)
+    wanted = tiers.replay_tiers(trace, progress.trace_peak(trace) // 2, "lru").summary().first()
+    assert QUERIES["replay_lru"](spark, sf_dir).first() == wanted
+
+
 def test_replay_in_shards(spark, sf_dir):
     g = GRAPHS["trade"](spark, sf_dir)
     trace = progress.message_trace(g.edges, orders.order_yield(g.edges, g.vertices).select("vid", "pos"), 64).cache()
