@@ -266,6 +266,24 @@ def test_peak_of_a_trace(spark, sf_dir):
     assert progress.trace_peak(progress.message_trace(g.edges.limit(0), pos, 7)) == 0
 
 
+def test_blocks_of_chunks(spark, sf_dir):
+    """One row a block, not a chunk, holds all chunks; shares are cut by shard and block however many there are."""
+    g = GRAPHS["trade"](spark, sf_dir)
+    pos = orders.order_original(g.vertices)
+    chunks = progress.message_trace(g.edges, pos, 16).select("chunk").distinct().count()
+    packed = tiers.packed_runs(g.edges, pos, 16)
+    assert packed.count() < chunks and sum(len(r.chunk) // 8 for r in packed.collect()) == chunks
+    for shards in (1, 70_000):
+        n = 1000
+        rng = np.random.default_rng(0)
+        shard, chunk, k = rng.integers(0, shards, n).astype(np.int32), rng.integers(0, 9, n), np.arange(n)
+        out = tiers._share(2, shard, chunk, k, k + 5, np.full(n, 7, np.int32), k % 2 == 0).to_pylist()
+        assert len({(r["shard"], r["block"]) for r in out}) == len(out)
+        got = sorted((r["shard"], r["block"] * 2 + (a >> 31), a & tiers._FAR) for r in out for a in np.frombuffer(r["at"], np.int64).tolist())
+        assert got == sorted(zip(shard.tolist(), chunk.tolist(), k.tolist()))
+        assert all(np.array_equal(np.frombuffer(r["dst"], np.int64), np.array([v + 5 for v in (np.frombuffer(r["at"], np.int64) & tiers._FAR).tolist() if v % 2], np.int64)) for r in out)
+
+
 def test_lists_of_edges_both_ways(spark, sf_dir):
     """Ends dealt once give the distinct edges, scores and chunks of edges made as rows; repeats, loops, nulls, wide ids."""
     wide = 1 << 40
