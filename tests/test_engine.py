@@ -258,6 +258,62 @@ def test_full_slices_pass_at_once(policy, monkeypatch):
         assert sorted(found[0]) == sorted(found[1]) and len(slices) <= 60
 
 
+def test_messages_are_made_a_piece_at_a_time():
+    """A chunk's messages never lie in memory as a whole, and rows of sources give the sums that rows of messages give."""
+    import tracemalloc
+
+    rng = np.random.default_rng(2)
+    values, at = rng.integers(0, 9, (16, 64)), np.repeat(np.arange(16), 10_000)
+    dst = np.concatenate([np.sort(rng.permutation(200_000)[:10_000]) for _ in range(16)])
+    local, n = np.ones(len(dst), np.int64), 0
+    tracemalloc.start()
+    for v, _, x in tiers.PartialSums(50, "fewest", 64).add(dst, values, local, at):
+        n += len(v)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert n <= len(np.unique(dst)) and peak < len(dst) * 64 * 8 / 2
+    few = slice(0, 160_000, 400)
+    both = [tiers.PartialSums(7, "lru", 64) for _ in range(2)]
+    for one, two in zip(both[0].add(dst[few], values, local[few], at[few]), both[1].add(dst[few], values[at[few]], local[few])):
+        assert all(np.array_equal(x, y) for x, y in zip(one, two))
+
+
+def test_engine_by_blocks_of_destinations(spark, sf_dir, monkeypatch):
+    """Blocks, and sums too many to be held in a task, change neither rows nor the partial sums counted in a task's store."""
+    from layerflow.plans import engine
+
+    g, m = GRAPHS["copurchase"](spark, sf_dir), layerwise.model("sage", 8, hidden=128)
+    runs = {}
+    for held, blocks in ((1 << 30, 1), (1 << 14, 64), (1, 3)):
+        monkeypatch.setattr(engine, "HELD", held)
+        monkeypatch.setattr(engine, "BLOCKS", blocks)
+        assert (engine.blocks_for(g.vertices.count(), 128) > 1) == (blocks > 1)
+        out, report = engine.run_engine(g, m, "random", slots=5, chunk_rows=16, spill_rows=7, buffer_rows=64)
+        runs[blocks] = sorted(map(tuple, out.collect())), report.messages
+    assert runs[1][0] == runs[64][0] == runs[3][0] and len(runs[1][0]) == g.vertices.count()
+    assert min(runs[64][1] + runs[3][1]) > 0
+
+
+def test_topology_of_positions(spark, tmp_path):
+    """Lists under new ids, cut in blocks, with counts by range; ends that aren't vertices drop their edges."""
+    from layerflow import store
+    from layerflow.plans import engine
+
+    rng = np.random.default_rng(4)
+    pairs = sorted({(int(a), int(b)) for a, b in rng.integers(0, 40, (300, 2))})
+    place = dict(zip(range(0, 36), rng.permutation(36).tolist()))
+    pos = spark.createDataFrame([*place.items()], "vid long, pos long")
+    g = Graph("given", pos.select("vid"), spark.createDataFrame(pairs, "src long, dst long"), None)
+    want = sorted((place[a], place[b]) for a, b in pairs if a in place and b in place)
+    for blocks in (1, 3):
+        path = store.new_path(spark, "topology")
+        engine.write_topology(g, path, 36, 4, pos, None, blocks)
+        rows = spark.read.parquet(path).collect()
+        assert sorted((r.vid, d) for r in rows for d in r.dst) == want
+        assert all(r.range_id == r.vid // 9 and r.dst == sorted(r.dst) and {d % blocks for d in r.dst} == {r.block} for r in rows)
+        assert all(n == sum(b == d and a // 9 == r.range_id for a, b in want) for r in rows for d, n in zip(r.dst, r.local))
+
+
 def test_peak_of_a_trace(spark, sf_dir):
     g = GRAPHS["copurchase"](spark, sf_dir)
     for order in (orders.order_original(g.vertices), orders.order_yield(g.edges, g.vertices)):
