@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from layerflow import store
 from layerflow.catalog import HIDDEN, ORDER, query, run_system, stored_order
 from layerflow.functions.columns import value_columns
-from layerflow.operators import errors, orders, progress, sampling, storage, tiers
+from layerflow.operators import arrays, errors, orders, progress, sampling, storage, tiers
 from layerflow.plans import engine, layerwise
 from layerflow.plans.measure import ProcessTrace, measured
 from layerflow.sources.graphs import GRAPHS, widen_features
@@ -116,7 +116,11 @@ _COUNTS = "evictions long, reloads long, reload_share double, most_parked long"
 
 
 def _counts(trace: DataFrame, slots: int, policy: str = "fewest", state_bytes: int = 1) -> tuple:
-    s = tiers.replay_tiers(trace, max(1, slots), policy, state_bytes=state_bytes).summary().first()
+    return _counted(tiers.replay_tiers(trace, max(1, slots), policy, state_bytes=state_bytes))
+
+
+def _counted(replay: tiers.Replay) -> tuple:
+    s = replay.summary().first()
     return s.evictions, s.reloads, float(s.reload_share), s.most_parked
 
 
@@ -192,9 +196,15 @@ def hidden_width(spark: SparkSession, sf_dir: str) -> DataFrame:
 def sage_slots(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One budget, slots of width d and 2d."""
     g = GRAPHS["trade"](spark, sf_dir)
-    _, trace, peak = _trace(g, "yield")
-    budget = peak * g.d * 4
-    rows = [(k, w, progress.slots_for(budget, w, 4), *_counts(trace, progress.slots_for(budget, w, 4), state_bytes=4 * w)) for k, w in (("graphconv", g.d), ("sage", 2 * g.d))]
+    lists = arrays.both_lists(g.ends)
+    packed = tiers.packed_runs(None, orders.order_yield(None, g.vertices, lists=lists).select("vid", "pos"), CHUNK, lists=lists)
+    store.discard(lists.rows)
+    budget = tiers.packed_peak(packed) * g.d * 4
+
+    rows = []
+    for kind, width in (("graphconv", g.d), ("sage", 2 * g.d)):  # in turn: together, two stores could meet in one executor
+        slots = progress.slots_for(budget, width, 4)
+        rows.append((kind, width, slots, *_counted(tiers.replay_packed(packed, max(1, slots), state_bytes=4 * width))))
     return _report(spark, rows, f"model string, width int, slots long, {_COUNTS}")
 
 

@@ -314,6 +314,17 @@ def test_topology_of_positions(spark, tmp_path):
         assert all(n == sum(b == d and a // 9 == r.range_id for a, b in want) for r in rows for d, n in zip(r.dst, r.local))
 
 
+def test_sage_slots_replays_packed_chunks(spark, sf_dir, monkeypatch):
+    """The report equals that of a trace of rows, without making one."""
+    from layerflow.plans import workloads
+
+    g = GRAPHS["trade"](spark, sf_dir)
+    _, trace, peak = workloads._trace(g, "yield")
+    want = [(k, w, s, *workloads._counts(trace, s)) for k, w, s in (("graphconv", 8, peak), ("sage", 16, peak // 2))]
+    monkeypatch.setattr(workloads, "_trace", None)
+    assert [tuple(r) for r in workloads.sage_slots(spark, sf_dir).collect()] == want
+
+
 def test_peak_of_a_trace(spark, sf_dir):
     g = GRAPHS["copurchase"](spark, sf_dir)
     for order in (orders.order_original(g.vertices), orders.order_yield(g.edges, g.vertices)):
